@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import exact_dedup
+from . import exact_dedup, langid, toxicity
 
-MODULES = (exact_dedup,)
+MODULES = (exact_dedup, langid, toxicity)
 
 
 def queries() -> dict:
