@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, langid, toxicity
+from . import exact_dedup, langid, topk, toxicity, url_filter
 
-MODULES = (exact_dedup, langid, toxicity)
+MODULES = (exact_dedup, langid, topk, toxicity, url_filter)
 
 
 def queries() -> dict:
