@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, langid, mixing, packing, topk, toxicity, url_filter
+from . import exact_dedup, langid, mixing, packing, suffix_dedup, topk, toxicity, url_filter
 
-MODULES = (mixing, packing, topk, url_filter, toxicity, langid, exact_dedup)
+MODULES = (mixing, packing, topk, url_filter, toxicity, suffix_dedup, langid, exact_dedup)
 
 
 def queries() -> dict:
