@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, langid, mixing, near_dedup, packing, suffix_dedup, topk, toxicity, url_filter
+from . import exact_dedup, langid, mixing, near_dedup, packing, sharding, suffix_dedup, topk, toxicity, url_filter
 
-MODULES = (mixing, packing, topk, url_filter, near_dedup, toxicity, suffix_dedup, langid, exact_dedup)
+MODULES = (mixing, packing, topk, url_filter, near_dedup, sharding, toxicity, suffix_dedup, langid, exact_dedup)
 
 
 def queries() -> dict:
