@@ -38,6 +38,7 @@ from .textbytes import byte_view, concat_column, slices
 
 FREQUENT = 16  # documents from which on a token is frequent; also the longest posting of which all pairs are taken
 HUBS = 3
+NEAR_ROUNDS = 2
 ORDERS = 3
 PART_BYTES = 12 << 20
 SLICE = 1 << 20
@@ -308,8 +309,48 @@ def verified(pairs: DataFrame, texts: DataFrame, words: int, percent: int) -> Da
     return pairs.join(left, "a").join(right, "b").mapInArrow(run, "a long, b long")
 
 
-def across(postings: DataFrame, comp: DataFrame, percent: int) -> DataFrame:
-    """Pairs within long postings whose ends are not connected yet."""
+def folded(bits: np.ndarray, size: int) -> np.ndarray:
+    """Rows of parity bitmaps folded down to ``size`` bytes."""
+    while bits.shape[1] > size:
+        half = bits.shape[1] // 2
+        bits = bits[:, :half] ^ bits[:, half:]
+    return bits
+
+
+def nearest(left: pa.Table, right: pa.Table, percent: int, best: int | None, block: int = 4 << 20) -> tuple[np.ndarray, np.ndarray]:
+    """(row of left, row of right) of pairs in different components that the parity bound admits; at most ``best`` a left row."""
+    nl, nr = left.column("n").to_numpy(), right.column("n").to_numpy()
+    cl, cr = left.column("comp").to_numpy(), right.column("comp").to_numpy()
+    vl, vr = left.column("vid").to_numpy(), right.column("vid").to_numpy()
+    pl, pr = left.column("parity").to_pylist(), right.column("parity").to_pylist()
+    sl, sr = np.array([len(x) for x in pl]), np.array([len(x) for x in pr])
+    out_l, out_r, gap = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    for a in np.unique(sl):
+        for b in np.unique(sr):
+            i, j, size = np.flatnonzero(sl == a), np.flatnonzero(sr == b), int(min(a, b))
+            x = folded(np.frombuffer(b"".join(pl[k] for k in i), np.uint8).reshape(-1, a), size).view(np.uint64)
+            y = folded(np.frombuffer(b"".join(pr[k] for k in j), np.uint8).reshape(-1, b), size).view(np.uint64)
+            for k in range(0, len(i), step := max(1, block // max(1, y.size))):
+                r = i[k : k + step]
+                d = np.bitwise_count(x[k : k + step, None, :] ^ y[None, :, :]).sum(2, dtype=np.int64)
+                both = nl[r][:, None] + nr[j][None, :]
+                ok = (cl[r][:, None] != cr[j][None, :]) & (vl[r][:, None] != vr[j][None, :]) & _fits(nl[r][:, None], nr[j][None, :], percent) & (d <= both - 2 * -(-percent * both // (100 + percent)))
+                u, w = np.nonzero(ok)
+                out_l.append(r[u])
+                out_r.append(j[w])
+                gap.append(d[u, w])
+    u, w, d = np.concatenate(out_l), np.concatenate(out_r), np.concatenate(gap)
+    if best is not None and len(u):
+        order = np.lexsort((vr[w], d, u))
+        u, w = u[order], w[order]
+        first = np.flatnonzero(np.concatenate([[True], u[1:] != u[:-1]]))
+        keep = np.arange(len(u)) - np.repeat(first, np.diff(np.append(first, len(u)))) < best
+        u, w = u[keep], w[keep]
+    return u, w
+
+
+def posting_members(postings: DataFrame) -> DataFrame:
+    """(key, vid, n) of long postings."""
 
     def split(batches):
         for batch in batches:
@@ -317,22 +358,33 @@ def across(postings: DataFrame, comp: DataFrame, percent: int) -> DataFrame:
                 m = np.frombuffer(blob, "<i8").reshape(-1, 2)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(m), key)), pa.array(m[:, 0]), pa.array(m[:, 1])], names=["key", "vid", "n"])
 
-    def cross(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = pa.Table.from_batches(list(batches))
-        vid, n, c = (table.column(x).to_numpy() for x in ("vid", "n", "comp"))
-        order = np.lexsort((vid, n))
-        vid, n, c = vid[order], n[order], c[order]
-        for i in range(len(vid)):  # by size: partners end where they are too large
-            stop = np.searchsorted(n, n[i] * 100 // percent, "right")
-            j = np.arange(i + 1, stop)
-            j = j[c[j] != c[i]]
-            if len(j):
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(vid[i], vid[j])), pa.array(np.maximum(vid[i], vid[j]))], names=["a", "b"])
+    return postings.select("key", "members").mapInArrow(split, "key long, vid long, n long")
 
-    members = postings.select("key", "members").mapInArrow(split, "key long, vid long, n long").join(comp, "vid", "left").withColumn("comp", F.coalesce("comp", "vid"))
-    members = materialize(members, "near-members")
-    mixed = members.groupBy("key").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).filter("c0 <> c1").select("key")
-    return members.join(mixed, "key", "left_semi").groupBy("key").applyInArrow(cross, "a long, b long").distinct()
+
+def across(members: DataFrame, sketches: DataFrame, comp: DataFrame, percent: int, best: int | None, block_rows: int = 10_000) -> DataFrame:
+    """Pairs within long postings whose ends are not connected yet and pass the parity bound.
+
+    Members outside a posting's largest component meet all its members, in blocks of
+    bounded size; ``best`` keeps each one's nearest few, None all."""
+    now = members.join(comp, "vid", "left").withColumn("comp", F.coalesce("comp", "vid"))
+    now = materialize(now, "near-members")
+    shares = now.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("share"))
+    keys = shares.groupBy("key").agg(F.max_by("comp", F.struct("share", "comp")).alias("top"), F.sum("share").alias("m"), F.count(F.lit(1)).alias("comps")).filter("comps > 1")
+    blocks = F.ceil(F.col("m") / block_rows).cast("int")
+    open_ = now.join(keys, "key").withColumn("blocks", blocks)
+    own = open_.select("key", F.pmod(F.xxhash64("vid"), F.col("blocks")).cast("int").alias("block"), F.lit(0).alias("role"), "vid", "n", "comp")
+    others = open_.filter("comp <> top").select("key", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(1).alias("role"), "vid", "n", "comp")
+    marks = sketches.select(F.col("sketch_id").alias("vid"), "parity")
+
+    def meet_all(table: pa.Table) -> pa.Table:
+        left, right = table.filter(pc.equal(table.column("role"), 1)), table.filter(pc.equal(table.column("role"), 0))
+        u, w = nearest(left, right, percent, best) if left.num_rows else (np.zeros(0, np.int64),) * 2
+        a, b = left.column("vid").to_numpy()[u], right.column("vid").to_numpy()[w]
+        both = np.unique(np.sort(np.stack([a, b], 1), axis=1), axis=0)
+        return pa.table({"a": pa.array(both[:, 0], pa.int64()), "b": pa.array(both[:, 1], pa.int64())})
+
+    rows = own.unionByName(others).join(marks, "vid")
+    return rows.groupBy("key", "block").applyInArrow(meet_all, "a long, b long").distinct()
 
 
 def components(docs: DataFrame, *, words: int = 4, percent: int = 85, part_bytes: int = PART_BYTES) -> DataFrame:
@@ -366,10 +418,16 @@ def components(docs: DataFrame, *, words: int = 4, percent: int = 85, part_bytes
     comp = materialize(contract_components(links), "near-components")
     postings = met.filter("members is not null").select("key", "members")
     if not postings.isEmpty():
-        more = materialize(across(postings, comp, percent), "near-across")
-        if not more.isEmpty():
-            links = links.unionByName(_links(more, sketches, texts, words, percent))
-            comp = materialize(contract_components(links), "near-components")
+        members = materialize(posting_members(postings), "near-postings")
+        # nearest partners first, as long as they connect something; then all that the bound admits
+        for best in (*[2] * NEAR_ROUNDS, None):
+            more = materialize(across(members, sketches, comp, percent, best), "near-across")
+            found = None if more.isEmpty() else _links(more, sketches, texts, words, percent)
+            if found is not None and not found.isEmpty():
+                links = links.unionByName(found)
+                comp = materialize(contract_components(links), "near-components")
+            elif found is None:
+                break  # no pair is left that could link
     named = told.join(comp.select(F.col("vid").alias("class_id"), "comp"), "class_id", "left")
     return named.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "class_id", "doc_id")).alias("component_id"))
 
