@@ -20,6 +20,7 @@ packed as separate rows; other columns are ignored; an empty table gives no piec
 
 from __future__ import annotations
 
+import re
 import unicodedata
 import zlib
 
@@ -34,13 +35,18 @@ from .textbytes import slices
 
 LENGTH, END_ID = 2048, 1
 HASHED, PROJECTED, BITS = 64, 3, 16
-CACHE_WORDS = 400_000
+CACHE_WORDS = 300_000
 
 # The word pattern of the vocabulary file.
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 SPECIAL = ("<|startoftext|>", "<|endoftext|>")
 
 
+# The same pattern for the standard library's faster engine, where every numeric character is a decimal digit.
+PLAIN_WORDS = re.compile(r"'(?:s|t|re|ve|m|ll|d)|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
+_BEYOND_PLAIN = re.compile("[\u00b2\u00b3\u00b9\u00bc-\u00be\u0250-\U0010ffff]")
+
+
 class WordCache:
     """Ids of whole texts, through a bounded cache of the ids of words."""
 
@@ -50,34 +56,50 @@ class WordCache:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.limit, self.known, self.find = limit, {}, regex.compile(WORDS).findall
+        self.ends = np.zeros(self.tokenizer.get_vocab_size(), bool)  # ids that end a word
+        self.ends[[i for t, i in self.tokenizer.get_vocab().items() if t.endswith("</w>")]] = True
 
     def words(self, text: str) -> list[str]:
         if text.isascii():
-            return self.find(text.lower())
+            return PLAIN_WORDS.findall(text.lower())
         text = unicodedata.normalize("NFC", text)
-        return self.find(text.lower() if "Σ" not in text else "".join(c.lower() for c in text))
+        text = text.lower() if "Σ" not in text else "".join(c.lower() for c in text)
+        return self.find(text) if _BEYOND_PLAIN.search(text) else PLAIN_WORDS.findall(text)
+
+    def learn(self, fresh: list[str]) -> None:
+        """Tokenize new words, some hundred to a text; every word ends in an id that marks a word's end."""
+        for k in range(0, len(fresh), 1 << 14):
+            part = fresh[k : k + (1 << 14)]
+            made = self.tokenizer.encode_batch_fast([" ".join(part[i : i + 256]) for i in range(0, len(part), 256)], add_special_tokens=False)
+            flat = np.concatenate([np.array(e.ids, "<u2") for e in made])
+            stops = np.flatnonzero(self.ends[flat]) + 1
+            if len(stops) == len(part) and (not len(stops) or stops[-1] == len(flat)):
+                data, at = flat.tobytes(), (2 * stops).tolist()
+                self.known.update(zip(part, (data[i:j] for i, j in zip([0, *at], at, strict=False)), strict=True))
+            else:
+                for w in part:
+                    self.known[w] = np.array(self.tokenizer.encode(w, add_special_tokens=False).ids, "<u2").tobytes()
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
-        split, fresh = [], {}
-        for t in texts:
-            if "<|" in t and any(s in t.lower() for s in SPECIAL):
-                split.append(None)
-                continue
-            w = self.words(t)
-            split.append(w)
-            fresh.update(dict.fromkeys(w))
-        known = self.known
-        if len(known) + len(fresh) > self.limit:
-            known.clear()
-        fresh = [w for w in fresh if w not in known]
-        for k in range(0, len(fresh), 4096):
-            part = fresh[k : k + 4096]
-            for w, e in zip(part, self.tokenizer.encode_batch(part, add_special_tokens=False), strict=True):
-                known[w] = np.array(e.ids, np.uint16).tobytes()
-        get = known.__getitem__
+        split = [None if "<|" in t and any(s in t.lower() for s in SPECIAL) else self.words(t) for t in texts]
+        used = set().union(*(w for w in split if w is not None))
+        if len(self.known) + len(used) > self.limit:
+            self.known.clear()
+        self.learn([w for w in used if w not in self.known])
+        get = self.known.__getitem__
         return [np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, np.uint16) if w is None else np.frombuffer(b"".join(map(get, w)), np.uint16) for t, w in zip(texts, split, strict=True)]
 
 
+_CACHES: dict[str, WordCache] = {}
+
+
+def worker_cache(path: str) -> WordCache:
+    """One cache a worker process: words met by earlier tasks are known already."""
+    if path not in _CACHES:
+        _CACHES[path] = WordCache(path)
+    return _CACHES[path]
+
+
 def hilbert_index(points: np.ndarray, bits: int) -> np.ndarray:
     """Place on the Hilbert curve of points (rows x dims of whole numbers below 2**bits); Skilling's transform on columns."""
     x = points.astype(np.uint64).T.copy()
@@ -111,12 +133,13 @@ def curve_keys(ids: list[np.ndarray], seed: int = 11) -> np.ndarray:
     n = len(ids)
     if not n:
         return np.zeros(0, np.int64)
-    flat = np.concatenate(ids).astype(np.uint32)
-    mixed = (flat * np.uint32(0x9E3779B1)) ^ (flat * np.uint32(0x85EBCA6B) >> np.uint32(13))
-    cell = (mixed >> np.uint32(8)).astype(np.int64) % HASHED
+    flat = np.concatenate(ids)
+    every = np.arange(1 << 16, dtype=np.uint32)
+    mixed = (every * np.uint32(0x9E3779B1)) ^ (every * np.uint32(0x85EBCA6B) >> np.uint32(13))
+    cell = ((mixed >> np.uint32(8)) % np.uint32(HASHED)).astype(np.int32)
     sign = 1.0 - 2.0 * ((mixed >> np.uint32(3)) & np.uint32(1))
-    row = np.repeat(np.arange(n, dtype=np.int64), [len(i) for i in ids])
-    vectors = np.bincount(row * HASHED + cell, sign, n * HASHED).reshape(n, HASHED)
+    row = np.repeat(np.arange(n, dtype=np.int32) * HASHED, [len(i) for i in ids])
+    vectors = np.bincount(row + cell[flat], sign[flat], n * HASHED).reshape(n, HASHED)
     vectors /= np.maximum(np.linalg.norm(vectors, axis=1, keepdims=True), 1e-9)
     points = vectors @ np.random.default_rng(seed).standard_normal((HASHED, PROJECTED)) / 2
     whole = np.clip((np.tanh(points) + 1) / 2 * (1 << BITS), 0, (1 << BITS) - 1).astype(np.uint64)
@@ -127,7 +150,7 @@ def tokenised(docs: DataFrame, path: str) -> DataFrame:
     """(row_key, doc_id, curve_key, n, ids) with 16-bit little-endian ids that end with the end token."""
 
     def run(batches):
-        cache, key = WordCache(path), TaskContext.get().partitionId() << 33
+        cache, key = worker_cache(path), TaskContext.get().partitionId() << 33
         for batch in batches:
             for part in slices(batch, "text", 2 << 20):
                 ids = [np.append(i, np.uint16(END_ID)) for i in cache.encode([t or "" for t in part.column("text").to_pylist()])]
