@@ -8,10 +8,10 @@ from .views import edge_sql, vertex_sql
 def _with(name: str, edges: str | None = None, vertices: str | None = None) -> str:
     e, v = edges or edge_sql(name), vertices if vertices is not None else (vertex_sql(name) if not edges else None)
     every = "select a as vid from e union select b from e" + (f" union select vid from ({v})" if v else "")
-    return f"""with recursive p as ({e}),
-e as (select least(x, y) as a, greatest(x, y) as b, cast(count(*) as integer) as mult from p where x is not null and y is not null and x <> y group by 1, 2),
-nodes as ({every}),
-s as (select a as u, b as v from e union all select b, a from e),
+    return f"""with recursive p as materialized ({e}),
+e as materialized (select least(x, y) as a, greatest(x, y) as b, cast(count(*) as integer) as mult from p where x is not null and y is not null and x <> y group by 1, 2),
+nodes as materialized ({every}),
+s as materialized (select a as u, b as v from e union all select b, a from e),
 comp(vid, c) using key (vid) as (
   select vid, vid from nodes
   union
@@ -28,23 +28,23 @@ dep(vid, d) using key (vid) as (
   select vid, case when vid = c then 0 else 1000000000 end from comp
   union
   select s.v, min(dep.d) + 1 from dep join s on s.u = dep.vid join recurring.dep r on r.vid = s.v where dep.d + 1 < r.d group by s.v),
-par as (select s.v as vid, min(s.u) as up from s join dep x on x.vid = s.u join dep y on y.vid = s.v where x.d = y.d - 1 group by s.v),
+par as materialized (select s.v as vid, min(s.u) as up from s join dep x on x.vid = s.u join dep y on y.vid = s.v where x.d = y.d - 1 group by s.v),
 anc(vid, above) as (select vid, vid from par union all select anc.vid, par.up from anc join par on par.vid = anc.above join par q on q.vid = par.up),
-side as (select e.a as x, e.b as y from e left join par pa on pa.vid = e.b and pa.up = e.a left join par pb on pb.vid = e.a and pb.up = e.b where pa.vid is null and pb.vid is null),
-both_ways as (select x, y from side union all select y, x from side),
-rel as (
+side as materialized (select e.a as x, e.b as y from e left join par pa on pa.vid = e.b and pa.up = e.a left join par pb on pb.vid = e.a and pb.up = e.b where pa.vid is null and pb.vid is null),
+both_ways as materialized (select x, y from side union all select y, x from side),
+rel as materialized (
   select x, y from side
   union
   select b.x, n.above from both_ways b join anc n on n.vid = b.x left join anc o on o.vid = b.y and o.above = n.above where o.vid is null and n.above <> b.x),
-rs as (select x as u, y as v from rel union select y, x from rel),
+rs as materialized (select x as u, y as v from rel union select y, x from rel),
 blk(vid, c) using key (vid) as (
   select vid, vid from par
   union
   select rs.v, min(blk.c) from blk join rs on rs.u = blk.vid join recurring.blk r on r.vid = rs.v where blk.c < r.c group by rs.v),
-eb as (
+eb as materialized (
   select e.a, e.b, e.mult, blk.c as block
   from e join dep x on x.vid = e.a join dep y on y.vid = e.b join blk on blk.vid = case when y.d > x.d then e.b else e.a end),
-named as (select eb.*, first_value(a) over w as block_a, first_value(b) over w as block_b, count(*) over (partition by block) as n from eb window w as (partition by block order by a, b))"""
+named as materialized (select eb.*, first_value(a) over w as block_a, first_value(b) over w as block_b, count(*) over (partition by block) as n from eb window w as (partition by block order by a, b))"""
 
 
 def blocks(name: str, **parts) -> str:
@@ -61,7 +61,7 @@ def articulation(name: str, **parts) -> str:
 
 def two_edge(name: str, **parts) -> str:
     return _blocks(name, **parts) + """,
-t as (select a as u, b as v from named where not (n = 1 and mult = 1) union all select b, a from named where not (n = 1 and mult = 1)),
+t as materialized (select a as u, b as v from named where not (n = 1 and mult = 1) union all select b, a from named where not (n = 1 and mult = 1)),
 te(vid, c) using key (vid) as (
   select vid, vid from nodes
   union

@@ -80,7 +80,7 @@ SQL_ONLY = {
     "page_links": f"""select {7 * K} + page_id as x, {8 * K} + dense_rank() over (order by target) as y
                       from (select page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) as target from pages)""",
     "doc_lines": """select min(doc_id) over (partition by md5(line)) as x, doc_id as y
-                    from (select doc_id, unnest(string_split(text, chr(10))) as line from documents) where length(line) >= 60""",
+                    from (select distinct doc_id, line from (select doc_id, unnest(string_split(text, chr(10))) as line from documents) where length(line) >= 60)""",
 }
 VERTEX_SQL_ONLY = {"page_links": f"select {7 * K} + page_id as vid from pages", "doc_lines": "select doc_id as vid from documents"}
 
