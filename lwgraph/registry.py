@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import relational, workloads
+from . import extras, relational, workloads
 
-MODULES = (workloads, relational)
+MODULES = (workloads, extras, relational)
 
 
 def queries() -> dict:
