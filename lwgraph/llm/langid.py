@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .textbytes import byte_view, slices
+from .textbytes import byte_view, releasing, slices
 
 DIMENSIONS = 1 << 13
 LENGTHS = (1, 2, 3)
@@ -125,7 +125,7 @@ def predict(docs: DataFrame, model: KernelModel | None) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(names, pa.string()), pa.array(scores, pa.float64())], names=["doc_id", "lang_pred", "score"])
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, lang_pred string, score double")
+    return docs.select("doc_id", "text").mapInArrow(releasing(run), f"doc_id {kind}, lang_pred string, score double")
 
 
 def op9_language_id(spark, sf_dir):

@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from ..operators.contraction import contract_components
 from .common import load, materialize, shuffle_width
 from .packed import COUNT_SCHEMA, bucket_of, contains, count_rows, frequent_keys, merged_keys, mix64, pack48, unpack48
-from .textbytes import byte_view, concat_column, slices
+from .textbytes import byte_view, concat_column, release, releasing, slices
 
 FREQUENT = 16  # documents from which on a token is frequent; also the longest posting of which all pairs are taken
 HUBS = 3
@@ -122,7 +122,7 @@ def described(docs: DataFrame, words: int) -> DataFrame:
                 lo = [mix64(s ^ _STEPS[0]).sum(dtype=np.uint64).astype(np.int64) for s in sets]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(hi, pa.int64()), pa.array(lo, pa.int64())], names=["doc_id", "n_shingles", "hi", "lo"])
 
-    return docs.mapInArrow(run, "doc_id long, n_shingles long, hi long, lo long")
+    return docs.mapInArrow(releasing(run), "doc_id long, n_shingles long, hi long, lo long")
 
 
 # --- orders, prefixes, sketches ------------------------------------------------------------
@@ -283,7 +283,7 @@ def filtered(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
 
     left = sketches.select(F.col("sketch_id").alias("a"), F.col("n").alias("na"), F.col("parity").alias("pa"), F.col("marks").alias("ma"))
     right = sketches.select(F.col("sketch_id").alias("b"), F.col("n").alias("nb"), F.col("parity").alias("pb"), F.col("marks").alias("mb"))
-    return pairs.join(left, "a").join(right, "b").mapInArrow(run, "a long, b long")
+    return pairs.join(left, "a").join(right, "b").mapInArrow(releasing(run), "a long, b long")
 
 
 def verified(pairs: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
@@ -304,9 +304,9 @@ def verified(pairs: DataFrame, texts: DataFrame, words: int, percent: int) -> Da
             yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
 
     wanted = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    held = materialize(texts.join(wanted, "doc_id", "left_semi").mapInArrow(sets, "doc_id long, tokens binary"), "near-sets")
+    held = materialize(texts.join(wanted, "doc_id", "left_semi").mapInArrow(releasing(sets), "doc_id long, tokens binary"), "near-sets")
     left, right = held.select(F.col("doc_id").alias("a"), F.col("tokens").alias("sa")), held.select(F.col("doc_id").alias("b"), F.col("tokens").alias("sb"))
-    return pairs.join(left, "a").join(right, "b").mapInArrow(run, "a long, b long")
+    return pairs.join(left, "a").join(right, "b").mapInArrow(releasing(run), "a long, b long")
 
 
 def folded(bits: np.ndarray, size: int) -> np.ndarray:
@@ -317,7 +317,7 @@ def folded(bits: np.ndarray, size: int) -> np.ndarray:
     return bits
 
 
-def nearest(left: pa.Table, right: pa.Table, percent: int, best: int | None, block: int = 4 << 20) -> tuple[np.ndarray, np.ndarray]:
+def nearest(left: pa.Table, right: pa.Table, percent: int, best: int | None, block: int = 1 << 20) -> tuple[np.ndarray, np.ndarray]:
     """(row of left, row of right) of pairs in different components that the parity bound admits; at most ``best`` a left row."""
     nl, nr = left.column("n").to_numpy(), right.column("n").to_numpy()
     cl, cr = left.column("comp").to_numpy(), right.column("comp").to_numpy()
@@ -358,7 +358,7 @@ def posting_members(postings: DataFrame) -> DataFrame:
                 m = np.frombuffer(blob, "<i8").reshape(-1, 2)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(m), key)), pa.array(m[:, 0]), pa.array(m[:, 1])], names=["key", "vid", "n"])
 
-    return postings.select("key", "members").mapInArrow(split, "key long, vid long, n long")
+    return postings.select("key", "members").mapInArrow(releasing(split), "key long, vid long, n long")
 
 
 def across(members: DataFrame, sketches: DataFrame, comp: DataFrame, percent: int, best: int | None, block_rows: int = 10_000) -> DataFrame:
@@ -401,10 +401,14 @@ def components(docs: DataFrame, *, words: int = 4, percent: int = 85, part_bytes
     grouped = texts.withColumn("part", F.pmod("doc_id", F.lit(parts)).cast("int")).groupBy("part")
 
     def count(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
-        return count_rows(key[0].as_py(), [s[s < _HALF] >> np.uint64(16) for s in table_sets(concat_column(table, "text"), words)], 2 * parts)
+        out = count_rows(key[0].as_py(), [s[s < _HALF] >> np.uint64(16) for s in table_sets(concat_column(table, "text"), words)], 2 * parts)
+        release()
+        return out
 
     def index(left: pa.Table, right: pa.Table) -> pa.Table:
-        return _index(left, merged_keys(right), words, percent, parts)
+        out = _index(left, merged_keys(right), words, percent, parts)
+        release()
+        return out
 
     def pair(table: pa.Table) -> pa.Table:
         return _pairs(table, percent)

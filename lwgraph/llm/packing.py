@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import load, materialize, shuffle_width
-from .textbytes import slices
+from .textbytes import releasing, slices
 
 LENGTH, END_ID = 2048, 1
 HASHED, PROJECTED, BITS = 64, 3, 16
@@ -94,9 +94,10 @@ _CACHES: dict[str, WordCache] = {}
 
 
 def worker_cache(path: str) -> WordCache:
-    """One cache a worker process: words met by earlier tasks are known already."""
+    """One tokenizer a worker process; the words are forgotten between tasks, so that idle workers stay small."""
     if path not in _CACHES:
         _CACHES[path] = WordCache(path)
+    _CACHES[path].known.clear()
     return _CACHES[path]
 
 
@@ -158,9 +159,10 @@ def tokenised(docs: DataFrame, path: str) -> DataFrame:
                     [pa.array(range(key, key + len(ids)), pa.int64()), part.column("doc_id"), pa.array(curve_keys(ids)), pa.array([len(i) for i in ids], pa.int64()), pa.array([i.astype("<u2").tobytes() for i in ids], pa.binary())],
                     names=["row_key", "doc_id", "curve_key", "n", "ids"])
                 key += len(ids)
+        cache.known.clear()
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInArrow(run, f"row_key long, doc_id {kind}, curve_key long, n long, ids binary")
+    return docs.select("doc_id", "text").mapInArrow(releasing(run), f"row_key long, doc_id {kind}, curve_key long, n long, ids binary")
 
 
 def line_starts(tokens: DataFrame) -> tuple[DataFrame, int]:
@@ -242,7 +244,7 @@ def pack(docs: DataFrame, path: str, *, length: int = LENGTH, with_ids: bool = F
 
     kind = dict(docs.dtypes)["doc_id"]
     schema = f"doc_id {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, curve_key long" + ", ids binary" * with_ids
-    return joined.mapInArrow(cut, schema)
+    return joined.mapInArrow(releasing(cut), schema)
 
 
 def vocabulary() -> str:

@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from .common import load, materialize, shuffle_width
 from .packed import COUNT_SCHEMA, bucket_of, contains, count_rows, frequent_keys, merged_keys, mix64, pack48, unpack48
-from .textbytes import byte_view, concat_column
+from .textbytes import byte_view, concat_column, release
 
 LENGTH, GRAM = 50, 20
 PART_BYTES = 12 << 20
@@ -297,18 +297,25 @@ def remove_repeats(docs: DataFrame, *, length: int = LENGTH, part_bytes: int = P
         for _, piece, off in _pieces(data, offsets):
             doc, _, _, k = minimizer_runs(piece, off, length)
             found.append(np.unique((doc.astype(np.uint64) << np.uint64(48)) | k) & _MASK48)  # a slice has fewer than 2**16 texts this long
+        release()
         return count_rows(key[0].as_py(), found, buckets)
 
     repeated = frequent_keys(grouped.applyInArrow(keys_of, COUNT_SCHEMA), 2)
 
     def send(key: tuple[pa.Scalar, ...], left: pa.Table, right: pa.Table) -> pa.Table:
-        return _stretches(key[0].as_py(), left, merged_keys(right), length, buckets)
+        out = _stretches(key[0].as_py(), left, merged_keys(right), length, buckets)
+        release()
+        return out
 
     def judge(table: pa.Table) -> pa.Table:
-        return _judge(table, length)
+        out = _judge(table, length)
+        release()
+        return out
 
     def cut(left: pa.Table, right: pa.Table) -> pa.Table:
-        return _cut(left, right, length)
+        out = _cut(left, right, length)
+        release()
+        return out
 
     stretches = grouped.cogroup(repeated.groupBy("part")).applyInArrow(send, STRETCH_SCHEMA)
     masks = stretches.groupBy("bucket").applyInArrow(judge, "part int, bucket int, keys binary, masks binary")

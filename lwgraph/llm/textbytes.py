@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -37,3 +39,29 @@ def slices(batch: pa.RecordBatch, column: str, limit: int = 2 << 20) -> Iterator
 def concat_column(table: pa.Table, name: str) -> pa.Array:
     col = table.column(name).combine_chunks()
     return col.combine_chunks() if isinstance(col, pa.ChunkedArray) else col
+
+
+@functools.cache
+def _trim():
+    try:
+        return ctypes.CDLL("libc.so.6").malloc_trim
+    except (OSError, AttributeError):  # another C library: nothing to trim
+        return lambda _: 0
+
+
+def release() -> None:
+    """Give memory that a finished task used back to the system: idle workers share the executor's allowance."""
+    pa.default_memory_pool().release_unused()
+    _trim()(0)
+
+
+def releasing(f):
+    """The Arrow batch function ``f``, releasing memory when its task ends."""
+
+    def run(batches):
+        try:
+            yield from f(batches)
+        finally:
+            release()
+
+    return run

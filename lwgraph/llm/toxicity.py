@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textbytes import slices
+from .textbytes import releasing, slices
 
 THRESHOLD = 0.3
 MAX_ROWS = 8000
@@ -180,7 +180,7 @@ def score(docs: DataFrame, model: ToxicLexicon, threshold: float = THRESHOLD) ->
                     names=["doc_id", "score", "predicted"])
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, score double, predicted int")
+    return docs.select("doc_id", "text").mapInArrow(releasing(run), f"doc_id {kind}, score double, predicted int")
 
 
 def flag(docs: DataFrame, model: ToxicLexicon, threshold: float = THRESHOLD) -> DataFrame:
@@ -196,7 +196,7 @@ def flag(docs: DataFrame, model: ToxicLexicon, threshold: float = THRESHOLD) ->
                     keep.append(model.score(model.hits(folded, machine), folded.count(" ") - 1) < threshold)
                 yield part.filter(pa.array(keep, pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(releasing(run), docs.schema)
 
 
 def op7_toxicity(spark, sf_dir):
