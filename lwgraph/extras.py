@@ -45,8 +45,8 @@ dep(vid, d) using key (vid) as (
   union
   select s.v, min(dep.d) + 1 from dep join s on s.u = dep.vid join recurring.dep r on r.vid = s.v where dep.d + 1 < r.d group by s.v),
 nxt as materialized (select y.vid, min(s.u) as up from dep y join s on s.v = y.vid join dep x on x.vid = s.u and x.d = y.d - 1 group by y.vid),
-walk(vid, at) as (select vid, vid from dep union all select walk.vid, nxt.up from walk join nxt on nxt.vid = walk.at)
-select w.vid, w.at as primary, cast(q.d as integer) as hop from walk w join dep q on q.vid = w.vid join dep z on z.vid = w.at where z.d = 0"""
+walk(vid, spot) as (select vid, vid from dep union all select walk.vid, nxt.up from walk join nxt on nxt.vid = walk.spot)
+select w.vid, w.spot as primary, cast(q.d as integer) as hop from walk w join dep q on q.vid = w.vid join dep z on z.vid = w.spot where z.d = 0"""
 
 
 @query(_nearest_sql().replace("as primary", 'as "primary"'))
