@@ -42,8 +42,11 @@ WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 SPECIAL = ("<|startoftext|>", "<|endoftext|>")
 
 
-# The same pattern for the standard library's faster engine, where every numeric character is a decimal digit.
+# The same pattern for the standard library's engine: LATIN_WORDS where all characters are below U+0100, PLAIN_WORDS
+# below U+0250, both only where every numeric character is a decimal digit.
+LATIN_WORDS = re.compile(r"[a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff]+|'(?:s|t|re|ve|m|ll|d)|[0-9]|(?:[^\s\w]|_)+")
 PLAIN_WORDS = re.compile(r"'(?:s|t|re|ve|m|ll|d)|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
+_BEYOND_LATIN = re.compile("[\u00b2\u00b3\u00b9\u00bc-\u00be\u0100-\U0010ffff]")
 _BEYOND_PLAIN = re.compile("[\u00b2\u00b3\u00b9\u00bc-\u00be\u0250-\U0010ffff]")
 
 
@@ -60,10 +63,11 @@ class WordCache:
         self.ends[[i for t, i in self.tokenizer.get_vocab().items() if t.endswith("</w>")]] = True
 
     def words(self, text: str) -> list[str]:
-        if text.isascii():
-            return PLAIN_WORDS.findall(text.lower())
-        text = unicodedata.normalize("NFC", text)
+        if not text.isascii():
+            text = unicodedata.normalize("NFC", text)
         text = text.lower() if "Σ" not in text else "".join(c.lower() for c in text)
+        if not _BEYOND_LATIN.search(text):
+            return LATIN_WORDS.findall(text)
         return self.find(text) if _BEYOND_PLAIN.search(text) else PLAIN_WORDS.findall(text)
 
     def learn(self, fresh: list[str]) -> None:
@@ -81,13 +85,25 @@ class WordCache:
                     self.known[w] = np.array(self.tokenizer.encode(w, add_special_tokens=False).ids, "<u2").tobytes()
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
-        split = [None if "<|" in t and any(s in t.lower() for s in SPECIAL) else self.words(t) for t in texts]
-        used = set().union(*(w for w in split if w is not None))
-        if len(self.known) + len(used) > self.limit:
+        if len(self.known) > self.limit:
             self.known.clear()
-        self.learn([w for w in used if w not in self.known])
-        get = self.known.__getitem__
-        return [np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, np.uint16) if w is None else np.frombuffer(b"".join(map(get, w)), np.uint16) for t, w in zip(texts, split, strict=True)]
+        get, out, waiting, fresh = self.known.get, [], [], set()
+        for t in texts:
+            if "<|" in t and any(s in t.lower() for s in SPECIAL):
+                out.append([np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, "<u2").tobytes()])
+                continue
+            w = self.words(t)
+            parts = list(map(get, w))
+            if None in parts:
+                gaps = [k for k, p in enumerate(parts) if p is None]
+                fresh.update([w[k] for k in gaps])
+                waiting.append((parts, gaps, w))
+            out.append(parts)
+        self.learn(list(fresh))
+        for parts, gaps, w in waiting:
+            for k in gaps:
+                parts[k] = get(w[k])
+        return [np.frombuffer(b"".join(p), "<u2") for p in out]
 
 
 _CACHES: dict[str, WordCache] = {}
