@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.contraction import contract_components
-from .common import load, materialize, shuffle_width
+from .common import arrow_rows, load, materialize, shuffle_width
 from .packed import COUNT_SCHEMA, bucket_of, contains, count_rows, frequent_keys, merged_keys, mix64, pack48, unpack48
 from .textbytes import byte_view, concat_column, release, releasing, slices
 
@@ -40,8 +40,8 @@ FREQUENT = 16  # documents from which on a token is frequent; also the longest p
 HUBS = 3
 NEAR_ROUNDS = 2
 ORDERS = 3
-PART_BYTES = 12 << 20
-SLICE = 1 << 20
+PART_BYTES = 4 << 20
+SLICE = 1 << 19
 
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
@@ -297,8 +297,8 @@ def verified(pairs: DataFrame, texts: DataFrame, words: int, percent: int) -> Da
     def run(batches):
         for batch in batches:
             good = []
-            for x, y in zip(batch.column("sa").to_pylist(), batch.column("sb").to_pylist(), strict=True):
-                u, v = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+            for x, y in zip(batch.column("sa"), batch.column("sb"), strict=True):
+                u, v = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
                 both = len(np.intersect1d(u, v, assume_unique=True))
                 good.append(100 * both >= percent * (len(u) + len(v) - both))
             yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
@@ -391,7 +391,8 @@ def components(docs: DataFrame, *, words: int = 4, percent: int = 85, part_bytes
     """doc_id, n_shingles, component_id of every row."""
     spark = docs.sparkSession
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    seen = materialize(described(rows, words), "near-digests")
+    with arrow_rows(spark, 2000):
+        seen = materialize(described(rows, words), "near-digests")
     groups = seen.filter("doc_id is not null and n_shingles > 0").groupBy("hi", "lo").agg(F.min("doc_id").alias("class_id"), F.first("n_shingles").alias("n_shingles"))
     told = materialize(seen.join(groups, ["hi", "lo", "n_shingles"], "left"), "near-classes")
     total = rows.agg(F.sum(F.octet_length("text"))).head()[0] or 0
@@ -437,8 +438,9 @@ def components(docs: DataFrame, *, words: int = 4, percent: int = 85, part_bytes
 
 
 def _links(pairs: DataFrame, sketches: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
-    left = materialize(filtered(pairs, sketches, percent), "near-filtered")
-    return materialize(verified(left, texts, words, percent), "near-links")
+    with arrow_rows(pairs.sparkSession, 500):
+        left = materialize(filtered(pairs, sketches, percent), "near-filtered")
+        return materialize(verified(left, texts, words, percent), "near-links")
 
 
 def keep_one(docs: DataFrame, *, words: int = 5, percent: int = 80) -> DataFrame:

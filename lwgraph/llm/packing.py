@@ -30,7 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import load, materialize, shuffle_width
+from .common import arrow_rows, load, materialize, shuffle_width
 from .textbytes import releasing, slices
 
 LENGTH, END_ID = 2048, 1
@@ -227,7 +227,8 @@ def cut_points(start: int, stop: int, total: int, length: int) -> list[int]:
 
 def pack(docs: DataFrame, path: str, *, length: int = LENGTH, with_ids: bool = False) -> DataFrame:
     """Pieces of documents: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, curve_key (and the ids on request)."""
-    tokens = materialize(tokenised(docs, path), "pack-tokens")
+    with arrow_rows(docs.sparkSession, 2000):
+        tokens = materialize(tokenised(docs, path), "pack-tokens")
     starts, total = line_starts(tokens)
     joined = tokens.join(starts, "row_key").select("doc_id", "curve_key", "ids", "line_start")
     full = total // length
