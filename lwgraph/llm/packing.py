@@ -35,7 +35,7 @@ from .textbytes import releasing, slices
 
 LENGTH, END_ID = 2048, 1
 HASHED, PROJECTED, BITS = 64, 3, 16
-CACHE_WORDS = 300_000
+CACHE_WORDS = 400_000
 
 # The word pattern of the vocabulary file.
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
@@ -110,10 +110,9 @@ _CACHES: dict[str, WordCache] = {}
 
 
 def worker_cache(path: str) -> WordCache:
-    """One tokenizer a worker process; the words are forgotten between tasks, so that idle workers stay small."""
+    """One bounded cache a worker process: words met by earlier tasks are known already."""
     if path not in _CACHES:
         _CACHES[path] = WordCache(path)
-    _CACHES[path].known.clear()
     return _CACHES[path]
 
 
@@ -175,7 +174,6 @@ def tokenised(docs: DataFrame, path: str) -> DataFrame:
                     [pa.array(range(key, key + len(ids)), pa.int64()), part.column("doc_id"), pa.array(curve_keys(ids)), pa.array([len(i) for i in ids], pa.int64()), pa.array([i.astype("<u2").tobytes() for i in ids], pa.binary())],
                     names=["row_key", "doc_id", "curve_key", "n", "ids"])
                 key += len(ids)
-        cache.known.clear()
 
     kind = dict(docs.dtypes)["doc_id"]
     return docs.select("doc_id", "text").mapInArrow(releasing(run), f"row_key long, doc_id {kind}, curve_key long, n long, ids binary")
