@@ -20,7 +20,9 @@ packed as separate rows; other columns are ignored; an empty table gives no piec
 
 from __future__ import annotations
 
+import functools
 import re
+import sys
 import unicodedata
 import zlib
 
@@ -46,8 +48,17 @@ SPECIAL = ("<|startoftext|>", "<|endoftext|>")
 # below U+0250, both only where every numeric character is a decimal digit.
 LATIN_WORDS = re.compile(r"[a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff]+|'(?:s|t|re|ve|m|ll|d)|[0-9]|(?:[^\s\w]|_)+")
 PLAIN_WORDS = re.compile(r"'(?:s|t|re|ve|m|ll|d)|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
-_BEYOND_LATIN = re.compile("[\u00b2\u00b3\u00b9\u00bc-\u00be\u0100-\U0010ffff]")
-_BEYOND_PLAIN = re.compile("[\u00b2\u00b3\u00b9\u00bc-\u00be\u0250-\U0010ffff]")
+_BEYOND_LATIN = re.compile("[\x1c-\x1f\u00b2\u00b3\u00b9\u00bc-\u00be\u0100-\U0010ffff]")
+_BEYOND_PLAIN = re.compile("[\x1c-\x1f\u00b2\u00b3\u00b9\u00bc-\u00be\u0250-\U0010ffff]")
+
+
+@functools.cache
+def _unsettled() -> re.Pattern:
+    """Code points without a category here: a newer Unicode of the tokenizer may class them otherwise; and the separators U+001C to U+001F."""
+    none = [c for c in range(sys.maxunicode + 1) if unicodedata.category(chr(c)) == "Cn"]
+    starts = [c for c, before in zip(none, [-2, *none], strict=False) if c != before + 1]
+    ends = [c for c, after in zip(none, [*none[1:], -2], strict=True) if c != after - 1]
+    return re.compile("[\\x1c-\\x1f" + "".join(f"\\U{a:08x}-\\U{z:08x}" for a, z in zip(starts, ends, strict=True)) + "]")
 
 
 class WordCache:
@@ -62,13 +73,16 @@ class WordCache:
         self.ends = np.zeros(self.tokenizer.get_vocab_size(), bool)  # ids that end a word
         self.ends[[i for t, i in self.tokenizer.get_vocab().items() if t.endswith("</w>")]] = True
 
-    def words(self, text: str) -> list[str]:
+    def words(self, text: str) -> list[str] | None:
+        """The normalised words, or None where only the tokenizer itself can tell."""
         if not text.isascii():
             text = unicodedata.normalize("NFC", text)
         text = text.lower() if "Σ" not in text else "".join(c.lower() for c in text)
         if not _BEYOND_LATIN.search(text):
             return LATIN_WORDS.findall(text)
-        return self.find(text) if _BEYOND_PLAIN.search(text) else PLAIN_WORDS.findall(text)
+        if not _BEYOND_PLAIN.search(text):
+            return PLAIN_WORDS.findall(text)
+        return None if _unsettled().search(text) else self.find(text)
 
     def learn(self, fresh: list[str]) -> None:
         """Tokenize new words, some hundred to a text; every word ends in an id that marks a word's end."""
@@ -89,10 +103,10 @@ class WordCache:
             self.known.clear()
         get, out, waiting, fresh = self.known.get, [], [], set()
         for t in texts:
-            if "<|" in t and any(s in t.lower() for s in SPECIAL):
+            w = None if "<|" in t and any(s in t.lower() for s in SPECIAL) else self.words(t)
+            if w is None:
                 out.append([np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, "<u2").tobytes()])
                 continue
-            w = self.words(t)
             parts = list(map(get, w))
             if None in parts:
                 gaps = [k for k, p in enumerate(parts) if p is None]

@@ -89,3 +89,11 @@ def test_mix_keeps_rows_and_columns(spark):
     out = mixing.mix(docs)
     assert out.columns == docs.columns and sorted(out.collect()) == sorted(docs.collect())
     assert mixing.mix(docs.limit(0)).count() == 0
+
+
+def test_every_character_is_cut_as_the_tokenizer_cuts_it():
+    cache = packing.WordCache(packing.vocabulary())
+    points = [*range(0x3400), *range(0xA000, 0xD800), *range(0xF900, 0x10000), *range(0x1E000, 0x20000)]
+    texts = [f"ab{chr(c)}cd 's{chr(c)}{chr(c)}. x {chr(c)}1_" for c in points]
+    want = cache.tokenizer.encode_batch_fast(texts, add_special_tokens=False)
+    assert [c for c, got, made in zip(points, cache.encode(texts), want, strict=True) if got.tolist() != made.ids] == []
