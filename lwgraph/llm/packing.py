@@ -21,6 +21,7 @@ packed as separate rows; other columns are ignored; an empty table gives no piec
 from __future__ import annotations
 
 import functools
+import os
 import re
 import sys
 import unicodedata
@@ -65,10 +66,15 @@ class WordCache:
     """Ids of whole texts, through a bounded cache of the ids of words."""
 
     def __init__(self, path: str, limit: int = CACHE_WORDS):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks share the cores already
         import regex
         from tokenizers import Tokenizer
+        from tokenizers.pre_tokenizers import ByteLevel, Sequence, WhitespaceSplit
 
         self.tokenizer = Tokenizer.from_file(path)
+        self.of_words = Tokenizer.from_file(path)  # for words that are normalised and split already
+        self.of_words.normalizer = None
+        self.of_words.pre_tokenizer = Sequence([WhitespaceSplit(), ByteLevel(add_prefix_space=False, use_regex=False)])
         self.limit, self.known, self.find = limit, {}, regex.compile(WORDS).findall
         self.ends = np.zeros(self.tokenizer.get_vocab_size(), bool)  # ids that end a word
         self.ends[[i for t, i in self.tokenizer.get_vocab().items() if t.endswith("</w>")]] = True
@@ -88,7 +94,7 @@ class WordCache:
         """Tokenize new words, some hundred to a text; every word ends in an id that marks a word's end."""
         for k in range(0, len(fresh), 1 << 14):
             part = fresh[k : k + (1 << 14)]
-            made = self.tokenizer.encode_batch_fast([" ".join(part[i : i + 256]) for i in range(0, len(part), 256)], add_special_tokens=False)
+            made = self.of_words.encode_batch_fast([" ".join(part[i : i + 256]) for i in range(0, len(part), 256)], add_special_tokens=False)
             flat = np.concatenate([np.array(e.ids, "<u2") for e in made])
             stops = np.flatnonzero(self.ends[flat]) + 1
             if len(stops) == len(part) and (not len(stops) or stops[-1] == len(flat)):
@@ -105,19 +111,22 @@ class WordCache:
         for t in texts:
             w = None if "<|" in t and any(s in t.lower() for s in SPECIAL) else self.words(t)
             if w is None:
-                out.append([np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, "<u2").tobytes()])
+                out.append(np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, "<u2").tobytes())
                 continue
             parts = list(map(get, w))
-            if None in parts:
+            try:
+                out.append(b"".join(parts))
+            except TypeError:  # a word that is not known yet
                 gaps = [k for k, p in enumerate(parts) if p is None]
                 fresh.update([w[k] for k in gaps])
-                waiting.append((parts, gaps, w))
-            out.append(parts)
+                waiting.append((len(out), parts, gaps, [w[k] for k in gaps]))
+                out.append(b"")
         self.learn(list(fresh))
-        for parts, gaps, w in waiting:
-            for k in gaps:
-                parts[k] = get(w[k])
-        return [np.frombuffer(b"".join(p), "<u2") for p in out]
+        for at, parts, gaps, missed in waiting:
+            for k, word in zip(gaps, missed, strict=True):
+                parts[k] = get(word)
+            out[at] = b"".join(parts)
+        return [np.frombuffer(p, "<u2") for p in out]
 
 
 _CACHES: dict[str, WordCache] = {}
