@@ -6,10 +6,12 @@ from pyspark.sql import functions as F
 
 from .functions import python_functions as pf
 from .operators import blocks, connect, decompose, degree
+from .operators.joins import salted_join
 from .operators.oracles import BiconnectivityOracle, ConnectivityOracle
 from .plans.graph import CostMeter, Graph
 from .plans.scratch import materialize, new_scratch_path
 from .sources import oracle
+from .sources.edge_source import generated
 from .sources.views import graph_view, hash_threshold, load
 from .streaming import streams
 from .workloads import kept, order_pairs
@@ -94,6 +96,35 @@ def d14_primary_only_sizes(spark, d):
     return dec.lookup().groupBy("center").agg(F.count(F.lit(1)).alias("n")).groupBy("n").agg(F.count(F.lit(1)).alias("clusters"))
 
 
+@query("select cast(0 as bigint) as lost, cast(0 as bigint) as broken")
+def d16_ball_clusters(spark, d):
+    """Balls as clusters: every vertex has a center and every cluster hangs together; sizes are not bounded."""
+    return decompose.check_decomposition(mesh_decomposition(spark, d, "balls", 2)).select("lost", "broken")
+
+
+@query(None)
+def d16_ball_sizes(spark, d):
+    return mesh_decomposition(spark, d, "balls", 2).lookup().groupBy("center").agg(F.count(F.lit(1)).alias("n")).groupBy("n").agg(F.count(F.lit(1)).alias("clusters"))
+
+
+@query("select i as x, i + 1 as y from range(0, 1600) t(i) where i % 40 < 39 union all select i, i + 40 from range(0, 1560) t(i)")
+def s7_generated_grid(spark, d):
+    return generated(spark, "grid", 40)
+
+
+@query("select i as vid, cast(0 as bigint) as comp from range(0, 1600) t(i)")
+def s7_grid_components(spark, d):
+    """Low-write connectivity on a generated grid."""
+    return connect.components_lowwrite(Graph.of(generated(spark, "grid", 40)).fixed(), beta=0.5)
+
+
+@query("select s_nationkey, count(*) as lines, cast(sum(l_linenumber) as bigint) as numbers from lineitem join supplier on l_suppkey = s_suppkey group by s_nationkey")
+def j10_salted_join(spark, d):
+    lines = load(spark, d, "lineitem", "l_suppkey", "l_orderkey", "l_linenumber").withColumnRenamed("l_suppkey", "s_suppkey")
+    joined = salted_join(lines, load(spark, d, "supplier", "s_suppkey", "s_nationkey"), "s_suppkey", ["l_orderkey", "l_linenumber"])
+    return joined.groupBy("s_nationkey").agg(F.count(F.lit(1)).alias("lines"), F.sum("l_linenumber").cast("bigint").alias("numbers"))
+
+
 @query(None)
 def w3_k_sweep(spark, d):
     """Centers * k / n and largest cluster for each k: the first stays flat."""

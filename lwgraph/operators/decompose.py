@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 from ..plans.graph import CostMeter, Graph
 from ..plans.scratch import materialize
 from ..sources.views import hash_below
+from .balls import ball_partition
 from .bfs import levels
 from .connect import components_star
 
@@ -146,8 +147,14 @@ class CenterDecomposition:
 
 
 def decompose(graph: Graph, k: int, seed: int = 0, *, mode: str = "recursive", meter: CostMeter | None = None) -> CenterDecomposition:
-    """Sample, cover components without a primary, split; ``primary_only`` leaves the clusters unsplit."""
+    """Sample, cover components without a primary, split; ``primary_only`` leaves the clusters unsplit.
+
+    ``balls`` takes a shifted-ball partition with mean delay k instead: few cut edges, no bound on sizes."""
     graph = graph.fixed()
+    if mode == "balls":
+        ball = ball_partition(graph, 1.0 / k, seed, meter=meter)
+        centers = materialize(ball.filter("hop = 0").select("vid", F.lit(True).alias("is_primary")), "centers")
+        return CenterDecomposition(graph, k, centers, ball.select("vid", F.col("source").alias("primary"), "hop", F.col("parent").alias("next")), centers.select("vid", F.col("vid").alias("center")).limit(0))
     primaries = materialize(sample_primaries(graph, k, seed), "primaries")
     hops = next_hops(graph, primaries)
     more, implicit = cover_orphans(graph, primaries, hops, k)
