@@ -34,10 +34,13 @@ def _fingerprint(chunk, bits: int):
     return whole if bits >= 64 else F.pmod(whole, F.lit(1 << bits))
 
 
+def _normal(text):
+    return ascii_lower(F.coalesce(text, F.lit("")))
+
+
 def _chunked(docs: DataFrame, min_chunk: int, max_chunk: int) -> DataFrame:
-    norm = ascii_lower(F.coalesce(F.col("text"), F.lit("")))
     pattern = F.lit(chunk_pattern(min_chunk, max_chunk))
-    return docs.select("doc_id", norm.alias("norm")).select(
+    return docs.select("doc_id", _normal(F.col("text")).alias("norm")).select(
         "doc_id", "norm", F.regexp_extract_all("norm", pattern, F.lit(0)).alias("chunks"))
 
 
@@ -91,10 +94,12 @@ def exact_groups(docs: DataFrame, **options) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """The rows of ``docs`` that stay, all columns; a repeated row stays once."""
-    ids = exact_groups(docs, **options).filter("kept").select(F.col("doc_id").alias("_kept_id"))
-    kept = docs.join(ids, docs["doc_id"].eqNullSafe(ids["_kept_id"]), "left_semi")
-    return kept.dropDuplicates(["doc_id"])
+    """The rows of ``docs`` that stay, all columns; of rows that share an id and a text one stays."""
+    kept = exact_groups(docs, **options).filter("kept").select(F.col("doc_id").alias("_kept_id"), F.col("text_sha256").alias("_kept_sha"))
+    # the input's own columns travel in a struct, so that clashing names do no harm
+    held = docs.select("doc_id", F.sha2(_normal(F.col("text")), 256).alias("_sha"), F.struct(*docs.columns).alias("_row"))
+    found = held.join(kept, held["doc_id"].eqNullSafe(kept["_kept_id"]) & (held["_sha"] == kept["_kept_sha"]), "left_semi")
+    return found.dropDuplicates(["doc_id", "_sha"]).select("_row.*")
 
 
 def op10_exact_dedup(spark, sf_dir):

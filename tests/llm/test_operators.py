@@ -42,6 +42,16 @@ def test_keep_one_and_empty(spark):
     assert exact_dedup.exact_groups(docs.limit(0)).count() == 0
 
 
+def test_keep_one_tells_texts_of_one_id_apart(spark):
+    """Several null ids, and ids with two texts: no text is lost."""
+    rows = [(None, "first"), (None, "second"), (None, "second"), (None, None), (5, "A text"), (5, "other"), (9, "OTHER"), (6, "one"), (6, "two"), (None, "ONE")]
+    docs = spark.createDataFrame([(i, t, "s") for i, t in rows], "doc_id long, text string, _row string").repartition(3)
+    out = exact_dedup.keep_one(docs)
+    assert out.columns == docs.columns
+    want = [(None, ""), (None, "first"), (None, "second"), (5, "a text"), (6, "one"), (6, "two"), (9, "other")]
+    assert sorted(((r.doc_id, lower(r.text)) for r in out.collect()), key=str) == sorted(want, key=str)
+
+
 def test_chunks_rebuild_the_text(spark):
     texts = [t or "" for _, t in ROWS]
     got = [m.group(0) for t in texts for m in re.finditer(exact_dedup.chunk_pattern().replace(r"\z", r"\Z"), t)]
