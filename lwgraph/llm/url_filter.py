@@ -14,7 +14,8 @@ antecedents are limited to ``max_items`` tokens.  That bound is what allows the
 broadcast of the index.
 
 The labels of ``op4`` are the verdicts of the fixed policy rules on the urls they fit.
-Mining uses at most ``max_rows`` labelled rows, by hash of the url.
+Mining uses every labelled row; FP-growth's trees merge equal token sets in the task that
+reads them, so a set or host that many rows share does not meet in one task.
 
 Defined results: a null url or one without ``://`` has empty host and path and no
 tokens; what no rule of either kind covers gets ``default``; repeated urls are judged alike.
@@ -36,7 +37,7 @@ POLICY = (
     ("block", "net", "/es/"),
     ("block", "net", "/fr/"),
 )
-MAX_ROWS, MAX_ITEMS = 20000, 3
+MAX_ITEMS = 3
 SUPPORT, CONFIDENCE = 0.01, 0.8
 DEFAULT = "allow"
 
@@ -71,10 +72,10 @@ def tokens(url: Column, host: Column, path: Column) -> Column:
     return F.array_distinct(F.concat(F.transform(labels, lambda x: F.concat(F.lit("host:"), x)), suffix, folded, F.transform(asked, lambda x: F.concat(F.lit("key:"), F.lower(x))), mark))
 
 
-def mine(labelled: DataFrame, *, support: float = SUPPORT, confidence: float = CONFIDENCE, max_items: int = MAX_ITEMS, max_rows: int = MAX_ROWS) -> DataFrame:
+def mine(labelled: DataFrame, *, support: float = SUPPORT, confidence: float = CONFIDENCE, max_items: int = MAX_ITEMS) -> DataFrame:
     """rule_id, antecedent, label, confidence, support from (tokens, label) rows."""
     spark = labelled.sparkSession
-    chosen = labelled.filter("label is not null").orderBy(F.xxhash64("tokens"), F.xxhash64("label")).limit(max_rows)
+    chosen = labelled.filter("label is not null")
     sample = materialize(chosen.select(F.concat("tokens", F.array(F.concat(F.lit("label:"), F.col("label")))).alias("items")), "transactions")
     empty = spark.createDataFrame([], "antecedent array<string>, label string, confidence double, support double")
     if sample.isEmpty():

@@ -112,6 +112,17 @@ def test_mined_rules_follow_the_labels(spark):
     assert ("host:a", "path:y") not in rules  # the shorter rule says it already
 
 
+def test_verdicts_of_a_repeated_table(spark):
+    """Three labelled token sets of 100 rows each: a hundred copies of every row change no verdict."""
+    urls = [u.format(n) for n in range(100) for u in ("https://s.com/shop/{}", "https://s.net/es/casino/{}", "https://t.net/fr/loterie/{}")]
+    urls += ["https://x.org/shop/1", "https://x.org/casino/1", "https://x.org/loterie/1", "https://x.org/other"]
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    many = pages.crossJoin(spark.range(100).withColumnRenamed("id", "copy")).select("page_id", "url")
+    seen = [{tuple(r) for r in url_filter.filter_urls(p).collect()} for p in (pages, many)]
+    assert seen[0] == seen[1] and len(seen[0]) == len(urls)
+    assert {r[0] - 300: r[4:] for r in seen[0] if r[0] >= 300} == {0: ("allow", "rules"), 1: ("block", "rules"), 2: ("block", "rules"), 3: ("allow", "default")}
+
+
 def test_sharding_round_trip(spark, tmp_path):
     rows = [(i, "t" * (i % 50), "s") for i in range(400)] + [(400, None, "s"), (5, "ttttt", "s")]
     docs = spark.createDataFrame(rows, "doc_id long, text string, shard_id string")
