@@ -12,6 +12,9 @@ from pyspark.sql import DataFrame, SparkSession
 from lwgraph.llm import exact_dedup, mixing, near_dedup, packing, toxicity
 from lwgraph.llm.common import load, materialize
 
+# Documents of the mixed order that packing may reorder among themselves: two blocks of mixing.
+STRETCH = 2 * mixing.BLOCK
+
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Learn on the labelled rows of the stage's own documents; rows at or above the threshold go."""
@@ -32,7 +35,8 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return packing.pack(docs, packing.vocabulary())
+    """Sequences follow the mixed order stretch by stretch; inside a stretch the curve holds."""
+    return packing.pack(mixing.stretches(docs.select("doc_id", "text"), STRETCH), packing.vocabulary(), stretch="stretch")
 
 
 STAGES = [

@@ -22,6 +22,7 @@ from __future__ import annotations
 
 import heapq
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -144,6 +145,28 @@ def mix(docs: DataFrame, weights: dict | None = None, **options) -> DataFrame:
     return placed.repartitionById(parts, where).sortWithinPartitions("position").select("_row.*")
 
 
+def stretches(docs: DataFrame, rows: int, name: str = "stretch") -> DataFrame:
+    """``docs`` with the number of the stretch of ``rows`` rows, along the physical order that ``mix`` gave, that each row is in.
+
+    In files that order is (number of the file, row in it), which Spark does not keep when it
+    reads them: large files come first.  Rows that come from no file count by partition.
+    """
+    try:
+        placed = docs.select("*", F.struct(F.col("_metadata.file_name").alias("part"), F.col("_metadata.row_index").alias("at")).alias("_place"))
+    except AnalysisException:
+        key = F.monotonically_increasing_id()
+        placed = docs.select("*", F.struct(F.lpad(F.shiftright(key, 33).cast("string"), 10, "0").alias("part"), key.bitwiseAND(F.lit((1 << 33) - 1)).alias("at")).alias("_place"))
+    # one row a file: the driver adds them up
+    counts = sorted(((r["part"], r["n"]) for r in placed.groupBy("_place.part").agg((F.max("_place.at") + 1).alias("n")).collect()), key=lambda c: (len(c[0].split("-")[1]) if c[0].startswith("part-") else 0, c[0]))
+    before, offsets = 0, []
+    for part, n in counts:
+        offsets.append((part, before))
+        before += n
+    table = docs.sparkSession.createDataFrame(offsets, "_part string, _before long")
+    number = F.floor((F.col("_before") + F.col("_place.at")) / F.lit(rows)).cast("long")
+    return placed.join(F.broadcast(table), F.col("_place.part") == F.col("_part")).withColumn(name, number).drop("_place", "_part", "_before")
+
+
 def op1_mixing(spark, sf_dir):
     return positions(load(spark, sf_dir, "documents", "doc_id", "source")).select("doc_id", "source", "block", "slot", "position")
 

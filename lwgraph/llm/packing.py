@@ -6,7 +6,10 @@ Documents are sorted by that index and laid end to end; cutting the line every
 ``length`` ids gives the sequences.  Only the last sequence of the whole corpus can be
 short; it is cut into powers of two, so nothing is padded.
 
-Order and offsets use narrow rows only: a range sort by (curve key, id), sums per sorted
+With a ``stretch`` column the corpus has an order of its own: stretches follow each other by
+its number, and the curve orders the documents inside each stretch only.
+
+Order and offsets use narrow rows only: a range sort by (stretch, curve key, id), sums per sorted
 partition, offsets of partitions.  The ids cross the network once, as 16-bit words, to meet their
 offsets.
 
@@ -185,8 +188,9 @@ def curve_keys(ids: list[np.ndarray], seed: int = 11) -> np.ndarray:
     return hilbert_index(whole, BITS).astype(np.int64)
 
 
-def tokenised(docs: DataFrame, path: str) -> DataFrame:
-    """(row_key, doc_id, curve_key, n, ids) with 16-bit little-endian ids that end with the end token."""
+def tokenised(docs: DataFrame, path: str, stretch: str | None = None) -> DataFrame:
+    """(row_key, doc_id, curve_key, n, ids and the stretch column) with 16-bit little-endian ids that end with the end token."""
+    more = [stretch] if stretch else []
 
     def run(batches):
         cache, key = worker_cache(path), TaskContext.get().partitionId() << 33
@@ -194,16 +198,18 @@ def tokenised(docs: DataFrame, path: str) -> DataFrame:
             for part in slices(batch, "text", 2 << 20):
                 ids = [np.append(i, np.uint16(END_ID)) for i in cache.encode([t or "" for t in part.column("text").to_pylist()])]
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(range(key, key + len(ids)), pa.int64()), part.column("doc_id"), pa.array(curve_keys(ids)), pa.array([len(i) for i in ids], pa.int64()), pa.array([i.astype("<u2").tobytes() for i in ids], pa.binary())],
-                    names=["row_key", "doc_id", "curve_key", "n", "ids"])
+                    [pa.array(range(key, key + len(ids)), pa.int64()), part.column("doc_id"), pa.array(curve_keys(ids)), pa.array([len(i) for i in ids], pa.int64()), pa.array([i.astype("<u2").tobytes() for i in ids], pa.binary()), *(part.column(c) for c in more)],
+                    names=["row_key", "doc_id", "curve_key", "n", "ids", *more])
                 key += len(ids)
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInArrow(releasing(run), f"row_key long, doc_id {kind}, curve_key long, n long, ids binary")
+    held = docs.select("doc_id", "text", *(F.col(c).cast("long").alias(c) for c in more))
+    return held.mapInArrow(releasing(run), f"row_key long, doc_id {kind}, curve_key long, n long, ids binary" + "".join(f", `{c}` long" for c in more))
 
 
-def line_starts(tokens: DataFrame) -> tuple[DataFrame, int]:
-    """((row_key, start) along the curve, total ids)."""
+def line_starts(tokens: DataFrame, stretch: str | None = None) -> tuple[DataFrame, int]:
+    """((row_key, start) along the curve, stretch after stretch, total ids)."""
+    line = [*([stretch] if stretch else []), "curve_key", "doc_id", "row_key"]
     width = shuffle_width(tokens.sparkSession)
 
     def running(batches):
@@ -213,8 +219,8 @@ def line_starts(tokens: DataFrame) -> tuple[DataFrame, int]:
             total = int(ends[-1]) if len(ends) else total
             yield pa.RecordBatch.from_arrays([b.column("part"), b.column("row_key"), b.column("n"), pa.array(ends, pa.int64())], names=["part", "row_key", "n", "ends"])
 
-    ordered = (tokens.select("row_key", "doc_id", "curve_key", "n").repartitionByRange(width, "curve_key", "doc_id", "row_key")
-               .sortWithinPartitions("curve_key", "doc_id", "row_key").select(F.spark_partition_id().alias("part"), "row_key", "n")
+    ordered = (tokens.select("n", *line).repartitionByRange(width, *line)
+               .sortWithinPartitions(*line).select(F.spark_partition_id().alias("part"), "row_key", "n")
                .mapInArrow(running, "part int, row_key long, n long, ends long"))
     local = materialize(ordered, "pack-order")
     # one row a partition: the driver adds them up
@@ -246,11 +252,13 @@ def cut_points(start: int, stop: int, total: int, length: int) -> list[int]:
     return [*cuts, at]
 
 
-def pack(docs: DataFrame, path: str, *, length: int = LENGTH, with_ids: bool = False) -> DataFrame:
-    """Pieces of documents: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, curve_key (and the ids on request)."""
+def pack(docs: DataFrame, path: str, *, length: int = LENGTH, with_ids: bool = False, stretch: str | None = None) -> DataFrame:
+    """Pieces of documents: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, curve_key (and the ids on request).
+
+    ``stretch`` names a column of whole numbers that the sequences follow before the curve."""
     with arrow_rows(docs.sparkSession, 2000):
-        tokens = materialize(tokenised(docs, path), "pack-tokens")
-    starts, total = line_starts(tokens)
+        tokens = materialize(tokenised(docs, path, stretch), "pack-tokens")
+    starts, total = line_starts(tokens, stretch)
     joined = tokens.join(starts, "row_key").select("doc_id", "curve_key", "ids", "line_start")
     full = total // length
 

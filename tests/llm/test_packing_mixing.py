@@ -91,6 +91,38 @@ def test_mix_keeps_rows_and_columns(spark):
     assert mixing.mix(docs.limit(0)).count() == 0
 
 
+def test_pipeline_sequences_follow_the_mix(spark, monkeypatch):
+    """The order of stage 4 reaches run()'s rows: stretch after stretch, and other weights give other sequences."""
+    import corpus_pipeline
+
+    d = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    sources = sorted(r.source for r in docs.select("source").distinct().collect())
+
+    def packed(weights):
+        mix = [("mixing", lambda s, rows, _: mixing.mix(rows, weights, block=8))] if weights else []
+        monkeypatch.setattr(corpus_pipeline, "STAGES", [*mix, ("packing", corpus_pipeline.pack_sequences)])
+        return sorted((r.sequence_id, r.offset, r.doc_id, r.start) for r in corpus_pipeline.run(spark, d).collect())
+
+    monkeypatch.setattr(corpus_pipeline, "STRETCH", 16)
+    one, other = ({s: 9 if s == most else 1 for s in sources} for most in (sources[0], sources[-1]))
+    got = packed(one)
+    where = {r.doc_id: r.position // 16 for r in mixing.positions(docs.select("doc_id", "source"), one, block=8).collect()}
+    met = [where[i] for _, _, i, start in got if start == 0]
+    assert met == sorted(met) and len(met) == docs.count() and max(met) > 5
+    assert packed(other) != got and packed(None) != got
+
+
+def test_stretches_count_along_files_and_partitions(spark, tmp_path):
+    rows = spark.range(100).repartitionByRange(3, "id").sortWithinPartitions("id")
+    assert all(r.stretch == r.id // 7 for r in mixing.stretches(rows, 7).collect())
+    uneven = spark.range(100).selectExpr("id", "case when id < 2 then 0 when id < 10 then 1 else 2 end as p").repartitionById(3, "p").sortWithinPartitions("id")
+    uneven.select("id").write.parquet(f"{tmp_path}/t")
+    for read in (spark.read.parquet(f"{tmp_path}/t"), spark.read.parquet(f"{tmp_path}/t").select("id")):
+        assert all(r.stretch == r.id // 7 for r in mixing.stretches(read, 7).collect())
+    assert mixing.stretches(spark.range(0), 7).count() == 0
+
+
 def test_every_character_is_cut_as_the_tokenizer_cuts_it():
     cache = packing.WordCache(packing.vocabulary())
     points = [*range(0x3400), *range(0xA000, 0xD800), *range(0xF900, 0x10000), *range(0x1E000, 0x20000)]
