@@ -1,7 +1,9 @@
 """Center decomposition: sampled primaries, nearest by lexicographically least shortest paths, split to bounded clusters.
 
-Only the centers and their one-bit label are stored.  The map from vertices to centers
+Only the centers and their one-bit label are kept.  The map from vertices to centers
 is a rule: follow ``next`` (the least neighbour one hop nearer a primary) until a center.
+``lookup_center`` applies it to asked vertices from their own searches.  Building, and the batch
+``lookup``, write tables of one row a vertex while they run; the meter counts these rows too.
 """
 
 from __future__ import annotations
@@ -30,33 +32,43 @@ def sample_primaries(graph: Graph, k: int, seed: int = 0, *, max_ratio: float =
     return found
 
 
+def _counted(table: DataFrame, stage: str, meter: CostMeter | None, rounds: int = 0) -> DataFrame:
+    if meter:
+        meter.add(stage, writes=table.count(), rounds=rounds)
+    return table
+
+
 def next_hops(graph: Graph, primaries: DataFrame, meter: CostMeter | None = None) -> DataFrame:
     """(vid, primary, hop, next) of every vertex that some primary reaches."""
+    if meter:
+        meter.add("level", writes=primaries.count())
     found = levels(graph, primaries, meter=meter)
-    return materialize(found.select("vid", F.col("source").alias("primary"), "hop", F.col("parent").alias("next")), "next-hops")
+    return _counted(materialize(found.select("vid", F.col("source").alias("primary"), "hop", F.col("parent").alias("next")), "next-hops"), "next hops", meter)
 
 
-def cover_orphans(graph: Graph, primaries: DataFrame, hops: DataFrame, k: int) -> tuple[DataFrame, DataFrame]:
+def cover_orphans(graph: Graph, primaries: DataFrame, hops: DataFrame, k: int, meter: CostMeter | None = None) -> tuple[DataFrame, DataFrame]:
     """(more primaries, implicit (vid, center)): components without a primary get their least vertex,
     as a stored primary from k vertices on, else implicitly."""
-    lost = materialize(graph.vertices.join(hops.select("vid"), "vid", "left_anti"), "orphans")
+    lost = _counted(materialize(graph.vertices.join(hops.select("vid"), "vid", "left_anti"), "orphans"), "orphans", meter)
     if lost.isEmpty():
         return primaries.limit(0), lost.select("vid", F.col("vid").alias("center"))
     inside = graph.edges.join(lost.withColumnRenamed("vid", "a"), "a", "left_semi")
-    comp = materialize(components_star(Graph(lost, inside)), "orphan-components")
+    comp = _counted(materialize(components_star(Graph(lost, inside)), "orphan-components"), "orphans", meter)
     sizes = comp.groupBy("comp").agg(F.count(F.lit(1)).alias("n"))
     big = sizes.filter(F.col("n") >= k).select(F.col("comp").alias("vid"))
     small = comp.join(sizes.filter(F.col("n") < k), "comp").select("vid", F.col("comp").alias("center"))
     return big, small
 
 
-def center_of(hops: DataFrame, centers: DataFrame, max_rounds: int = 64) -> DataFrame:
+def center_of(hops: DataFrame, centers: DataFrame, max_rounds: int = 64, meter: CostMeter | None = None) -> DataFrame:
     """(vid, center): the first center on the way to the primary, by doubling that stops at centers."""
     marked = hops.join(centers.select("vid", F.lit(True).alias("is_center")), "vid", "left")
     now = materialize(marked.select("vid", F.when(F.coalesce("is_center", F.lit(False)), F.col("vid")).otherwise(F.col("next")).alias("center"), F.coalesce("is_center", F.lit(False)).alias("done")), "center")
+    _counted(now, "center of all", meter)
     for _ in range(max_rounds):
         ahead = now.select(F.col("vid").alias("center"), F.col("center").alias("further"), F.col("done").alias("stop"))
         then = materialize(now.join(ahead, "center").select("vid", F.col("further").alias("center"), F.col("done"), (F.col("further") != F.col("center")).alias("moved")), "center")
+        _counted(then, "center of all", meter, rounds=1)
         now = then.select("vid", "center", "done")
         if then.filter("moved").isEmpty():
             return now.select("vid", "center")
@@ -95,7 +107,7 @@ def split_clusters(hops: DataFrame, centers: DataFrame, k: int, *, mode: str = "
         return _levelwise(hops, centers, k)
     for _ in range(max_rounds):
         all_centers = centers if extra is None else centers.unionByName(extra)
-        where = materialize(center_of(hops, all_centers).join(hops, "vid"), "clusters")
+        where = _counted(materialize(center_of(hops, all_centers, meter=meter).join(hops, "vid"), "clusters"), "clusters", meter)
         full = where.groupBy("center").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > k).select("center")
         heads = where.join(full, "center").withColumn("rank", F.row_number().over(Window.partitionBy("center").orderBy("hop", "vid"))).filter(F.col("rank") <= k + 1)
         made = materialize(heads.select("center", "vid", "hop", "next").groupBy("center").applyInArrow(_split_rows(mode == "recursive_children", k), "vid long"), "secondaries")
@@ -104,7 +116,7 @@ def split_clusters(hops: DataFrame, centers: DataFrame, k: int, *, mode: str = "
             meter.add("split", writes=n, rounds=1)
         if n == 0:
             return extra if extra is not None else made
-        extra = made if extra is None else materialize(extra.unionByName(made).distinct(), "secondaries")
+        extra = made if extra is None else _counted(materialize(extra.unionByName(made).distinct(), "secondaries"), "split", meter)
     raise RuntimeError("clusters did not shrink")
 
 
@@ -132,13 +144,13 @@ def _levelwise(hops: DataFrame, centers: DataFrame, k: int) -> DataFrame:
 class CenterDecomposition:
     graph: Graph
     k: int
-    centers: DataFrame  # vid, is_primary: all that is stored
-    hops: DataFrame  # transient
-    implicit: DataFrame  # vid, center of components below k without a primary: never stored
+    centers: DataFrame  # vid, is_primary: all that asked vertices need
+    hops: DataFrame  # one row a vertex, written while building and read by the batch look-up
+    implicit: DataFrame  # vid, center of components below k without a primary; written while building, for the batch look-up
 
-    def lookup(self) -> DataFrame:
-        """(vid, center, is_implicit) of all vertices, recomputed from the stored centers."""
-        own = center_of(self.hops, self.centers.select("vid"))
+    def lookup(self, meter: CostMeter | None = None) -> DataFrame:
+        """(vid, center, is_implicit) of all vertices, by doubling over the table of next hops."""
+        own = center_of(self.hops, self.centers.select("vid"), meter=meter)
         return own.withColumn("is_implicit", F.lit(False)).unionByName(self.implicit.withColumn("is_implicit", F.lit(True)))
 
     def materialize(self) -> DataFrame:
@@ -151,24 +163,27 @@ def decompose(graph: Graph, k: int, seed: int = 0, *, mode: str = "recursive", m
 
     ``balls`` takes a shifted-ball partition with mean delay k instead: few cut edges, no bound on sizes."""
     graph = graph.fixed()
+    if meter:
+        meter.add("graph copy", writes=graph.vertices.count() + graph.edges.count())
     if mode == "balls":
         ball = ball_partition(graph, 1.0 / k, seed, meter=meter)
         centers = materialize(ball.filter("hop = 0").select("vid", F.lit(True).alias("is_primary")), "centers")
         return CenterDecomposition(graph, k, centers, ball.select("vid", F.col("source").alias("primary"), "hop", F.col("parent").alias("next")), centers.select("vid", F.col("vid").alias("center")).limit(0))
     primaries = materialize(sample_primaries(graph, k, seed), "primaries")
-    hops = next_hops(graph, primaries)
-    more, implicit = cover_orphans(graph, primaries, hops, k)
-    more = materialize(more, "more-primaries")
+    hops = next_hops(graph, primaries, meter)
+    more, implicit = cover_orphans(graph, primaries, hops, k, meter)
+    more = _counted(materialize(more, "more-primaries"), "primaries", meter)
     if not more.isEmpty():
         primaries = materialize(primaries.unionByName(more), "primaries")
-        hops = next_hops(graph, primaries)
+        hops = next_hops(graph, primaries, meter)
     if meter:
         meter.add("primaries", ops=2 * graph.edges.count(), writes=primaries.count(), rounds=1)
     centers = primaries.withColumn("is_primary", F.lit(True))
     if mode != "primary_only":
         second = split_clusters(hops, primaries, k, mode=mode, meter=meter).join(primaries, "vid", "left_anti")
         centers = centers.unionByName(second.distinct().withColumn("is_primary", F.lit(False)))
-    return CenterDecomposition(graph, k, materialize(centers, "centers"), hops, materialize(implicit, "implicit"))
+    centers, implicit = materialize(centers, "centers"), materialize(implicit, "implicit")
+    return CenterDecomposition(graph, k, _counted(centers, "centers", meter), hops, _counted(implicit, "implicit", meter))
 
 
 def check_decomposition(dec: CenterDecomposition) -> DataFrame:
@@ -190,12 +205,16 @@ def check_decomposition(dec: CenterDecomposition) -> DataFrame:
 def lookup_center(dec: CenterDecomposition, asked: DataFrame, max_hops: int = 10_000, meter: CostMeter | None = None) -> DataFrame:
     """(vid, center) of the asked vertices only: each searches outward until its level holds a primary, then walks to the first center.
 
-    A query's search state is its own visited set; nothing of it is kept afterwards."""
+    A vertex of level i that leads on to a primary of level h is h - i hops from its nearest primary,
+    and its neighbours one hop nearer are exactly those of level i + 1 that lead on too: the least
+    of them is the next hop.  A search that ends without a primary has seen a whole component,
+    whose least vertex is its center.  Only centers and arcs are read; a query's levels are its own
+    and nothing of them is kept afterwards."""
     arcs, primary = dec.graph.arcs().select("src", "dst"), dec.centers.filter("is_primary").select(F.col("vid").alias("at"), F.lit(True).alias("hit"))
     asked = materialize(asked.select(F.col("vid").alias("qid")).distinct(), "asked")
     front = materialize(asked.select("qid", F.col("qid").alias("at")).join(primary, "at", "left").select("qid", "at", F.coalesce("hit", F.lit(False)).alias("hit")), "look")
-    seen, done, ops = front.select("qid", "at"), front.filter("hit").select("qid", F.lit(0).alias("hop")), front.count()
-    for h in range(1, max_hops):
+    levels_, seen, done, ops = [front], front.select("qid", "at"), front.filter("hit").select("qid"), front.count()
+    for _ in range(1, max_hops):
         going = front.join(done, "qid", "left_anti")
         step = going.select("qid", F.col("at").alias("src")).join(arcs, "src").select("qid", F.col("dst").alias("at")).distinct().join(seen, ["qid", "at"], "left_anti")
         front = materialize(step.join(primary, "at", "left").select("qid", "at", F.coalesce("hit", F.lit(False)).alias("hit")), "look")
@@ -203,14 +222,30 @@ def lookup_center(dec: CenterDecomposition, asked: DataFrame, max_hops: int = 10
         ops += n
         if n == 0:
             break
+        levels_.append(front)
         seen = seen.unionByName(front.select("qid", "at"))
-        done = done.unionByName(front.filter("hit").select("qid").distinct().withColumn("hop", F.lit(h)))
+        done = done.unionByName(front.filter("hit").select("qid").distinct())
+    # back from the last level: the vertices that lead on to a primary, with their next hops
+    ways: list[DataFrame] = []
+    for front in reversed(levels_):
+        here = front.filter("hit").select("qid", "at", F.lit(None).cast("bigint").alias("next"))
+        if ways:
+            nearer = ways[-1].select("qid", F.col("at").alias("dst"))
+            led = front.withColumnRenamed("at", "src").join(arcs, "src").join(nearer, ["qid", "dst"]).groupBy("qid", F.col("src").alias("at")).agg(F.min("dst").alias("next"))
+            here = here.unionByName(led.select("qid", "at", "next"))
+        ways.append(_counted(materialize(here, "ways"), "look-up", meter))
+    # forth again, level by level, until the first center
+    center, spot, found = dec.centers.select(F.col("vid").alias("at"), F.lit(True).alias("stop")), asked.select("qid", F.col("qid").alias("at")), None
+    for way in reversed(ways):
+        on = materialize(spot.join(way, ["qid", "at"]).join(center, "at", "left").select("qid", "at", "next", F.coalesce("stop", F.lit(False)).alias("stop")), "walk")
+        _counted(on, "look-up", meter)
+        ended = on.filter("stop").select("qid", F.col("at").alias("center"))
+        found = ended if found is None else found.unionByName(ended)
+        spot = on.filter("not stop").select("qid", F.col("next").alias("at"))
+    alone = seen.join(done, "qid", "left_anti").groupBy("qid").agg(F.min("at").alias("center"))
     if meter:
-        meter.add("look-up", ops=ops)
-    # the visited balls hold every vertex of the shortest paths; inside them distances to primaries are exact along those paths
-    near = seen.select(F.col("at").alias("vid")).distinct().join(dec.hops, "vid")
-    own = center_of(near, dec.centers.select("vid"))
-    return asked.select(F.col("qid").alias("vid")).join(own.unionByName(dec.implicit), "vid", "left")
+        meter.add("look-up", ops=ops, writes=ops)
+    return asked.join(found.unionByName(alone), "qid", "left").select(F.col("qid").alias("vid"), "center")
 
 
 def members_of(dec: CenterDecomposition, centers: DataFrame) -> DataFrame:

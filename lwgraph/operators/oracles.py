@@ -23,7 +23,7 @@ def _quotient_graph(q: DataFrame, where: DataFrame) -> Graph:
 
 @dataclass
 class ConnectivityOracle:
-    """Stored: centers with a bit, and one component label a center."""
+    """Kept: centers with a bit, and one component label a center; building writes tables of all vertices besides."""
 
     dec: CenterDecomposition
     labels: DataFrame  # center, comp
@@ -32,13 +32,13 @@ class ConnectivityOracle:
     def build(cls, graph: Graph, omega: float = 16.0, *, k: int | None = None, seed: int = 0, quotient_mode: str = "implicit", meter: CostMeter | None = None) -> ConnectivityOracle:
         k = k or max(2, round(omega**0.5))
         dec = decompose(graph, k, seed, meter=meter)
-        where = dec.lookup()
+        where = dec.lookup(meter)
         q = quotient(dec.graph, where)
         if quotient_mode == "explicit":
             q = materialize(q, "quotient")
             if meter:
                 meter.add("quotient", writes=q.count())
-        comp, _ = forest_of(q.select(F.col("ca").alias("a"), F.col("cb").alias("b"), F.col("rep_a").alias("ra"), F.col("rep_b").alias("rb")))
+        comp, _ = forest_of(q.select(F.col("ca").alias("a"), F.col("cb").alias("b"), F.col("rep_a").alias("ra"), F.col("rep_b").alias("rb")), meter)
         labels = where.select("center").distinct().join(comp.withColumnRenamed("vid", "center"), "center", "left").select("center", F.coalesce("comp", "center").alias("comp"))
         labels = materialize(labels, "oracle-labels")
         if meter:

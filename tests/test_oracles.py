@@ -7,7 +7,7 @@ import pytest
 
 from lwgraph.operators import blocks, connect, decompose
 from lwgraph.operators.oracles import BiconnectivityOracle, ConnectivityOracle, lowpoint_blocks
-from lwgraph.plans.graph import Graph
+from lwgraph.plans.graph import CostMeter, Graph
 
 
 def random_edges(seed, n=60, extra=25, cap=4):
@@ -136,3 +136,17 @@ def test_empty_and_degenerate(spark):
     g = Graph.of(spark.createDataFrame([(1, 1), (2, None)], "x long, y long"), spark.createDataFrame([(5,)], "vid long")).fixed()
     assert sorted(r.vid for r in g.vertices.collect()) == [1, 5] and g.edges.count() == 0
     assert sorted((r.vid, r.comp) for r in connect.components_lowwrite(g, beta=0.5).collect()) == [(1, 1), (5, 5)]
+
+
+@pytest.mark.parametrize("seed", [3, 4])
+def test_lookup_needs_no_table_of_all_vertices(spark, seed):
+    """All vertices are looked up from centers and arcs alone, also where no primary can be reached."""
+    edges, vertices = random_edges(seed)
+    meter = CostMeter("decomposition")
+    dec = decompose.decompose(graph_of(spark, edges, vertices), 5, seed, meter=meter)
+    want = {r.vid: r.center for r in dec.lookup().collect()}
+    dec.hops = dec.implicit = None
+    assert {r.vid: r.center for r in decompose.lookup_center(dec, dec.graph.vertices).collect()} == want
+    # next hops and the tables of centers hold one row a vertex each
+    assert sum(writes for _, stage, _, writes, _, _ in meter.rows if stage == "next hops") >= len(vertices) - 10
+    assert meter.total()[1] >= 2 * len(vertices)
