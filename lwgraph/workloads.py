@@ -135,15 +135,35 @@ def order_pairs(spark, d) -> DataFrame:
     return load(spark, d, "orders", "o_orderkey").filter("o_orderkey <= 1000").select(F.col("o_orderkey").alias("qid"), F.col("o_orderkey").alias("u"), (F.pmod(F.col("o_orderkey") * 7919, F.lit(15000)) + 1).alias("v"))
 
 
+ALL_PAIRS = """select 2 * o_orderkey as qid, o_orderkey as u, o_orderkey + 1 as v from orders
+union all select 2 * o_orderkey + 1, o_orderkey, (o_orderkey * 7919) % (select max(o_orderkey) from orders) + 1 from orders"""
+
+
+def all_pairs(spark, d) -> DataFrame:
+    """Every order with its successor, and with a key dealt over the whole range."""
+    from .sources.views import load
+
+    orders = load(spark, d, "orders", "o_orderkey")
+    top = orders.agg(F.max("o_orderkey")).head()[0] or 1
+    u = F.col("o_orderkey")
+    both = F.explode(F.array(F.struct((2 * u).alias("qid"), u.alias("u"), (u + 1).alias("v")), F.struct((2 * u + 1).alias("qid"), u.alias("u"), (F.pmod(u * 7919, F.lit(top)) + 1).alias("v"))))
+    return orders.select(both.alias("pair")).select("pair.*")
+
+
 @query(_one(COMP, f"select qid, x.comp = y.comp as connected from ({PAIRS}) left join answers x on x.vid = u left join answers y on y.vid = v"))
 def c9_connected_pairs(spark, d):
     return connect.connected(of_view(profile(spark, d)["components"], "order_chain"), order_pairs(spark, d))
 
 
+@query(_one(COMP, f"select qid, x.comp = y.comp as connected from ({ALL_PAIRS}) left join answers x on x.vid = u left join answers y on y.vid = v"))
+def c9_connected_all_pairs(spark, d):
+    return connect.connected(of_view(profile(spark, d)["components"], "order_chain"), all_pairs(spark, d))
+
+
 @query(None)
 def t10_same_block(spark, d):
     n = PROFILED.index("order_chain")
-    shifted = order_pairs(spark, d).select("qid", (F.col("u") + n * RANGE).alias("u"), (F.col("v") + n * RANGE).alias("v"))
+    shifted = all_pairs(spark, d).select("qid", (F.col("u") + n * RANGE).alias("u"), (F.col("v") + n * RANGE).alias("v"))
     return blocks.same_block(profile(spark, d)["labelling"], shifted)
 
 

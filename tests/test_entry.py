@@ -32,3 +32,14 @@ def test_plans_have_no_cartesian_products(spark):
         plan = entry.queries()[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
         assert "CartesianProduct" not in plan and "BroadcastNestedLoopJoin" not in plan, name
     assert "PushedFilters: [IsNotNull(l_quantity), GreaterThanOrEqual(l_quantity,45.0)]" in entry.queries()["q_scan_prune"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
+
+
+def test_pairs_cover_every_order(spark):
+    from lwgraph.workloads import all_pairs
+
+    d = "/root/testdata/sf0.001"
+    orders = {r.o_orderkey for r in spark.read.parquet(f"{d}/orders.parquet").select("o_orderkey").collect()}
+    got = all_pairs(spark, d).collect()
+    assert len({r.qid for r in got}) == len(got) == 2 * len(orders) and {r.u for r in got} == orders
+    assert {(u, u + 1) for u in orders} <= {(r.u, r.v) for r in got}
+    assert max(r.v for r in got if r.qid % 2) > 0.9 * max(orders)
