@@ -210,9 +210,8 @@ def u1_expanded_components(spark, d):
 
 @query(oracle.bridges("part_supplier_slice"))
 def u3_expanded_bridges(spark, d):
-    g, _ = degree.expand(graph_view(spark, d, "part_supplier_slice").fixed(), 4)
-    g = g.fixed()
-    return degree.project_bridges(blocks.bridges(blocks.block_labelling(g, blocks.root_forest(g, connect.forest_boruvka(g)))))
+    g, names = degree.expand(graph_view(spark, d, "part_supplier_slice").fixed(), 4, explicit=True)
+    return degree.project_edges(blocks.bridges(blocks.block_labelling(g, beta=0.5)), materialize(names, "names"))
 
 
 PERC = "select e.a as x, e.b as y from (select distinct least(x, y) as a, greatest(x, y) as b from ({e}) where y is not null) e where substr(md5(concat_ws(':', '5', cast(e.a as varchar), cast(e.b as varchar))), 1, 8) < '{t}'"

@@ -7,8 +7,9 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.adjacency import adjacency
 from ..plans.graph import CostMeter, Graph
-from ..plans.scratch import materialize
+from ..plans.scratch import discard, materialize, measured, watched
 
 
 def shifts(vertices: DataFrame, beta: float, seed: int = 0, *, start_rule: str = "shifted", start_cap: int | None = None) -> DataFrame:
@@ -27,55 +28,94 @@ def shifts(vertices: DataFrame, beta: float, seed: int = 0, *, start_rule: str =
     return delays.select("vid", F.floor(begin).cast("int").alias("start"), (begin - F.floor(begin)).alias("frac"))
 
 
+SEEN_TABLES = 8  # levels that are read one by one before they are merged
+
+
 def ball_partition(graph: Graph, beta: float, seed: int = 0, *, start_rule: str = "shifted", tie_rule: str = "min_id", start_cap: int | None = None,
-                   materialize_messages: bool = False, meter: CostMeter | None = None) -> DataFrame:
-    """(vid, source, hop, parent) for every vertex; ``parent`` spans each ball by shortest paths.
+                   materialize_messages: bool = False, parents: bool = True, meter: CostMeter | None = None) -> DataFrame:
+    """(vid, source, hop, parent) for every vertex; ``parent`` spans each ball by shortest paths, null without ``parents``.
 
     Each round grows the frontier by a hop and admits the vertices whose start has come.
-    Rounds in which nothing can happen are skipped.  ``materialize_messages`` stores every
-    message as the classical search does, for comparison."""
-    arcs = graph.arcs().select("src", "dst")
-    starts = materialize(shifts(graph.vertices, beta, seed, start_rule=start_rule, start_cap=start_cap), "starts")
+    Rounds in which nothing can happen are skipped.  A neighbour of what was reached in one
+    round was reached in that round, the one before, or will be in the next: messages are held
+    against two rounds, only vertices that start against all.  ``materialize_messages`` stores
+    every message as the classical search does, for comparison."""
+    starts, seen = measured(shifts(graph.vertices, beta, seed, start_rule=start_rule, start_cap=start_cap), "starts")
+    if meter:
+        meter.add("starts", ops=seen["rows"], writes=seen["rows"])
     left = [r[0] for r in starts.groupBy("start").count().select("start").orderBy("start").toLocalIterator()]  # one number a round, O(log n / beta) of them
-    key = F.struct("frac", "source") if tie_rule == "fraction" else F.struct(F.lit(0.0).alias("frac"), F.col("source"))
-    total, reached, layers, seen, front, time = graph.vertices.count(), 0, [], None, None, left[0] if left else 0
-    at = 0
-    while reached < total:
-        while at < len(left) and left[at] < time:
-            at += 1
-        fresh = starts.filter(F.col("start") == time).select("vid", F.col("vid").alias("source"), F.lit(0).alias("hop"), F.lit(None).cast("bigint").alias("parent"), "frac")
-        if front is not None:
-            sent = front.select(F.col("vid").alias("src"), "source", "hop", "frac").join(arcs, "src").select(F.col("dst").alias("vid"), "source", (F.col("hop") + 1).alias("hop"), F.col("src").alias("parent"), "frac")
-            if materialize_messages:
-                sent = materialize(sent, "messages")
-                if meter:
-                    n = sent.count()
-                    meter.add("messages", ops=n, writes=n)
-            fresh = fresh.unionByName(sent)
-        if seen is not None:
-            fresh = fresh.join(seen, "vid", "left_anti")
-        best = fresh.groupBy("vid").agg(F.min(F.struct(key.alias("key"), "parent", "source", "hop", "frac")).alias("w"))
-        front = materialize(best.select("vid", "w.source", "w.hop", "w.parent", "w.frac"), "ball-level")
-        n = front.count()
-        reached += n
-        if meter:
-            meter.add("growth", ops=n, writes=n, rounds=1)
-        if n:
-            layers.append(front)
-            seen = front.select("vid") if seen is None else seen.unionByName(front.select("vid"))
-            time += 1
-        else:
-            later = [s for s in left[at:] if s > time]
-            front = None
-            if not later:
-                break
-            time = later[0]
+    total, reached, layers, time = seen["rows"], 0, [], left[0] if left else 0
+    known: list[DataFrame] = []  # vertices of all layers, merged now and then
+    recent: list[DataFrame | None] = [None, None]  # this round and the one before; None where it was empty
+    with adjacency(graph) as arcs:
+        while True:
+            fresh = starts.filter(F.col("start") == time).select("vid", F.col("vid").alias("source"), F.lit(0).alias("hop"), "frac")
+            for table in known:
+                fresh = fresh.join(table, "vid", "left_anti")
+            front, looked = recent[0], None
+            if front is not None:
+                sent, looked = watched(front.select(F.col("vid").alias("src"), "source", "hop", "frac").join(arcs.select("src", "dst"), "src").select(F.col("dst").alias("vid"), "source", (F.col("hop") + 1).alias("hop"), "frac"))
+                if materialize_messages:
+                    sent, told = measured(sent, "messages")
+                    if meter:
+                        meter.add("messages", writes=told["rows"])
+                fresh = fresh.unionByName(sent)
+            # the winner's source, hop and fraction: hash aggregates, a source has one hop count a round
+            best = F.col("frac") if tie_rule == "fraction" else F.col("source")
+            won = fresh.groupBy("vid").agg(F.min_by("source", best).alias("source"), F.min_by("hop", best).alias("hop"), F.min_by("frac", best).alias("frac"))
+            for table in recent:
+                if table is not None:
+                    won = won.join(table.select("vid"), "vid", "left_anti")
+            front, seen = measured(won, "ball-level")
+            n = seen["rows"]
+            reached += n
+            if meter:
+                meter.add("growth", ops=looked.rows if looked else 0, writes=n, rounds=1, scratch_peak=n)
+            recent = [front if n else None, recent[0]]
+            if n:
+                layers.append(front)
+                known.append(front.select("vid"))
+                if len(known) == SEEN_TABLES:
+                    merged = known[0]
+                    for table in known[1:]:
+                        merged = merged.unionByName(table)
+                    merged, told = measured(merged, "ball-known")
+                    known = [merged]
+                    if meter:
+                        meter.add("growth", writes=told["rows"])
+                time += 1
+                # a count of a repeated stage may be too high: only an exact one ends the rounds early
+                if reached >= total and sum(x.count() for x in layers) >= total:
+                    break
+            else:  # no messages are under way: go on where the next vertex starts
+                later = [s for s in left if s > time]
+                if not later:
+                    break
+                recent, time = [None, None], later[0]
     if not layers:
         return graph.vertices.select("vid", F.col("vid").alias("source"), F.lit(0).alias("hop"), F.lit(None).cast("bigint").alias("parent"))
     out = layers[0]
     for x in layers[1:]:
         out = out.unionByName(x)
-    return materialize(out.select("vid", "source", "hop", "parent"), "balls")
+    out = out.select("vid", "source", "hop", F.lit(None).cast("bigint").alias("parent"))
+    if parents:
+        out = with_parents(graph, out, meter)
+    out, told = measured(out, "balls")
+    discard(starts, *layers)
+    if meter:
+        meter.add("balls", writes=told["rows"])
+    return out
+
+
+def with_parents(graph: Graph, ball: DataFrame, meter: CostMeter | None = None) -> DataFrame:
+    """``ball`` with the least neighbour of the same ball one hop nearer its source: one pass over the edges, not one a round."""
+    near = ball.select(F.col("vid").alias("src"), "source", (F.col("hop") + 1).alias("hop"))
+    sent, looked = watched(near.join(graph.arcs().select("src", "dst"), "src").select(F.col("dst").alias("vid"), "source", "hop", "src"))
+    found = sent.join(ball.select("vid", "source", "hop"), ["vid", "source", "hop"], "left_semi").groupBy("vid").agg(F.min("src").alias("parent"))
+    out = materialize(ball.drop("parent").join(found, "vid", "left").select("vid", "source", "hop", "parent"), "ball-parents")
+    if meter:
+        meter.add("ball trees", ops=looked.rows)
+    return out
 
 
 def ball_trees(ball: DataFrame) -> DataFrame:

@@ -5,31 +5,38 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.adjacency import adjacency
 from ..plans.graph import CostMeter, Graph
-from ..plans.scratch import materialize
+from ..plans.scratch import measured, watched
 
 
-def levels(graph: Graph, sources: DataFrame, *, max_hops: int | None = None, meter: CostMeter | None = None) -> DataFrame:
+def levels(graph: Graph, sources: DataFrame, *, max_hops: int | None = None, meter: CostMeter | None = None, order: str = "vid") -> DataFrame:
     """(vid, source, hop, parent): nearest source by hops, then by the least path.
 
     The parent of a vertex is its least neighbour one level nearer, so following parents
-    gives the lexicographically least shortest path to a source.  Messages of a level are
-    transient; what is kept is one row a vertex reached."""
-    arcs = graph.arcs().select("src", "dst")
-    front = materialize(sources.select(F.col(sources.columns[0]).alias("vid")).distinct().select("vid", F.col("vid").alias("source"), F.lit(0).alias("hop"), F.lit(None).cast("bigint").alias("parent")), "levels")
-    layers, seen, hop = [front], front.select("vid"), 0
-    while max_hops is None or hop < max_hops:
-        reached = (front.select(F.col("vid").alias("src"), "source").join(arcs, "src").groupBy("dst").agg(F.min(F.struct("src", "source")).alias("via"))
-                   .select(F.col("dst").alias("vid"), F.col("via.source").alias("source"), F.lit(hop + 1).alias("hop"), F.col("via.src").alias("parent")))
-        front = materialize(reached.join(seen, "vid", "left_anti"), "levels")
-        n = front.count()
+    gives the lexicographically least shortest path to a source; ``order="hash"`` ranks vertices
+    by a hash of their id instead.  Messages of a level are transient; what is kept is one row a
+    vertex reached.  Neighbours of a level lie in it, in the one before or in the next one, so
+    that only two levels are read to find what is new."""
+    with adjacency(graph) as arcs:
+        start = sources.select(F.col(sources.columns[0]).alias("vid")).distinct().select("vid", F.col("vid").alias("source"), F.lit(0).alias("hop"), F.lit(None).cast("bigint").alias("parent"))
+        front, seen = measured(start, "levels")
         if meter:
-            meter.add("level", ops=0, writes=n, rounds=1)
-        if n == 0:
-            break
-        layers.append(front)
-        seen = seen.unionByName(front.select("vid"))
-        hop += 1
+            meter.add("level", writes=seen["rows"])
+        layers, hop = [front], 0
+        rank = F.col("src") if order == "vid" else F.xxhash64("src")
+        while seen["rows"] and (max_hops is None or hop < max_hops):
+            sent, looked = watched(front.select(F.col("vid").alias("src"), "source").join(arcs.select("src", "dst"), "src"))
+            # one neighbour has one source: two hash aggregates, no struct to sort by
+            reached = sent.groupBy("dst").agg(F.min_by("src", rank).alias("parent"), F.min_by("source", rank).alias("source")) \
+                .select(F.col("dst").alias("vid"), "source", F.lit(hop + 1).alias("hop"), "parent")
+            known = layers[-1].select("vid") if len(layers) == 1 else layers[-1].select("vid").unionByName(layers[-2].select("vid"))
+            front, seen = measured(reached.join(known, "vid", "left_anti"), "levels")
+            if meter:
+                meter.add("level", ops=looked.rows, writes=seen["rows"], rounds=1, scratch_peak=seen["rows"])
+            if seen["rows"]:
+                layers.append(front)
+                hop += 1
     out = layers[0]
     for x in layers[1:]:
         out = out.unionByName(x)

@@ -14,32 +14,54 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.graph import CostMeter, Graph
-from ..plans.scratch import materialize
-from .connect import components_star, forest_of, spanning_forest
+from ..plans.scratch import discard, materialize, measured, watched
+from . import local
+from .connect import components_lowwrite, components_star, forest_of
 from .trees import global_index, leaffix
 
 
 def euler_circuit(tree: DataFrame, roots: DataFrame) -> DataFrame:
-    """(src, dst, nsrc, ndst): arcs of the forest (a, b) with their successors, broken before each root's first arc; roots(vid)."""
-    arcs = tree.select(F.explode(F.array(F.struct(F.col("a").alias("src"), F.col("b").alias("dst")), F.struct(F.col("b").alias("src"), F.col("a").alias("dst")))).alias("arc")).select("arc.*")
+    """(id, src, dst, next): arcs of the forest (a, b, eid) with their successors, broken before each root's first arc; roots(vid).
+
+    The two arcs of edge e are 2e and 2e + 1, so that an arc's reverse is known without a join."""
+    two = 2 * F.col("eid")
+    arcs = tree.select(F.explode(F.array(F.struct(two.alias("id"), F.col("a").alias("src"), F.col("b").alias("dst")), F.struct((two + 1).alias("id"), F.col("b").alias("src"), F.col("a").alias("dst")))).alias("arc")).select("arc.*")
     around = Window.partitionBy("src").orderBy("dst")
-    ring = arcs.select("src", "dst", F.lead("dst").over(around).alias("then"), F.min("dst").over(Window.partitionBy("src")).alias("first"))
+    ring = arcs.select("id", "src", "dst", F.lead("id").over(around).alias("then"), F.first("id").over(around).alias("first"))
     # the arc that follows (u, v) leaves v: the one after (v, u) there
-    turn = ring.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.col("src").alias("nsrc"), F.coalesce("then", "first").alias("ndst"), F.col("then").isNull().alias("wraps"))
-    ends = turn.join(roots.select(F.col("vid").alias("nsrc"), F.lit(True).alias("is_root")), "nsrc", "left")
-    stop = F.col("wraps") & F.coalesce("is_root", F.lit(False))
-    return ends.select("src", "dst", F.when(~stop, F.col("nsrc")).alias("nsrc"), F.when(~stop, F.col("ndst")).alias("ndst"))
-
-
-def list_rank(circuit: DataFrame, max_rounds: int = 64) -> DataFrame:
-    """(src, dst, left): arcs that follow each arc in its tree, by pointer doubling."""
-    now = materialize(circuit.withColumn("left", F.when(F.col("nsrc").isNull(), 0).otherwise(1).cast("bigint")), "list-rank")
+    turn = ring.select(F.col("id").bitwiseXOR(F.lit(1).cast("long")).alias("id"), F.col("dst").alias("src"), F.col("src").alias("dst"), F.coalesce("then", "first").alias("next"), F.col("then").isNull().alias("wraps"))
+    ends = turn.join(roots.select(F.col("vid").alias("dst"), F.lit(True).alias("is_root")), "dst", "left")
+    return ends.select("id", "src", "dst", F.when(~(F.col("wraps") & F.coalesce("is_root", F.lit(False))), F.col("next")).alias("next"))
+
+
+def list_rank(links: DataFrame, spread: int = 8, max_rounds: int = 64) -> DataFrame:
+    """(id, left): for links (id, next, step) the sum of steps from each to the end of its list.
+
+    A hash picks one in ``spread`` as a milestone.  All others double their way to the next
+    milestone, which takes rounds like the logarithm of the widest gap; the milestones alone are
+    ranked in the same way, and the last few in one task."""
+    now, seen = measured(links.select("id", "next", "step"), "list-rank")
+    if now.count() <= local.ROWS:
+        return materialize(local.local_ranks(now), "ranks")
+    stone = F.pmod(F.xxhash64("id", F.lit(spread)), F.lit(spread)) == 0
+    aim = F.pmod(F.xxhash64("next", F.lit(spread)), F.lit(spread)) == 0
+    walk, seen = measured(now.select("id", F.col("next").alias("at"), "step", (F.col("next").isNull() | aim).alias("ended")), "list-walk", going=(~F.col("ended")).cast("long"))
+    discard(now)
     for _ in range(max_rounds):
-        if now.filter("nsrc is not null").isEmpty():
-            return now.select("src", "dst", "left")
-        ahead = now.select(F.col("src").alias("nsrc"), F.col("dst").alias("ndst"), F.col("nsrc").alias("nsrc2"), F.col("ndst").alias("ndst2"), F.col("left").alias("more"))
-        now = materialize(now.join(ahead, ["nsrc", "ndst"], "left").select("src", "dst", F.col("nsrc2").alias("nsrc"), F.col("ndst2").alias("ndst"), (F.col("left") + F.coalesce("more", F.lit(0))).alias("left")), "list-rank")
-    raise RuntimeError("the circuit did not end")
+        if seen["going"] == 0:
+            break
+        ahead = walk.select(F.col("id").alias("at"), F.col("at").alias("at2"), F.col("step").alias("more"), F.col("ended").alias("ended2"))
+        moved = walk.filter("not ended").join(ahead, "at").select("id", F.col("at2").alias("at"), (F.col("step") + F.col("more")).alias("step"), F.col("ended2").alias("ended"))
+        then, seen = measured(walk.filter("ended").unionByName(moved), "list-walk", going=(~F.col("ended")).cast("long"))
+        discard(walk)
+        walk = then
+    else:
+        raise RuntimeError("the list did not end")
+    ranks = list_rank(walk.filter(stone).select("id", F.col("at").alias("next"), "step"), spread + 1, max_rounds)
+    beyond = ranks.select(F.col("id").alias("at"), F.col("left").alias("rest"))
+    out = materialize(walk.join(beyond, "at", "left").select("id", (F.col("step") + F.coalesce("rest", F.lit(0))).alias("left")), "ranks")
+    discard(walk, ranks)
+    return out
 
 
 def root_forest(graph: Graph, tree: DataFrame, comp: DataFrame | None = None) -> DataFrame:
@@ -47,26 +69,29 @@ def root_forest(graph: Graph, tree: DataFrame, comp: DataFrame | None = None) ->
 
     first and last are positions in the Euler circuit (0 and 2n-1 at a root); idx is the
     preorder number over the whole forest, size that of the subtree."""
-    tree = materialize(tree, "tree")
+    tree = materialize(tree.withColumn("eid", F.monotonically_increasing_id()), "tree")
     if comp is None:
         comp, _ = forest_of(tree.select("a", "b", F.col("a").alias("ra"), F.col("b").alias("rb")))
         comp = graph.vertices.join(comp, "vid", "left").select("vid", F.coalesce("comp", "vid").alias("comp"))
     comp = materialize(comp, "tree-comp")
-    ranked = list_rank(euler_circuit(tree, comp.filter("vid = comp").select("vid")))
+    circuit = materialize(euler_circuit(tree, comp.filter("vid = comp").select("vid")), "circuit")
+    ranked = circuit.join(list_rank(circuit.select("id", "next", F.col("next").isNotNull().cast("long").alias("step"))), "id")
     sizes = comp.groupBy("comp").agg(F.count(F.lit(1)).alias("n"))
-    placed = ranked.join(comp.withColumnRenamed("vid", "src"), "src").join(sizes, "comp").select("src", "dst", "comp", (2 * F.col("n") - 2 - F.col("left")).alias("pos"))
-    back = placed.select(F.col("src").alias("dst"), F.col("dst").alias("src"), F.col("pos").alias("back"))
-    down = placed.join(back, ["src", "dst"]).filter("pos < back").select(F.col("dst").alias("vid"), F.col("src").alias("parent"), F.col("comp").alias("root"), F.col("pos").alias("first"), F.col("back").alias("last"))
+    placed = ranked.join(comp.withColumnRenamed("vid", "src"), "src").join(sizes, "comp").select(F.expr("id div 2").alias("eid"), "src", "dst", "comp", (2 * F.col("n") - 2 - F.col("left")).alias("pos"))
+    # the earlier arc of an edge leads down: one group an edge
+    both = placed.groupBy("eid").agg(F.min("pos").alias("first"), F.max("pos").alias("last"), F.min_by("src", "pos").alias("parent"), F.min_by("dst", "pos").alias("vid"), F.min("comp").alias("root"))
+    down = both.select("vid", "parent", "root", "first", "last")
     tops = comp.filter("vid = comp").join(sizes, "comp").select("vid", F.lit(None).cast("bigint").alias("parent"), F.col("comp").alias("root"), F.lit(0).cast("bigint").alias("first"), (2 * F.col("n") - 1).alias("last"))
-    rows = materialize(down.unionByName(tops), "forest")
+    rows = down.unionByName(tops)
     # ranks 1.. of down arcs leave 0 to the root; a vertex that is entered at first and left at last holds half the ranks between
     rows = rows.withColumn("size", F.expr("(last - first + 1) div 2"))
-    numbered = global_index(rows, ["root", "first"], "idx")
-    numbered = materialize(numbered, "numbered")
+    numbered = materialize(global_index(rows, ["root", "first"], "idx"), "numbered")
     base = numbered.filter("parent is null").select("root", F.col("idx").alias("base"))
     # up to a vertex's entry there are idx - base entries among `first` arcs, the rest are exits
     depth = 2 * (F.col("idx") - F.col("base")) - F.col("first")
-    return materialize(numbered.join(base, "root").withColumn("depth", depth.cast("int")).select("vid", "parent", "root", "first", "last", "idx", "size", "depth"), "forest")
+    out = materialize(numbered.join(base, "root").withColumn("depth", depth.cast("int")).select("vid", "parent", "root", "first", "last", "idx", "size", "depth"), "forest")
+    discard(tree, comp, circuit, numbered)
+    return out
 
 
 def nontree_edges(graph: Graph, forest: DataFrame) -> DataFrame:
@@ -96,7 +121,10 @@ class BlockLabelling:
 def block_labelling(graph: Graph, forest: DataFrame | None = None, meter: CostMeter | None = None, **options) -> BlockLabelling:
     """The block of the tree edge above every vertex, and the head of every block."""
     if forest is None:
-        forest = root_forest(graph, spanning_forest(graph, **options))
+        comp, tree = components_lowwrite(graph, want_forest=True, meter=meter, **options)
+        forest = root_forest(graph, tree, comp)
+        if meter:
+            meter.add("rooted forest", ops=2 * forest.count(), writes=forest.count(), rounds=1)
     nontree = materialize(nontree_edges(graph, forest), "nontree")
     rows = low_high(nontree, forest)
     above = forest.select(F.col("vid").alias("parent"), F.col("idx").alias("pidx"), F.col("size").alias("psize"))
@@ -124,12 +152,14 @@ def bridges(bl: BlockLabelling) -> DataFrame:
 
 def articulation_points(bl: BlockLabelling) -> DataFrame:
     """(vid): heads of a block; roots need two."""
+    bl.graph.refuse_expanded("articulation points")
     heads = bl.head.groupBy(F.col("head_vid").alias("vid")).agg(F.count(F.lit(1)).alias("blocks"))
     return heads.join(bl.forest.select("vid", "parent"), "vid").filter("parent is not null or blocks > 1").select("vid")
 
 
 def edge_block(bl: BlockLabelling, edges: DataFrame) -> DataFrame:
     """(a, b, block) of given edges: the label of the lower end."""
+    bl.graph.refuse_expanded("blocks")
     x = bl.forest.select(F.col("vid").alias("a"), F.col("idx").alias("ia"), F.col("size").alias("sa"))
     y = bl.forest.select(F.col("vid").alias("b"), F.col("idx").alias("ib"))
     low = F.when((F.col("ia") <= F.col("ib")) & (F.col("ib") < F.col("ia") + F.col("sa")), F.col("b")).otherwise(F.col("a"))
@@ -145,6 +175,7 @@ def canonical_blocks(bl: BlockLabelling) -> DataFrame:
 
 def same_block(bl: BlockLabelling, pairs: DataFrame) -> DataFrame:
     """(qid, same_block) for (qid, u, v): equal labels, or one heads the other's block; a vertex is with itself."""
+    bl.graph.refuse_expanded("blocks")
     l, h = bl.label, bl.head.select("block", "head_vid")
     named = bl.graph.vertices.join(l, "vid", "left").join(h, "block", "left")
     x = named.select(F.col("vid").alias("u"), F.col("block").alias("bu"), F.col("head_vid").alias("hu"))
@@ -160,6 +191,7 @@ def is_bridge(bl: BlockLabelling, edges: DataFrame) -> DataFrame:
 
 def block_cut_tree(bl: BlockLabelling) -> DataFrame:
     """(vid, block) incidences of articulation points and blocks."""
+    bl.graph.refuse_expanded("blocks")
     points = articulation_points(bl)
     pairs = bl.label.unionByName(bl.head.select(F.col("head_vid").alias("vid"), "block"))
     return pairs.join(points, "vid", "left_semi").distinct()
@@ -180,15 +212,33 @@ def bridge_block_tree(bl: BlockLabelling, classes: DataFrame | None = None) -> D
 
 
 def edge_array_baseline(graph: Graph, forest: DataFrame | None = None, meter: CostMeter | None = None) -> DataFrame:
-    """(a, b, block): the classical method, one stored row for every edge.
+    """(a, b, block): the classical method, which relates edges and stores one row for each.
 
-    Relates tree edges whose lower subtree escapes, and non-tree edges to the tree edges at
-    both unrelated ends; components of that relation name the blocks."""
+    Every edge is an object of its own: a tree edge goes by its lower end, another by a negative number.
+    A non-tree edge is related to the tree edge above its later end, and where its ends are unrelated
+    the tree edges above both ends are related; a tree edge is related to the one above it where its
+    subtree reaches out of the parent's.  Components of the relation are the blocks."""
     if forest is None:
-        forest = root_forest(graph, spanning_forest(graph))
-    bl = block_labelling(graph, forest)
-    out = materialize(edge_block(bl, graph.edges), "edge-array")
+        comp, tree = components_lowwrite(graph, beta=0.5, want_forest=True, meter=meter)
+        forest = root_forest(graph, tree, comp)
+    nontree = nontree_edges(graph, forest)
+    rows = low_high(nontree, forest)
+    numbered = materialize(global_index(nontree.select("a", "b"), ["a", "b"], "n").select("a", "b", (-1 - F.col("n")).alias("object")), "edge-objects")
+    place = forest.select("vid", "idx", "size")
+    ends = numbered.join(place.toDF("a", "ia", "sa"), "a").join(place.toDF("b", "ib", "sb"), "b")
+    later, earlier = F.when(F.col("ia") > F.col("ib"), F.col("a")).otherwise(F.col("b")), F.when(F.col("ia") > F.col("ib"), F.col("b")).otherwise(F.col("a"))
+    reach = F.when(F.col("ia") < F.col("ib"), F.col("ia") + F.col("sa")).otherwise(F.col("ib") + F.col("sb"))
+    ends = ends.select("object", later.alias("later"), earlier.alias("earlier"), (F.greatest("ia", "ib") >= reach).alias("unrelated"))
+    above = forest.select(F.col("vid").alias("parent"), F.col("parent").alias("above"), F.col("idx").alias("pidx"), F.col("size").alias("psize"))
+    out_of = (F.col("low") < F.col("pidx")) | (F.col("high") >= F.col("pidx") + F.col("psize"))
+    climbs = rows.filter("parent is not null").join(above, "parent").filter(F.col("above").isNotNull() & out_of).select(F.col("vid").alias("x"), F.col("parent").alias("y"))
+    related = ends.select(F.col("object").alias("x"), F.col("later").alias("y")).unionByName(ends.filter("unrelated").select(F.col("earlier").alias("x"), F.col("later").alias("y"))).unionByName(climbs)
+    tree_edges = forest.filter("parent is not null").select(F.least("vid", "parent").alias("a"), F.greatest("vid", "parent").alias("b"), F.col("vid").alias("object"))
+    objects, told = measured(tree_edges.unionByName(numbered), "edge-objects")
+    seen, looked = watched(related)
+    pairs = materialize(seen.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct(), "edge-relation")
+    named = components_star(Graph(objects.select(F.col("object").alias("vid")), pairs), meter)
+    out, kept = measured(objects.join(named.toDF("object", "block"), "object").select("a", "b", "block"), "edge-array")
     if meter:
-        n = out.count()
-        meter.add("edge array", ops=n, writes=n, rounds=1)
+        meter.add("edge array", ops=looked.rows + graph.edges.count(), writes=told["rows"] + kept["rows"], rounds=1)
     return out

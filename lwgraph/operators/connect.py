@@ -5,8 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.adjacency import adjacency
 from ..plans.graph import CostMeter, Graph
-from ..plans.scratch import materialize
+from ..plans.scratch import discard, materialize, measured, watched
+from . import local
 from .balls import ball_partition, ball_trees, crossing
 from .contraction import flatten
 
@@ -15,29 +17,42 @@ def forest_of(edges: DataFrame, meter: CostMeter | None = None, max_rounds: int
     """((vid, comp), forest (ra, rb)) of edges (a, b) that stand for original edges (ra, rb).
 
     Each round hooks every vertex onto its least neighbour when that is smaller, keeps the
-    representative edge of each hook, and contracts."""
-    live = materialize(edges.filter("a <> b").groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.min(F.struct("ra", "rb")).alias("rep")), "forest-edges")
+    representative edge of each hook, and contracts; the last ``local.ROWS`` edges take one task."""
+    wanted, looked = watched(edges.filter("a <> b"))
+    live, seen = measured(wanted.groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.min(F.struct("ra", "rb")).alias("rep")), "forest-edges")
+    if meter:
+        meter.add("inner forest", ops=looked.rows, writes=seen["rows"])
     ends = live.select(F.explode(F.array("a", "b")).alias("vid")).distinct()
-    label, trees, rounds = None, None, 0
-    while not live.isEmpty():
-        if rounds == max_rounds:
-            raise RuntimeError("too many contraction rounds")
-        arcs = live.select(F.explode(F.array(F.struct(F.col("a").alias("vid"), F.col("b").alias("other")), F.struct(F.col("b").alias("vid"), F.col("a").alias("other")))).alias("arc"), "rep").select("arc.*", "rep")
-        hooks = materialize(arcs.groupBy("vid").agg(F.min(F.struct("other", "rep")).alias("w")).select("vid", F.col("w.other").alias("other"), F.col("w.rep").alias("rep")), "hooks")
-        used = hooks.filter("other < vid").select("rep.*")
+    label, trees, left = None, None, live.count()
+    for _ in range(max_rounds):
+        if left == 0:
+            break
+        if left <= local.ROWS:
+            done, told = measured(local.local_forest(live.select("a", "b", "rep.ra", "rep.rb")), "forest-end")
+            used, root, rest, writes, ops = done.filter("vid is null").select("ra", "rb"), done.filter("vid is not null").select("vid", "root"), None, told["rows"], left
+            left = 0
+        else:
+            arcs, looked = watched(live.select(F.explode(F.array(F.struct(F.col("a").alias("vid"), F.col("b").alias("other")), F.struct(F.col("b").alias("vid"), F.col("a").alias("other")))).alias("arc"), "rep").select("arc.*", "rep"))
+            hooks, told = measured(arcs.groupBy("vid").agg(F.min(F.struct("other", "rep")).alias("w")).select("vid", F.col("w.other").alias("other"), F.col("w.rep").alias("rep")), "hooks")
+            used = hooks.filter("other < vid").select("rep.*")
+            root = flatten(hooks.select("vid", F.least("vid", "other").alias("parent")))
+            x, y = root.select(F.col("vid").alias("a"), F.col("root").alias("xa")), root.select(F.col("vid").alias("b"), F.col("root").alias("xb"))
+            moved = live.join(x, "a").join(y, "b").filter("xa <> xb").groupBy(F.least("xa", "xb").alias("a"), F.greatest("xa", "xb").alias("b")).agg(F.min("rep").alias("rep"))
+            rest = materialize(moved, "forest-edges")
+            ops, left = looked.rows + left, rest.count()
+            writes = 2 * told["rows"] + left  # hooks, their roots, and the edges that survive
         trees = used if trees is None else trees.unionByName(used)
-        root = flatten(hooks.select("vid", F.least("vid", "other").alias("parent")))
-        x, y = root.select(F.col("vid").alias("a"), F.col("root").alias("xa")), root.select(F.col("vid").alias("b"), F.col("root").alias("xb"))
-        moved = live.join(x, "a").join(y, "b").filter("xa <> xb").groupBy(F.least("xa", "xb").alias("a"), F.greatest("xa", "xb").alias("b")).agg(F.min("rep").alias("rep"))
-        live = materialize(moved, "forest-edges")
+        live = rest
         if label is None:
             label = root
         else:
             step = root.select(F.col("vid").alias("root"), F.col("root").alias("next"))
-            label = materialize(label.join(step, "root", "left").select("vid", F.coalesce("next", "root").alias("root")), "labels")
-        rounds += 1
+            label, told = measured(label.join(step, "root", "left").select("vid", F.coalesce("next", "root").alias("root")), "labels")
+            writes += told["rows"]
         if meter:
-            meter.add("inner forest", ops=0, writes=hooks.count() + live.count(), rounds=1)
+            meter.add("inner forest", ops=ops, writes=writes, rounds=1)
+    if left:
+        raise RuntimeError("too many contraction rounds")
     if label is None:
         return ends.select("vid", F.col("vid").alias("comp")), edges.select("ra", "rb").limit(0)
     return ends.join(label, "vid", "left").select("vid", F.coalesce("root", "vid").alias("comp")), trees
@@ -60,10 +75,11 @@ def components_lowwrite(graph: Graph, *, omega: float = 4.0, beta: float | None
 
     With ``want_forest`` also the spanning forest: ball trees plus one original edge for each inner tree edge."""
     beta = beta if beta is not None else min(0.9, 1.0 / omega)
-    ball = ball_partition(graph, beta, seed, meter=meter, **options)
-    cut = materialize(crossing(graph, ball).groupBy("sa", "sb").agg(F.min(F.struct("a", "b")).alias("rep")).select(F.col("sa").alias("a"), F.col("sb").alias("b"), F.col("rep.a").alias("ra"), F.col("rep.b").alias("rb")), "contracted")
+    ball = ball_partition(graph, beta, seed, meter=meter, parents=want_forest, **options)
+    met, looked = watched(crossing(graph, ball))
+    cut, seen = measured(met.groupBy("sa", "sb").agg(F.min(F.struct("a", "b")).alias("rep")).select(F.col("sa").alias("a"), F.col("sb").alias("b"), F.col("rep.a").alias("ra"), F.col("rep.b").alias("rb")), "contracted")
     if meter:
-        meter.add("contraction", ops=graph.edges.count(), writes=cut.count(), rounds=1)
+        meter.add("contraction", ops=graph.edges.count() + looked.rows, writes=seen["rows"], rounds=1)
     comp, inner = forest_of(cut, meter)
     joined = ball.join(comp.withColumnRenamed("vid", "source"), "source", "left").select("vid", F.coalesce("comp", "source").alias("ball_comp"))
     least = joined.groupBy("ball_comp").agg(F.min("vid").alias("comp"))
@@ -82,58 +98,63 @@ def spanning_forest(graph: Graph, **options) -> DataFrame:
 
 
 def bfs_components(graph: Graph, meter: CostMeter | None = None, max_rounds: int = 100_000) -> DataFrame:
-    """Level-by-level least-label propagation: the sequential search's reads and writes, rounds like the diameter."""
-    arcs = graph.arcs().select("src", "dst")
-    label = materialize(graph.vertices.select("vid", F.col("vid").alias("comp"), F.lit(True).alias("new")), "labels")
-    for _ in range(max_rounds):
-        sent = label.filter("new").select(F.col("vid").alias("src"), "comp").join(arcs, "src").groupBy("dst").agg(F.min("comp").alias("offer")).withColumnRenamed("dst", "vid")
-        label = materialize(label.join(sent, "vid", "left").select("vid", F.least("comp", "offer").alias("comp"), F.coalesce(F.col("offer") < F.col("comp"), F.lit(False)).alias("new")), "labels")
-        n = label.filter("new").count()
-        if meter:
-            meter.add("propagation", ops=0, writes=n, rounds=1)
-        if n == 0:
-            return label.select("vid", "comp")
-    raise RuntimeError("label propagation did not settle")
+    """Level-by-level search from every component's least vertex, unknown at the start: the least label spreads over a frontier.
 
+    A vertex is written whenever its label falls, at least once; rounds grow like the diameter."""
+    return _propagated(graph, "breadth-first", meter, max_rounds, frontier_only=True)
 
-def label_propagation(graph: Graph, meter: CostMeter | None = None) -> DataFrame:
+
+def label_propagation(graph: Graph, meter: CostMeter | None = None, max_rounds: int = 100_000) -> DataFrame:
     """Least-label propagation over all edges every round, all labels rewritten."""
-    arcs = graph.arcs().select("src", "dst")
-    label = materialize(graph.vertices.select("vid", F.col("vid").alias("comp")), "labels")
-    n = graph.vertices.count()
-    while True:
-        offers = label.withColumnRenamed("vid", "src").join(arcs, "src").groupBy("dst").agg(F.min("comp").alias("offer")).withColumnRenamed("dst", "vid")
-        then = materialize(label.join(offers, "vid", "left").select("vid", F.least("comp", "offer").alias("comp"), (F.coalesce(F.col("offer"), F.col("comp")) < F.col("comp")).alias("moved")), "labels")
+    return _propagated(graph, "propagation", meter, max_rounds, frontier_only=False)
+
+
+def _propagated(graph: Graph, stage: str, meter: CostMeter | None, max_rounds: int, *, frontier_only: bool) -> DataFrame:
+    with adjacency(graph) as arcs:
+        label, seen = measured(graph.vertices.select("vid", F.col("vid").alias("comp"), F.lit(1).cast("long").alias("new")), "labels")
         if meter:
-            meter.add("propagation", writes=n, rounds=1)
-        label = then.select("vid", "comp")
-        if then.filter("moved").isEmpty():
-            return label
+            meter.add(stage, writes=seen["rows"])
+        for _ in range(max_rounds):
+            front = label.filter("new = 1") if frontier_only else label
+            sent, looked = watched(front.select(F.col("vid").alias("src"), "comp").join(arcs.select("src", "dst"), "src"))
+            offers = sent.groupBy("dst").agg(F.min("comp").alias("offer")).withColumnRenamed("dst", "vid")
+            falls = F.coalesce(F.col("offer") < F.col("comp"), F.lit(False)).cast("long")
+            then, seen = measured(label.join(offers, "vid", "left").select("vid", F.least("comp", "offer").alias("comp"), falls.alias("new")), "labels", new=F.col("new"))
+            if meter:
+                meter.add(stage, ops=looked.rows, writes=seen["new"] if frontier_only else seen["rows"], rounds=1)
+            discard(label)
+            label = then
+            if seen["new"] == 0:
+                return label.select("vid", "comp")
+    raise RuntimeError("label propagation did not settle")
 
 
 def recursive_contraction(graph: Graph, beta: float = 0.2, seed: int = 0, meter: CostMeter | None = None) -> DataFrame:
     """Balls with constant beta again and again; every level's edges are written out."""
     label = graph.vertices.select("vid", F.col("vid").alias("at"))
     now, level = graph.fixed(), 0
+    if meter:
+        meter.add("contraction", ops=now.edges.count(), writes=now.edges.count())
     while True:
-        ball = ball_partition(now, beta, seed + level, meter=meter)
+        ball = ball_partition(now, beta, seed + level, meter=meter, parents=False)
         step = ball.select(F.col("vid").alias("at"), "source")
-        label = materialize(label.join(step, "at").select("vid", F.col("source").alias("at")), "levels")
-        cut = crossing(now, ball).select(F.col("sa").alias("a"), F.col("sb").alias("b")).groupBy("a", "b").agg(F.count(F.lit(1)).cast("int").alias("mult"))
-        now = Graph(ball.select(F.col("source").alias("vid")).distinct(), cut).fixed()
+        label, seen = measured(label.join(step, "at").select("vid", F.col("source").alias("at")), "levels")
+        cut, looked = watched(crossing(now, ball))
+        now = Graph(ball.select(F.col("source").alias("vid")).distinct(), cut.select(F.col("sa").alias("a"), F.col("sb").alias("b")).groupBy("a", "b").agg(F.count(F.lit(1)).cast("int").alias("mult"))).fixed()
+        m = now.edges.count()
         if meter:
-            meter.add("contraction", writes=now.edges.count(), rounds=1)
+            meter.add("contraction", ops=looked.rows, writes=seen["rows"] + m, rounds=1)
         level += 1
-        if now.edges.isEmpty():
+        if m == 0:
             break
     least = label.groupBy("at").agg(F.min("vid").alias("comp"))
     return label.join(least, "at").select("vid", "comp")
 
 
 def union_find(graph: Graph, driver_max: int = 200_000) -> DataFrame:
-    """Sequential union-find on the driver, refused beyond ``driver_max`` edges."""
-    if graph.edges.count() > driver_max:
-        raise ValueError("too many edges for the driver")
+    """Sequential union-find on the driver, refused beyond ``driver_max`` edges or vertices."""
+    if graph.edges.count() > driver_max or graph.vertices.count() > driver_max:
+        raise ValueError("too many edges or vertices for the driver")
     root = {r["vid"]: r["vid"] for r in graph.vertices.collect()}
 
     def find(x):
@@ -148,30 +169,29 @@ def union_find(graph: Graph, driver_max: int = 200_000) -> DataFrame:
     return graph.vertices.sparkSession.createDataFrame([(v, find(v)) for v in root], "vid long, comp long")
 
 
-def partition_forest(graph: Graph) -> DataFrame:
-    """Edges (a, b) left after each partition reduced its own to a forest: same components, far fewer rows before any exchange."""
+def partition_forest(graph: Graph, block: int = 1 << 18) -> DataFrame:
+    """Edges (a, b) left after each partition reduced its own to a forest, ``block`` edges at a time: same components, far fewer rows before any exchange."""
+    import numpy as np
     import pyarrow as pa
 
-    def reduce(batches):
-        root: dict[int, int] = {}
-
-        def find(x):
-            while root.setdefault(x, x) != x:
-                root[x] = root[root[x]]
-                x = root[x]
-            return x
+    def reduced(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        names, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+        _, kept = local.forest_arrays(at[: len(a)], at[len(a) :], len(names))
+        return a[kept], b[kept]
 
+    def run(batches):
+        a = b = np.zeros(0, np.int64)
         for batch in batches:
-            keep_a, keep_b = [], []
-            for a, b in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist(), strict=True):
-                p, q = find(a), find(b)
-                if p != q:
-                    root[max(p, q)] = min(p, q)
-                    keep_a.append(a)
-                    keep_b.append(b)
-            yield pa.RecordBatch.from_arrays([pa.array(keep_a, pa.int64()), pa.array(keep_b, pa.int64())], names=["a", "b"])
-
-    return graph.edges.select("a", "b").mapInArrow(reduce, "a long, b long")
+            a, b = np.concatenate([a, batch.column("a").to_numpy()]), np.concatenate([b, batch.column("b").to_numpy()])
+            if len(a) > block:
+                a, b = reduced(a, b)
+                if len(a) > block // 2:  # the forest itself is large: pass it on and start again
+                    yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
+                    a = b = np.zeros(0, np.int64)
+        a, b = reduced(a, b)
+        yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
+
+    return graph.edges.select("a", "b").mapInArrow(run, "a long, b long")
 
 
 # --- answers ----------------------------------------------------------------------------------

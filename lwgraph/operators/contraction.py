@@ -1,8 +1,9 @@
 """Connected components by hooking and contraction.
 
 Every round hooks each vertex onto its least neighbour, flattens the resulting forest by
-pointer doubling, and rewrites the edges between roots.  Edge sets shrink at least by
-half in vertices a round, so rounds are logarithmic whatever the diameter.
+pointer doubling, and rewrites the edges between roots.  Vertices at least halve in a
+round, so rounds are logarithmic whatever the diameter; what is left below
+``local.ROWS`` edges is ended in one task.
 """
 
 from __future__ import annotations
@@ -10,7 +11,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.scratch import materialize
+from ..plans.scratch import discard, materialize, measured
+from . import local
 
 
 def flatten(parent: DataFrame, max_rounds: int = 64) -> DataFrame:
@@ -18,9 +20,13 @@ def flatten(parent: DataFrame, max_rounds: int = 64) -> DataFrame:
     now = materialize(parent.select("vid", F.col("parent").alias("root")), "hooks")
     for _ in range(max_rounds):
         up = now.select(F.col("vid").alias("root"), F.col("root").alias("above"))
-        then = materialize(now.join(up, "root").select("vid", F.col("above").alias("root"), (F.col("above") != F.col("root")).alias("moved")), "hooks")
+        moved = (F.col("above") != F.col("root")).cast("long")
+        step = now.join(up, "root").select("vid", "root", "above")
+        then, seen = measured(step.select("vid", F.col("above").alias("root"), moved.alias("moved")), "hooks", moved=F.col("moved"))
+        discard(now)
         now = then.select("vid", "root")
-        if then.filter("moved").isEmpty():
+        now._scratch_path = then._scratch_path
+        if seen["moved"] == 0:
             return now
     raise RuntimeError("the forest did not flatten")
 
@@ -29,22 +35,31 @@ def contract_components(edges: DataFrame, max_rounds: int = 64) -> DataFrame:
     """(vid, comp) with comp the least vertex of the component, for all end points of edges (a, b)."""
     edge = materialize(edges.filter("a is not null and b is not null").select(F.least("a", "b").cast("bigint").alias("a"), F.greatest("a", "b").cast("bigint").alias("b")).distinct(), "edges")
     ends = edge.select(F.explode(F.array("a", "b")).alias("vid")).distinct()
-    label = None
-    live = edge.filter("a <> b")
+    live, label = edge.filter("a <> b"), None
+    left = live.count()
     for _ in range(max_rounds):
-        if live.isEmpty():
+        if left == 0:
             break
-        arcs = live.select(F.explode(F.array(F.struct(F.col("a").alias("vid"), F.col("b").alias("other")), F.struct(F.col("b").alias("vid"), F.col("a").alias("other")))).alias("arc"))
-        hooks = arcs.select("arc.*").groupBy("vid").agg(F.min("other").alias("other")).select("vid", F.least("vid", "other").alias("parent"))
-        root = flatten(hooks)
-        left = root.select(F.col("vid").alias("a"), F.col("root").alias("ra"))
-        right = root.select(F.col("vid").alias("b"), F.col("root").alias("rb"))
-        live = materialize(live.join(left, "a").join(right, "b").filter("ra <> rb").select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b")).distinct(), "contracted")
+        if left <= local.ROWS:
+            done = local.local_forest(live.select("a", "b", F.col("a").alias("ra"), F.col("b").alias("rb")))
+            root, left, fewer = materialize(done.filter("vid is not null").select("vid", "root"), "hooks"), 0, None
+        else:
+            arcs = live.select(F.explode(F.array(F.struct(F.col("a").alias("vid"), F.col("b").alias("other")), F.struct(F.col("b").alias("vid"), F.col("a").alias("other")))).alias("arc"))
+            hooks = arcs.select("arc.*").groupBy("vid").agg(F.min("other").alias("other")).select("vid", F.least("vid", "other").alias("parent"))
+            root = flatten(hooks)
+            x = root.select(F.col("vid").alias("a"), F.col("root").alias("ra"))
+            y = root.select(F.col("vid").alias("b"), F.col("root").alias("rb"))
+            fewer = materialize(live.join(x, "a").join(y, "b").filter("ra <> rb").select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b")).distinct(), "contracted")
+            left = fewer.count()
+        discard(live)
+        live = fewer
         if label is None:
             label = root
         else:
             step = root.select(F.col("vid").alias("root"), F.col("root").alias("next"))
-            label = materialize(label.join(step, "root", "left").select("vid", F.coalesce("next", "root").alias("root")), "labels")
+            lower = materialize(label.join(step, "root", "left").select("vid", F.coalesce("next", "root").alias("root")), "labels")
+            discard(label, root)
+            label = lower
     if label is None:
         return ends.select("vid", F.col("vid").alias("comp"))
     return ends.join(label, "vid", "left").select("vid", F.coalesce("root", "vid").alias("comp"))

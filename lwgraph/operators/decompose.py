@@ -14,8 +14,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.adjacency import adjacency
 from ..plans.graph import CostMeter, Graph
-from ..plans.scratch import materialize
+from ..plans.scratch import discard, materialize, measured
 from ..sources.views import hash_below
 from .balls import ball_partition
 from .bfs import levels
@@ -23,13 +24,13 @@ from .connect import components_star
 
 
 def sample_primaries(graph: Graph, k: int, seed: int = 0, *, max_ratio: float = 2.0, max_tries: int = 5) -> DataFrame:
-    """(vid): each vertex with probability 1/k, by hash; a sample far above expectation is drawn anew."""
+    """(vid): each vertex with probability 1/k, by hash; a sample far above expectation is drawn anew, a few times at most."""
     n = graph.vertices.count()
     for t in range(max_tries):
         found = graph.vertices.filter(hash_below(1.0 / k, F.lit(seed + t), F.col("vid")))
         if found.count() <= max_ratio * n / k + 10:
-            break
-    return found
+            return found
+    raise RuntimeError(f"{max_tries} samples were larger than {max_ratio} times the expected size")
 
 
 def _counted(table: DataFrame, stage: str, meter: CostMeter | None, rounds: int = 0) -> DataFrame:
@@ -38,11 +39,9 @@ def _counted(table: DataFrame, stage: str, meter: CostMeter | None, rounds: int
     return table
 
 
-def next_hops(graph: Graph, primaries: DataFrame, meter: CostMeter | None = None) -> DataFrame:
+def next_hops(graph: Graph, primaries: DataFrame, meter: CostMeter | None = None, order: str = "vid") -> DataFrame:
     """(vid, primary, hop, next) of every vertex that some primary reaches."""
-    if meter:
-        meter.add("level", writes=primaries.count())
-    found = levels(graph, primaries, meter=meter)
+    found = levels(graph, primaries, meter=meter, order=order)
     return _counted(materialize(found.select("vid", F.col("source").alias("primary"), "hop", F.col("parent").alias("next")), "next-hops"), "next hops", meter)
 
 
@@ -67,10 +66,14 @@ def center_of(hops: DataFrame, centers: DataFrame, max_rounds: int = 64, meter:
     _counted(now, "center of all", meter)
     for _ in range(max_rounds):
         ahead = now.select(F.col("vid").alias("center"), F.col("center").alias("further"), F.col("done").alias("stop"))
-        then = materialize(now.join(ahead, "center").select("vid", F.col("further").alias("center"), F.col("done"), (F.col("further") != F.col("center")).alias("moved")), "center")
-        _counted(then, "center of all", meter, rounds=1)
+        step = now.join(ahead, "center").select("vid", F.col("further").alias("center"), F.col("done"), (F.col("further") != F.col("center")).cast("long").alias("moved"))
+        then, seen = measured(step, "center", moved=F.col("moved"))
+        if meter:
+            meter.add("center of all", ops=seen["rows"], writes=seen["rows"], rounds=1)
+        discard(now)
         now = then.select("vid", "center", "done")
-        if then.filter("moved").isEmpty():
+        now._scratch_path = then._scratch_path
+        if seen["moved"] == 0:
             return now.select("vid", "center")
     raise RuntimeError("paths did not end")
 
@@ -90,10 +93,7 @@ def _split_rows(children_too: bool, k: int):
             out += [v for _, v, up, _ in rows if up == center and v not in out]
         return pa.table({"vid": pa.array(out, pa.int64())})
 
-    def typed(table: pa.Table) -> pa.Table:
-        return pick(table)
-
-    return typed
+    return pick
 
 
 def split_clusters(hops: DataFrame, centers: DataFrame, k: int, *, mode: str = "recursive", meter: CostMeter | None = None, max_rounds: int = 200) -> DataFrame:
@@ -102,21 +102,27 @@ def split_clusters(hops: DataFrame, centers: DataFrame, k: int, *, mode: str = "
     ``recursive``: per round, every over-full cluster gives up one subtree out of its first
     k + 1 vertices; ``recursive_children`` also makes the root's children centers;
     ``levelwise``: one bottom-up pass over depths that cuts whenever a residual reaches a threshold."""
-    extra = None
     if mode == "levelwise":
         return _levelwise(hops, centers, k)
+    # a vertex keeps its center until a new one is made inside its cluster: only over-full clusters are looked at again
+    open_, extra = hops, None
+    inside = centers.select("vid")
     for _ in range(max_rounds):
-        all_centers = centers if extra is None else centers.unionByName(extra)
-        where = _counted(materialize(center_of(hops, all_centers, meter=meter).join(hops, "vid"), "clusters"), "clusters", meter)
+        where = _counted(materialize(center_of(open_, inside, meter=meter).join(open_.select("vid", "hop", "next"), "vid"), "clusters"), "clusters", meter)
         full = where.groupBy("center").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > k).select("center")
-        heads = where.join(full, "center").withColumn("rank", F.row_number().over(Window.partitionBy("center").orderBy("hop", "vid"))).filter(F.col("rank") <= k + 1)
-        made = materialize(heads.select("center", "vid", "hop", "next").groupBy("center").applyInArrow(_split_rows(mode == "recursive_children", k), "vid long"), "secondaries")
-        n = made.count()
+        over = materialize(where.join(full, "center"), "clusters")
+        heads = over.withColumn("rank", F.row_number().over(Window.partitionBy("center").orderBy("hop", "vid"))).filter(F.col("rank") <= k + 1)
+        made, seen = measured(heads.select("center", "vid", "hop", "next").groupBy("center").applyInArrow(_split_rows(mode == "recursive_children", k), "vid long"), "secondaries")
         if meter:
-            meter.add("split", writes=n, rounds=1)
-        if n == 0:
+            meter.add("split", writes=seen["rows"], rounds=1)
+        discard(where)
+        if seen["rows"] == 0:
+            discard(over)
             return extra if extra is not None else made
         extra = made if extra is None else _counted(materialize(extra.unionByName(made).distinct(), "secondaries"), "split", meter)
+        # within an over-full cluster the old center stays where its vertices' paths end
+        open_ = over.select("vid", "hop", "next")
+        inside = over.select(F.col("center").alias("vid")).unionByName(made).distinct()
     raise RuntimeError("clusters did not shrink")
 
 
@@ -147,20 +153,35 @@ class CenterDecomposition:
     centers: DataFrame  # vid, is_primary: all that asked vertices need
     hops: DataFrame  # one row a vertex, written while building and read by the batch look-up
     implicit: DataFrame  # vid, center of components below k without a primary; written while building, for the batch look-up
+    order: str = "vid"
 
     def lookup(self, meter: CostMeter | None = None) -> DataFrame:
         """(vid, center, is_implicit) of all vertices, by doubling over the table of next hops."""
         own = center_of(self.hops, self.centers.select("vid"), meter=meter)
         return own.withColumn("is_implicit", F.lit(False)).unionByName(self.implicit.withColumn("is_implicit", F.lit(True)))
 
+    def cluster_forest(self) -> DataFrame:
+        """(vid, center, parent): inside every cluster the tree of paths to its center; a center has no parent."""
+        own = self.lookup().join(self.hops.select("vid", "next"), "vid", "left")
+        ways = own.select("vid", "center", F.when(F.col("vid") != F.col("center"), F.col("next")).alias("parent"), "is_implicit")
+        tree = ways.filter("not is_implicit").select("vid", "center", "parent")
+        lone = self.implicit.select(F.col("vid"), F.col("center"))
+        if lone.isEmpty():
+            return tree
+        inside = self.graph.edges.join(lone.select(F.col("vid").alias("a")), "a", "left_semi")
+        found = levels(Graph(lone.select("vid"), inside), lone.filter("vid = center").select("vid"), order=self.order)
+        return tree.unionByName(found.select("vid", F.col("source").alias("center"), "parent"))
+
     def materialize(self) -> DataFrame:
         """The explicit baseline: one stored row a vertex."""
         return materialize(self.lookup(), "explicit-centers")
 
 
-def decompose(graph: Graph, k: int, seed: int = 0, *, mode: str = "recursive", meter: CostMeter | None = None) -> CenterDecomposition:
+def decompose(graph: Graph, k: int, seed: int = 0, *, mode: str = "recursive", order: str = "vid", meter: CostMeter | None = None) -> CenterDecomposition:
     """Sample, cover components without a primary, split; ``primary_only`` leaves the clusters unsplit.
 
+    ``order`` says which of several neighbours at one distance comes first: the least id, or the least hash of it.
+
     ``balls`` takes a shifted-ball partition with mean delay k instead: few cut edges, no bound on sizes."""
     graph = graph.fixed()
     if meter:
@@ -170,12 +191,12 @@ def decompose(graph: Graph, k: int, seed: int = 0, *, mode: str = "recursive", m
         centers = materialize(ball.filter("hop = 0").select("vid", F.lit(True).alias("is_primary")), "centers")
         return CenterDecomposition(graph, k, centers, ball.select("vid", F.col("source").alias("primary"), "hop", F.col("parent").alias("next")), centers.select("vid", F.col("vid").alias("center")).limit(0))
     primaries = materialize(sample_primaries(graph, k, seed), "primaries")
-    hops = next_hops(graph, primaries, meter)
+    hops = next_hops(graph, primaries, meter, order)
     more, implicit = cover_orphans(graph, primaries, hops, k, meter)
     more = _counted(materialize(more, "more-primaries"), "primaries", meter)
     if not more.isEmpty():
         primaries = materialize(primaries.unionByName(more), "primaries")
-        hops = next_hops(graph, primaries, meter)
+        hops = next_hops(graph, primaries, meter, order)
     if meter:
         meter.add("primaries", ops=2 * graph.edges.count(), writes=primaries.count(), rounds=1)
     centers = primaries.withColumn("is_primary", F.lit(True))
@@ -183,7 +204,7 @@ def decompose(graph: Graph, k: int, seed: int = 0, *, mode: str = "recursive", m
         second = split_clusters(hops, primaries, k, mode=mode, meter=meter).join(primaries, "vid", "left_anti")
         centers = centers.unionByName(second.distinct().withColumn("is_primary", F.lit(False)))
     centers, implicit = materialize(centers, "centers"), materialize(implicit, "implicit")
-    return CenterDecomposition(graph, k, _counted(centers, "centers", meter), hops, _counted(implicit, "implicit", meter))
+    return CenterDecomposition(graph, k, _counted(centers, "centers", meter), hops, _counted(implicit, "implicit", meter), order)
 
 
 def check_decomposition(dec: CenterDecomposition) -> DataFrame:
@@ -231,7 +252,8 @@ def lookup_center(dec: CenterDecomposition, asked: DataFrame, max_hops: int = 10
         here = front.filter("hit").select("qid", "at", F.lit(None).cast("bigint").alias("next"))
         if ways:
             nearer = ways[-1].select("qid", F.col("at").alias("dst"))
-            led = front.withColumnRenamed("at", "src").join(arcs, "src").join(nearer, ["qid", "dst"]).groupBy("qid", F.col("src").alias("at")).agg(F.min("dst").alias("next"))
+            first = F.min("dst") if dec.order == "vid" else F.min_by("dst", F.xxhash64("dst"))
+            led = front.withColumnRenamed("at", "src").join(arcs, "src").join(nearer, ["qid", "dst"]).groupBy("qid", F.col("src").alias("at")).agg(first.alias("next"))
             here = here.unionByName(led.select("qid", "at", "next"))
         ways.append(_counted(materialize(here, "ways"), "look-up", meter))
     # forth again, level by level, until the first center
@@ -248,9 +270,26 @@ def lookup_center(dec: CenterDecomposition, asked: DataFrame, max_hops: int = 10
     return asked.join(found.unionByName(alone), "qid", "left").select(F.col("qid").alias("vid"), "center")
 
 
-def members_of(dec: CenterDecomposition, centers: DataFrame) -> DataFrame:
-    """(center, vid) of the asked clusters."""
-    return dec.lookup().join(centers.select("center"), "center", "left_semi").select("center", "vid")
+def members_of(dec: CenterDecomposition, centers: DataFrame, meter: CostMeter | None = None) -> DataFrame:
+    """(center, vid) of the asked clusters, by searches outward from their centers: a neighbour belongs if its own look-up says so.
+
+    A cluster hangs together through itself, so that no search leaves it by more than a hop."""
+    front = materialize(centers.select("center", F.col("center").alias("vid")).distinct(), "members")
+    found, met = front, front
+    with adjacency(dec.graph) as arcs:
+        while True:
+            out = front.join(arcs.select(F.col("src").alias("vid"), F.col("dst")), "vid").select("center", F.col("dst").alias("vid")).distinct()
+            fresh, seen = measured(out.join(met, ["center", "vid"], "left_anti"), "members-near")
+            if seen["rows"] == 0:
+                return found
+            told = lookup_center(dec, fresh.select("vid"), meter=meter)
+            front = materialize(fresh.join(told.withColumnRenamed("center", "own"), "vid").filter("own = center").select("center", "vid"), "members")
+            met, found = met.unionByName(fresh), found.unionByName(front)
+
+
+def members_of_all(dec: CenterDecomposition) -> DataFrame:
+    """(center, vid) of all clusters, from the batch look-up."""
+    return dec.lookup().select("center", "vid")
 
 
 def quotient(graph: Graph, where: DataFrame) -> DataFrame:
@@ -260,9 +299,15 @@ def quotient(graph: Graph, where: DataFrame) -> DataFrame:
     return rows.groupBy(F.least("xa", "xb").alias("ca"), F.greatest("xa", "xb").alias("cb")).agg(F.sum("mult").cast("int").alias("mult"), F.min(F.struct("a", "b")).alias("rep")).select("ca", "cb", "mult", F.col("rep.a").alias("rep_a"), F.col("rep.b").alias("rep_b"))
 
 
-def quotient_neighbors(dec: CenterDecomposition, centers: DataFrame) -> DataFrame:
-    """(center, neighbor) of the asked clusters, through their members' outgoing edges."""
-    where = dec.lookup()
-    inside = where.join(centers.select("center"), "center", "left_semi").select("center", F.col("vid").alias("src"))
-    out = inside.join(dec.graph.arcs(), "src").select("center", F.col("dst").alias("vid")).distinct()
-    return out.join(where.select("vid", F.col("center").alias("neighbor")), "vid").filter("center <> neighbor").select("center", "neighbor").distinct()
+def quotient_neighbors(dec: CenterDecomposition, centers: DataFrame | None = None, meter: CostMeter | None = None) -> DataFrame:
+    """(center, neighbor) of the asked clusters, through their members' outgoing edges and look-ups of the far ends; of all clusters in one batch."""
+    if centers is None:
+        where = dec.lookup()
+        inside, named = where.select("center", F.col("vid").alias("src")), where
+    else:
+        inside = materialize(members_of(dec, centers, meter), "members").select("center", F.col("vid").alias("src"))
+        named = None
+    out = materialize(inside.join(dec.graph.arcs(), "src").select("center", F.col("dst").alias("vid")).distinct(), "outward")
+    if named is None:
+        named = lookup_center(dec, out.join(inside.select("center", F.col("src").alias("vid")), ["center", "vid"], "left_anti").select("vid"), meter=meter)
+    return out.join(named.select("vid", F.col("center").alias("neighbor")), "vid").filter("center <> neighbor").select("center", "neighbor").distinct()

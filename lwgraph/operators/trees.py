@@ -5,7 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..plans.scratch import materialize
+from ..plans.scratch import discard, materialize, measured
+from . import local
+
+BLOCK = 1 << 12
 
 
 def width(df: DataFrame) -> int:
@@ -29,54 +32,59 @@ def global_index(df: DataFrame, order: list[str], out: str) -> DataFrame:
 
 def rootfix(forest: DataFrame, value: str, out: str, max_rounds: int = 64) -> DataFrame:
     """Maximum of ``value`` over each vertex and its ancestors, by doubling; forest(vid, parent, value)."""
-    now = materialize(forest.select("vid", F.col("parent").alias("up"), F.col(value).alias(out)), "rootfix")
+    now, seen = measured(forest.select("vid", F.col("parent").alias("up"), F.col(value).alias(out)), "rootfix", open=F.col("up").isNotNull().cast("long"))
     for _ in range(max_rounds):
-        if now.filter("up is not null").isEmpty():
+        if seen["open"] == 0:
             return now.select("vid", out)
         above = now.select(F.col("vid").alias("up"), F.col("up").alias("up2"), F.col(out).alias("more"))
-        now = materialize(now.join(above, "up", "left").select("vid", F.col("up2").alias("up"), F.greatest(out, "more").alias(out)), "rootfix")
+        then, seen = measured(now.join(above, "up", "left").select("vid", F.col("up2").alias("up"), F.greatest(out, "more").alias(out)), "rootfix", open=F.col("up").isNotNull().cast("long"))
+        discard(now)
+        now = then
     raise RuntimeError("not a forest")
 
 
-class RangeTable:
-    """Minimum and maximum over index ranges by a sparse table; rows(idx, lo, hi)."""
-
-    def __init__(self, rows: DataFrame, longest: int):
-        level = materialize(rows.select("idx", "lo", "hi"), "range-table")
-        levels, span, j = [level.withColumn("j", F.lit(0))], 1, 0
-        while span * 2 <= longest:
-            right = level.select((F.col("idx") - span).alias("idx"), F.col("lo").alias("lo2"), F.col("hi").alias("hi2"))
-            level = materialize(level.join(right, "idx").select("idx", F.least("lo", "lo2").alias("lo"), F.greatest("hi", "hi2").alias("hi")), "range-table")
-            span, j = span * 2, j + 1
-            levels.append(level.withColumn("j", F.lit(j)))
-        self.table = levels[0]
-        for more in levels[1:]:
-            self.table = self.table.unionByName(more)
-
-    def query(self, asked: DataFrame) -> DataFrame:
-        """asked(id, idx, size) -> (id, lo, hi) over idx .. idx + size - 1."""
-        a = asked.withColumn("j", F.floor(F.log2(F.col("size").cast("double"))).cast("int"))
-        a = a.withColumn("j", F.when(F.expr('shiftleft(1L, j)') > F.col("size"), F.col("j") - 1).otherwise(F.col("j")))
-        ends = F.array(F.col("idx"), F.col("idx") + F.col("size") - F.expr('shiftleft(1L, j)'))
-        probes = a.select("id", "j", F.explode(ends).alias("idx"))
-        return probes.join(self.table, ["j", "idx"]).groupBy("id").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+def range_extremes(rows: DataFrame, asked: DataFrame, block: int = BLOCK, name: str = "ranges") -> DataFrame:
+    """(id, lo, hi): least lo and greatest hi of rows (idx, lo, hi) over first .. last of questions (id, first, last).
+
+    Rows are numbered without gaps.  A question inside one block of rows is answered there; another
+    takes the end of its first block, the start of its last one, and the blocks between, which are
+    the rows of a smaller question of the same kind."""
+    rows = materialize(rows.select("idx", "lo", "hi"), name)
+    n = rows.count()
+    if n <= local.ROWS:
+        one = lambda df: df.withColumn("block", F.lit(0))
+        return local.local_ranges(one(rows), one(asked), "block")
+    where = lambda c: F.floor(F.col(c) / block).cast("long")
+    rows = rows.withColumn("block", where("idx"))
+    asked = materialize(asked.select("id", "first", "last", where("first").alias("block"), where("last").alias("last_block")), f"{name}-asked")
+    inside = local.local_ranges(rows, asked.filter("block = last_block"), "block")
+    onward, back = Window.partitionBy("block").orderBy("idx"), Window.partitionBy("block").orderBy(F.desc("idx"))
+    upto = rows.select(F.col("idx").alias("last"), F.min("lo").over(onward).alias("lo_last"), F.max("hi").over(onward).alias("hi_last"))
+    after = rows.select(F.col("idx").alias("first"), F.min("lo").over(back).alias("lo_first"), F.max("hi").over(back).alias("hi_first"))
+    wide = asked.filter("block < last_block").join(after, "first").join(upto, "last")
+    sums = rows.groupBy(F.col("block").alias("idx")).agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+    between = range_extremes(sums, asked.filter("block + 1 < last_block").select("id", (F.col("block") + 1).alias("first"), (F.col("last_block") - 1).alias("last")), block, name)
+    met = wide.join(between, "id", "left")
+    spanning = met.select("id", F.least("lo_first", "lo_last", "lo").alias("lo"), F.greatest("hi_first", "hi_last", "hi").alias("hi"))
+    return inside.unionByName(spanning)
 
 
 def leaffix(forest: DataFrame, lo: str = "w_lo", hi: str = "w_hi") -> DataFrame:
     """(vid, low, high): minimum of ``lo`` and maximum of ``hi`` over every subtree.
 
     forest(vid, idx, size, lo, hi): a subtree is a contiguous range of the preorder index."""
-    longest = forest.agg(F.max("size")).head()[0] or 1
-    table = RangeTable(forest.select("idx", F.col(lo).alias("lo"), F.col(hi).alias("hi")), longest)
-    return table.query(forest.select(F.col("vid").alias("id"), "idx", "size")).select(F.col("id").alias("vid"), F.col("lo").alias("low"), F.col("hi").alias("high"))
+    asked = forest.select(F.col("vid").alias("id"), F.col("idx").alias("first"), (F.col("idx") + F.col("size") - 1).alias("last"))
+    found = range_extremes(forest.select("idx", F.col(lo).cast("long").alias("lo"), F.col(hi).cast("long").alias("hi")), asked, name="leaffix")
+    return found.select(F.col("id").alias("vid"), F.col("lo").alias("low"), F.col("hi").alias("high"))
 
 
 def lca(forest: DataFrame, pairs: DataFrame) -> DataFrame:
     """(qid, lca) for pairs (qid, u, v); null across trees or for unknown vertices.
 
-    The deepest common ancestor is the parent of the shallowest vertex strictly after the
-    earlier one, up to the later one, in preorder - or the earlier one itself if it holds the later."""
-    f = forest.select("vid", "root", "idx", "size", "depth", "parent")
+    All vertices strictly after the earlier one, up to the later one, in preorder lie below the
+    common ancestor, and one of them is its child: the least parent among them is the answer -
+    or the earlier one itself if it holds the later."""
+    f = forest.select("vid", "root", "idx", "size", "parent")
     u = f.select(*[F.col(c).alias(f"u_{c}") for c in f.columns])
     v = f.select(*[F.col(c).alias(f"v_{c}") for c in f.columns])
     met = pairs.join(u, pairs["u"] == u["u_vid"], "left").join(v, pairs["v"] == v["v_vid"], "left")
@@ -84,10 +92,9 @@ def lca(forest: DataFrame, pairs: DataFrame) -> DataFrame:
     held = same.withColumn("first", F.least("u_idx", "v_idx")).withColumn("last", F.greatest("u_idx", "v_idx"))
     holds = F.when((F.col("u_idx") <= F.col("v_idx")) & (F.col("v_idx") < F.col("u_idx") + F.col("u_size")), F.col("u")).when((F.col("v_idx") <= F.col("u_idx")) & (F.col("u_idx") < F.col("v_idx") + F.col("v_size")), F.col("v"))
     held = materialize(held.withColumn("known", holds).select("qid", "first", "last", "known"), "lca")
-    open_ = held.filter("known is null").select(F.col("qid").alias("id"), (F.col("first") + 1).alias("idx"), (F.col("last") - F.col("first")).alias("size"))
-    longest = open_.agg(F.max("size")).head()[0] or 1
-    # depth in the high part, parent in the low: the least value names the shallowest vertex's parent
-    wide = f.filter("parent is not null").select("idx", F.struct(F.col("depth"), F.col("parent")).alias("lo"), F.struct(F.col("depth"), F.col("parent")).alias("hi"))
-    found = RangeTable(wide, longest).query(open_).select(F.col("id").alias("qid"), F.col("lo.parent").alias("found"))
+    open_ = held.filter("known is null").select(F.col("qid").alias("id"), (F.col("first") + 1).alias("first"), "last")
+    above = f.select(F.col("vid").alias("parent"), F.col("idx").alias("pidx"))
+    rows = f.join(above, "parent", "left").select("idx", F.coalesce("pidx", "idx").alias("lo"), F.lit(0).cast("long").alias("hi"))
+    found = range_extremes(rows, open_, name="lca").select(F.col("id").alias("qid"), F.col("lo").alias("idx")).join(f.select("idx", F.col("vid").alias("found")), "idx").select("qid", "found")
     answer = held.join(found, "qid", "left").select("qid", F.coalesce("known", "found").alias("lca"))
     return pairs.select("qid").join(answer, "qid", "left")

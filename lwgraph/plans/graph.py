@@ -11,12 +11,17 @@ from pyspark.sql import functions as F
 from .scratch import materialize
 
 
+class ScopeError(ValueError):
+    """The question has no answer on this graph."""
+
+
 @dataclass
 class Graph:
     """An undirected multigraph: vertices(vid), edges(a, b, mult) with a < b, no loops."""
 
     vertices: DataFrame
     edges: DataFrame
+    expanded: bool = False  # high degrees were replaced by trees: blocks are not those of the original
 
     @classmethod
     def of(cls, pairs: DataFrame, vertices: DataFrame | None = None) -> Graph:
@@ -42,7 +47,11 @@ class Graph:
 
     def fixed(self, name: str = "graph") -> Graph:
         """The same graph, written once."""
-        return Graph(materialize(self.vertices, f"{name}-vertices"), materialize(self.edges, f"{name}-edges"))
+        return Graph(materialize(self.vertices, f"{name}-vertices"), materialize(self.edges, f"{name}-edges"), self.expanded)
+
+    def refuse_expanded(self, what: str) -> None:
+        if self.expanded:
+            raise ScopeError(f"{what} of an expanded graph are not those of the original: use the dense method on the original graph")
 
     def max_degree(self) -> int:
         return self.arcs().groupBy("src").count().agg(F.max("count")).head()[0] or 0
