@@ -7,7 +7,7 @@ from contextlib import contextmanager
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.scratch import materialize, new_scratch_path, remove_path, scratch_dir  # noqa: F401
+from ..plans.scratch import discard, materialize, new_scratch_path, remove_path, scratch_dir, session_setting  # noqa: F401
 
 
 def load(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
@@ -25,12 +25,7 @@ def ascii_lower(col):
 
 
 @contextmanager
-def arrow_rows(spark: SparkSession, rows: int):
-    """Smaller Arrow batches for steps whose rows are wide; the session's own setting returns afterwards."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(key)
-    spark.conf.set(key, rows)
-    try:
+def arrow_batches(spark: SparkSession, rows: int, size: int = 4 << 20):
+    """Arrow batches of at most so many rows and about so many bytes, for steps whose rows are wide."""
+    with session_setting(spark, "spark.sql.execution.arrow.maxRecordsPerBatch", rows), session_setting(spark, "spark.sql.execution.arrow.maxBytesPerBatch", size):
         yield
-    finally:
-        spark.conf.set(key, before)

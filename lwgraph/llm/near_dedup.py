@@ -9,7 +9,9 @@ Two documents link when their shingle sets have a Jaccard similarity of at least
    and ends with the frequent ones; within these the orders differ by hash.
 3. Linked sets share a token in their prefixes under every order.  The prefixes of the
    first order are indexed.  A token with few documents yields all its pairs; one with
-   many yields pairs with a few hubs.
+   many yields pairs with a few hubs.  Tokens lie in buckets; a bucket of more than
+   ``bucket_tokens`` entries is taken apart: its long postings never come together in one
+   task, the others are dealt anew.
 4. Pairs pass the other orders' prefix intersections and a bound on the symmetric
    difference from parity bitmaps, then are verified on the whole sets.
 5. Components.  Documents of a long posting that are not yet connected are then paired
@@ -18,7 +20,8 @@ Two documents link when their shingle sets have a Jaccard similarity of at least
 
 Defined results: null or wordless texts have an empty set and link with nothing; a null
 doc_id takes no part and has a null component; rows with equal ids are one vertex;
-other columns are ignored; an empty table gives an empty result.
+other columns are ignored; an empty table gives an empty result.  ``keep_one`` tells rows
+apart by id and text: different texts of one id, or of no id, are vertices of their own.
 """
 
 from __future__ import annotations
@@ -32,7 +35,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.contraction import contract_components
-from .common import arrow_rows, load, materialize, shuffle_width
+from ..operators.trees import global_index
+from .common import arrow_batches, discard, load, materialize, shuffle_width
 from .packed import COUNT_SCHEMA, bucket_of, contains, count_rows, frequent_keys, merged_keys, mix64, pack48, unpack48
 from .textbytes import byte_view, concat_column, release, releasing, slices
 
@@ -42,6 +46,9 @@ NEAR_ROUNDS = 2
 ORDERS = 3
 PART_BYTES = 4 << 20
 SLICE = 1 << 19
+BUCKET_TOKENS = 2_000_000
+BLOCK_ROWS, BLOCK_BYTES = 10_000, 16 << 20
+CHUNK = 1 << 16
 
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
@@ -178,7 +185,7 @@ def meet(a: np.ndarray, b: np.ndarray) -> bool:
     return bool(contains(b, a).any()) if len(a) <= len(b) else bool(contains(a, b).any())
 
 
-SKETCH_SCHEMA = "bucket int, ids binary, sizes binary, counts binary, tokens binary, sketch_id long, n long, parity binary, marks array<binary>"
+SKETCH_SCHEMA = "bucket int, entries long, ids binary, sizes binary, counts binary, tokens binary, sketch_id long, n long, parity binary, marks array<binary>"
 INDEX_COLUMNS = ("ids", "sizes", "counts", "tokens")
 
 
@@ -201,14 +208,14 @@ def _index(table: pa.Table, frequent: np.ndarray, words: int, percent: int, buck
     for b, (i, j) in enumerate(zip(edges, edges[1:], strict=False)):
         if j > i:
             docs, counts = np.unique(row[i:j], return_counts=True)  # rows ascend within a bucket
-            rows.append((b, ids[docs].astype("<i8").tobytes(), sizes[docs].astype("<i4").tobytes(), counts.astype("<u4").tobytes(), pack48(keys[i:j])))
+            rows.append((b, int(j - i), ids[docs].astype("<i8").tobytes(), sizes[docs].astype("<i4").tobytes(), counts.astype("<u4").tobytes(), pack48(keys[i:j])))
     none = [None] * len(rows)
     nothing = [None] * len(sketches)
-    cols = list(zip(*rows, strict=True)) or [()] * 5
+    cols = list(zip(*rows, strict=True)) or [()] * 6
     sk = list(zip(*sketches, strict=True)) or [()] * 4
     data = [[*cols[0], *nothing], *([*c, *nothing] for c in cols[1:]), *([*none, *s] for s in sk)]
-    kinds = [pa.int32(), *[pa.binary()] * 4, pa.int64(), pa.int64(), pa.binary(), pa.list_(pa.binary())]
-    names = ["bucket", *INDEX_COLUMNS, "sketch_id", "n", "parity", "marks"]
+    kinds = [pa.int32(), pa.int64(), *[pa.binary()] * 4, pa.int64(), pa.int64(), pa.binary(), pa.list_(pa.binary())]
+    names = ["bucket", "entries", *INDEX_COLUMNS, "sketch_id", "n", "parity", "marks"]
     return pa.table([pa.array(d, k) for d, k in zip(data, kinds, strict=True)], names=names)
 
 
@@ -219,13 +226,20 @@ def _fits(na: np.ndarray, nb: np.ndarray, percent: int) -> np.ndarray:
     return 100 * np.minimum(na, nb) >= percent * np.maximum(na, nb)
 
 
-def _pairs(table: pa.Table, percent: int) -> pa.Table:
-    """Pairs of documents that share an indexed token, and the members of long postings."""
-    cols = {k: table.column(k).to_pylist() for k in INDEX_COLUMNS}
+def _unpacked(cols: dict) -> tuple[np.ndarray, ...]:
+    """(ids, sizes, keys, row of each key) of packed index rows."""
     ids, sizes = np.frombuffer(b"".join(cols["ids"]), "<i8"), np.frombuffer(b"".join(cols["sizes"]), "<i4").astype(np.int64)
     counts = np.frombuffer(b"".join(cols["counts"]), "<u4").astype(np.int64)
     keys = np.concatenate([unpack48(x) for x in cols["tokens"]])
-    row = np.repeat(np.arange(len(ids)), counts)
+    return ids, sizes, keys, np.repeat(np.arange(len(ids)), counts)
+
+
+def _pairs(table: pa.Table, percent: int) -> pa.Table:
+    """Pairs of documents that share an indexed token, and the members of long postings."""
+    return _met(*_unpacked({k: table.column(k).to_pylist() for k in INDEX_COLUMNS}), percent)
+
+
+def _met(ids: np.ndarray, sizes: np.ndarray, keys: np.ndarray, row: np.ndarray, percent: int) -> pa.Table:
     order = np.lexsort((ids[row], keys))
     k, r = keys[order], row[order]
     same = (k[1:] == k[:-1]) & (ids[r][1:] == ids[r][:-1])
@@ -267,6 +281,41 @@ def _pairs(table: pa.Table, percent: int) -> pa.Table:
         "members": pa.array([*[None] * n, *(np.stack([ids[p], sizes[p]], 1).astype("<i8").tobytes() for p in long_members)], pa.binary())})
 
 
+def taken_apart(index: DataFrame, hot: DataFrame, percent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(pairs, long postings (key, vid, n), table to discard) of oversized buckets, hot(bucket, splits).
+
+    Numbers of documents are added up on the map side, so that only postings of at most
+    FREQUENT members are gathered by key; the others stay rows and meet a few hubs, the members
+    that come first under some hashes."""
+
+    def unpack(batches):
+        for batch in batches:
+            for i in range(batch.num_rows):
+                one = batch.slice(i, 1)
+                ids, sizes, keys, row = _unpacked({k: one.column(k).to_pylist() for k in INDEX_COLUMNS})
+                bucket, splits = one.column("bucket")[0].as_py(), one.column("splits")[0].as_py()
+                for a in range(0, len(keys), CHUNK):
+                    k, r = keys[a : a + CHUNK], row[a : a + CHUNK]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(k), bucket, np.int32)), pa.array((mix64(k) % np.uint64(splits)).astype(np.int32)), pa.array(k.astype(np.int64)), pa.array(ids[r]), pa.array(sizes[r])], names=["bucket", "split", "key", "vid", "n"])
+
+    def pair(table: pa.Table) -> pa.Table:
+        ids, first, row = np.unique(table.column("vid").to_numpy(), return_index=True, return_inverse=True)
+        out = _met(ids, table.column("n").to_numpy()[first], table.column("key").to_numpy().astype(np.uint64), row, percent)
+        release()
+        return out.select(["a", "b"])
+
+    wide = index.join(hot, "bucket").select("bucket", "splits", *INDEX_COLUMNS)
+    rows = materialize(wide.mapInArrow(releasing(unpack), "bucket int, split int, key long, vid long, n long").distinct(), "near-hot")
+    firsts = [F.min_by(F.struct("vid", "n"), F.xxhash64("vid", F.lit(h))).alias(f"h{h}") for h in range(HUBS)]
+    long = rows.groupBy("key").agg(F.count(F.lit(1)).alias("m"), *firsts).filter(F.col("m") > FREQUENT)
+    members = rows.join(long.select("key"), "key", "left_semi").select("key", "vid", "n")
+    hubs = long.select("key", F.explode(F.array_distinct(F.array(*[f"h{h}" for h in range(HUBS)]))).alias("hub"))
+    fits = 100 * F.least("n", "hub.n") >= percent * F.greatest("n", "hub.n")
+    near = members.join(hubs, "key").filter((F.col("vid") != F.col("hub.vid")) & fits).select(F.least("vid", "hub.vid").alias("a"), F.greatest("vid", "hub.vid").alias("b"))
+    few = rows.join(long.select("key"), "key", "left_anti").groupBy("bucket", "split").applyInArrow(pair, "a long, b long")
+    return near.unionByName(few), members, rows
+
+
 def filtered(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) that meet under every order and may be similar enough by their parity bitmaps."""
 
@@ -306,7 +355,9 @@ def verified(pairs: DataFrame, texts: DataFrame, words: int, percent: int) -> Da
     wanted = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
     held = materialize(texts.join(wanted, "doc_id", "left_semi").mapInArrow(releasing(sets), "doc_id long, tokens binary"), "near-sets")
     left, right = held.select(F.col("doc_id").alias("a"), F.col("tokens").alias("sa")), held.select(F.col("doc_id").alias("b"), F.col("tokens").alias("sb"))
-    return pairs.join(left, "a").join(right, "b").mapInArrow(releasing(run), "a long, b long")
+    out = materialize(pairs.join(left, "a").join(right, "b").mapInArrow(releasing(run), "a long, b long"), "near-links")
+    discard(held)
+    return out
 
 
 def folded(bits: np.ndarray, size: int) -> np.ndarray:
@@ -317,14 +368,24 @@ def folded(bits: np.ndarray, size: int) -> np.ndarray:
     return bits
 
 
-def nearest(left: pa.Table, right: pa.Table, percent: int, best: int | None, block: int = 1 << 20) -> tuple[np.ndarray, np.ndarray]:
-    """(row of left, row of right) of pairs in different components that the parity bound admits; at most ``best`` a left row."""
+def _best(u: np.ndarray, w: np.ndarray, d: np.ndarray, vr: np.ndarray, best: int) -> tuple[np.ndarray, ...]:
+    """The ``best`` nearest right rows of every left row."""
+    order = np.lexsort((vr[w], d, u))
+    u, w, d = u[order], w[order], d[order]
+    first = np.flatnonzero(np.concatenate([[True], u[1:] != u[:-1]])[: len(u)])
+    keep = np.arange(len(u)) - np.repeat(first, np.diff(np.append(first, len(u)))) < best
+    return u[keep], w[keep], d[keep]
+
+
+def nearest(left: pa.Table, right: pa.Table, percent: int, best: int | None, block: int = 1 << 20) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(row of left, row of right) of pairs in different components that the parity bound admits, a bounded
+    number at a time; at most ``best`` a left row."""
     nl, nr = left.column("n").to_numpy(), right.column("n").to_numpy()
     cl, cr = left.column("comp").to_numpy(), right.column("comp").to_numpy()
     vl, vr = left.column("vid").to_numpy(), right.column("vid").to_numpy()
     pl, pr = left.column("parity").to_pylist(), right.column("parity").to_pylist()
     sl, sr = np.array([len(x) for x in pl]), np.array([len(x) for x in pr])
-    out_l, out_r, gap = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    held = (np.zeros(0, np.int64),) * 3
     for a in np.unique(sl):
         for b in np.unique(sr):
             i, j, size = np.flatnonzero(sl == a), np.flatnonzero(sr == b), int(min(a, b))
@@ -336,17 +397,13 @@ def nearest(left: pa.Table, right: pa.Table, percent: int, best: int | None, blo
                 both = nl[r][:, None] + nr[j][None, :]
                 ok = (cl[r][:, None] != cr[j][None, :]) & (vl[r][:, None] != vr[j][None, :]) & _fits(nl[r][:, None], nr[j][None, :], percent) & (d <= both - 2 * -(-percent * both // (100 + percent)))
                 u, w = np.nonzero(ok)
-                out_l.append(r[u])
-                out_r.append(j[w])
-                gap.append(d[u, w])
-    u, w, d = np.concatenate(out_l), np.concatenate(out_r), np.concatenate(gap)
-    if best is not None and len(u):
-        order = np.lexsort((vr[w], d, u))
-        u, w = u[order], w[order]
-        first = np.flatnonzero(np.concatenate([[True], u[1:] != u[:-1]]))
-        keep = np.arange(len(u)) - np.repeat(first, np.diff(np.append(first, len(u)))) < best
-        u, w = u[keep], w[keep]
-    return u, w
+                if best is None:
+                    for c in range(0, len(u), CHUNK):
+                        yield r[u[c : c + CHUNK]], j[w[c : c + CHUNK]]
+                elif len(u):
+                    held = _best(*(np.concatenate(p) for p in zip(held, (r[u], j[w], d[u, w]), strict=True)), vr, best)
+    if len(held[0]):
+        yield held[0], held[1]
 
 
 def posting_members(postings: DataFrame) -> DataFrame:
@@ -356,45 +413,55 @@ def posting_members(postings: DataFrame) -> DataFrame:
         for batch in batches:
             for key, blob in zip(batch.column("key").to_pylist(), batch.column("members").to_pylist(), strict=True):
                 m = np.frombuffer(blob, "<i8").reshape(-1, 2)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(m), key)), pa.array(m[:, 0]), pa.array(m[:, 1])], names=["key", "vid", "n"])
+                for i in range(0, len(m), CHUNK):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(m[i : i + CHUNK]), key)), pa.array(m[i : i + CHUNK, 0]), pa.array(m[i : i + CHUNK, 1])], names=["key", "vid", "n"])
 
     return postings.select("key", "members").mapInArrow(releasing(split), "key long, vid long, n long")
 
 
-def across(members: DataFrame, sketches: DataFrame, comp: DataFrame, percent: int, best: int | None, block_rows: int = 10_000) -> DataFrame:
+def across(members: DataFrame, sketches: DataFrame, comp: DataFrame, percent: int, best: int | None, block_rows: int = BLOCK_ROWS, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """Pairs within long postings whose ends are not connected yet and pass the parity bound.
 
-    Members outside a posting's largest component meet all its members, in blocks of
-    bounded size; ``best`` keeps each one's nearest few, None all."""
+    Members outside a posting's largest component meet all its members, block by block on
+    both sides; a block is bounded in rows and in bytes of its bitmaps.  ``best`` keeps the
+    nearest few of each member in each block, None all."""
     now = members.join(comp, "vid", "left").withColumn("comp", F.coalesce("comp", "vid"))
     now = materialize(now, "near-members")
-    shares = now.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("share"))
-    keys = shares.groupBy("key").agg(F.max_by("comp", F.struct("share", "comp")).alias("top"), F.sum("share").alias("m"), F.count(F.lit(1)).alias("comps")).filter("comps > 1")
-    blocks = F.ceil(F.col("m") / block_rows).cast("int")
-    open_ = now.join(keys, "key").withColumn("blocks", blocks)
-    own = open_.select("key", F.pmod(F.xxhash64("vid"), F.col("blocks")).cast("int").alias("block"), F.lit(0).alias("role"), "vid", "n", "comp")
-    others = open_.filter("comp <> top").select("key", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(1).alias("role"), "vid", "n", "comp")
+    shares = now.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("share"), F.sum("n").alias("tokens"))
+    keys = shares.groupBy("key").agg(F.max_by("comp", F.struct("share", "comp")).alias("top"), F.sum("share").alias("m"), F.sum("tokens").alias("tokens"),
+                                     (F.sum("share") - F.max("share")).alias("rest"), (F.sum("tokens") - F.max_by("tokens", F.struct("share", "comp"))).alias("rest_tokens"), F.count(F.lit(1)).alias("comps")).filter("comps > 1")
+    # a bitmap has at most four bits a token, or eight bytes
+    blocks = lambda m, tokens: F.ceil(F.greatest(F.col(m) / block_rows, (F.col(tokens) / 2 + 8 * F.col(m)) / block_bytes)).cast("int")
+    open_ = now.join(keys.select("key", "top", blocks("m", "tokens").alias("all_blocks"), blocks("rest", "rest_tokens").alias("rest_blocks")), "key")
+    spread = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    own = open_.select("key", F.pmod(F.xxhash64("vid"), F.col("all_blocks")).cast("int").alias("block"), spread("rest_blocks").alias("side"), F.lit(0).alias("role"), "vid", "n", "comp")
+    others = open_.filter("comp <> top").select("key", spread("all_blocks").alias("block"), F.pmod(F.xxhash64("vid"), F.col("rest_blocks")).cast("int").alias("side"), F.lit(1).alias("role"), "vid", "n", "comp")
     marks = sketches.select(F.col("sketch_id").alias("vid"), "parity")
 
-    def meet_all(table: pa.Table) -> pa.Table:
+    def meet_all(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = pa.Table.from_batches(list(batches))
         left, right = table.filter(pc.equal(table.column("role"), 1)), table.filter(pc.equal(table.column("role"), 0))
-        u, w = nearest(left, right, percent, best) if left.num_rows else (np.zeros(0, np.int64),) * 2
-        a, b = left.column("vid").to_numpy()[u], right.column("vid").to_numpy()[w]
-        both = np.unique(np.sort(np.stack([a, b], 1), axis=1), axis=0)
-        return pa.table({"a": pa.array(both[:, 0], pa.int64()), "b": pa.array(both[:, 1], pa.int64())})
+        if left.num_rows and right.num_rows:
+            vl, vr = left.column("vid").to_numpy(), right.column("vid").to_numpy()
+            for u, w in nearest(left, right, percent, best):
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(vl[u], vr[w])), pa.array(np.maximum(vl[u], vr[w]))], names=["a", "b"])
+        release()
 
     rows = own.unionByName(others).join(marks, "vid")
-    return rows.groupBy("key", "block").applyInArrow(meet_all, "a long, b long").distinct()
+    met = materialize(rows.groupBy("key", "block", "side").applyInArrow(meet_all, "a long, b long").distinct(), "near-across")
+    discard(now)
+    return met
 
 
-def components(docs: DataFrame, *, words: int = 4, percent: int = 85, part_bytes: int = PART_BYTES) -> DataFrame:
+def components(docs: DataFrame, *, words: int = 4, percent: int = 85, part_bytes: int = PART_BYTES, bucket_tokens: int = BUCKET_TOKENS) -> DataFrame:
     """doc_id, n_shingles, component_id of every row."""
     spark = docs.sparkSession
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    with arrow_rows(spark, 2000):
+    with arrow_batches(spark, 2000):
         seen = materialize(described(rows, words), "near-digests")
     groups = seen.filter("doc_id is not null and n_shingles > 0").groupBy("hi", "lo").agg(F.min("doc_id").alias("class_id"), F.first("n_shingles").alias("n_shingles"))
     told = materialize(seen.join(groups, ["hi", "lo", "n_shingles"], "left"), "near-classes")
+    discard(seen)
     total = rows.agg(F.sum(F.octet_length("text"))).head()[0] or 0
     parts = max(shuffle_width(spark), -(-total // part_bytes))
     classes = told.filter("doc_id = class_id").select("doc_id").distinct()
@@ -412,41 +479,73 @@ def components(docs: DataFrame, *, words: int = 4, percent: int = 85, part_bytes
         return out
 
     def pair(table: pa.Table) -> pa.Table:
-        return _pairs(table, percent)
+        out = _pairs(table, percent)
+        release()
+        return out
 
     frequent = frequent_keys(grouped.applyInArrow(count, COUNT_SCHEMA), FREQUENT + 1)
     indexed = materialize(grouped.cogroup(frequent.groupBy("part")).applyInArrow(index, SKETCH_SCHEMA), "near-index")
     sketches = indexed.filter("sketch_id is not null").select("sketch_id", "n", "parity", "marks")
-    met = materialize(indexed.filter("bucket is not null").select("bucket", *INDEX_COLUMNS).groupBy("bucket").applyInArrow(pair, PAIR_SCHEMA), "near-pairs")
-    pairs = met.filter("a is not null").select("a", "b").distinct()
-    links = _links(pairs, sketches, texts, words, percent)
+    buckets = indexed.filter("bucket is not null").select("bucket", "entries", *INDEX_COLUMNS)
+    hot = materialize(buckets.groupBy("bucket").agg(F.sum("entries").alias("entries")).filter(F.col("entries") > bucket_tokens)
+                      .select("bucket", F.ceil(2 * F.col("entries") / bucket_tokens).cast("int").alias("splits")), "near-hot-buckets")
+    any_hot = not hot.isEmpty()
+    cool = buckets.join(hot, "bucket", "left_anti") if any_hot else buckets
+    met = materialize(cool.groupBy("bucket").applyInArrow(pair, PAIR_SCHEMA), "near-pairs")
+    pairs, postings = met.filter("a is not null").select("a", "b"), met.filter("members is not null").select("key", "members")
+    members, apart = posting_members(postings), None
+    if any_hot:
+        more_pairs, more_members, apart = taken_apart(buckets, hot, percent)
+        pairs, members = pairs.unionByName(more_pairs), members.unionByName(more_members)
+    links = _links(pairs.distinct(), sketches, texts, words, percent)
     comp = materialize(contract_components(links), "near-components")
-    postings = met.filter("members is not null").select("key", "members")
-    if not postings.isEmpty():
-        members = materialize(posting_members(postings), "near-postings")
+    members = materialize(members, "near-postings")
+    discard(met, apart, hot)
+    if not members.isEmpty():
         # nearest partners first, as long as they connect something; then all that the bound admits
         for best in (*[2] * NEAR_ROUNDS, None):
-            more = materialize(across(members, sketches, comp, percent, best), "near-across")
+            more = across(members, sketches, comp, percent, best)
             found = None if more.isEmpty() else _links(more, sketches, texts, words, percent)
+            discard(more)
             if found is not None and not found.isEmpty():
                 links = links.unionByName(found)
+                discard(comp)
                 comp = materialize(contract_components(links), "near-components")
             elif found is None:
                 break  # no pair is left that could link
+    discard(members, indexed)
     named = told.join(comp.select(F.col("vid").alias("class_id"), "comp"), "class_id", "left")
     return named.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "class_id", "doc_id")).alias("component_id"))
 
 
 def _links(pairs: DataFrame, sketches: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
-    with arrow_rows(pairs.sparkSession, 500):
+    with arrow_batches(pairs.sparkSession, 500):
         left = materialize(filtered(pairs, sketches, percent), "near-filtered")
-        return materialize(verified(left, texts, words, percent), "near-links")
+        links = verified(left, texts, words, percent)
+    discard(left)
+    return links
+
+
+def distinct_rows(docs: DataFrame) -> DataFrame:
+    """``docs`` with ``_row``, a whole number that differs where id or text do: the id, unless texts share it or it is null."""
+    text = F.coalesce(F.col("text"), F.lit(""))
+    told = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.sha2(text, 256).alias("sha"))
+    per_id = told.groupBy("doc_id").agg(F.min("sha").alias("low"), F.max("sha").alias("high"))
+    shared = materialize(told.join(per_id.filter("doc_id is null or low <> high").select(F.col("doc_id").alias("_id")), F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi").distinct(), "near-shared-ids")
+    if shared.isEmpty():
+        return docs.withColumn("_row", F.col("doc_id").cast("bigint"))
+    top = told.agg(F.max("doc_id")).head()[0] or 0
+    numbers = global_index(shared, ["doc_id", "sha"], "n").select(F.col("doc_id").alias("_id"), F.col("sha").alias("_sha"), (F.col("n") + top + 1).alias("_number"))
+    found = docs.join(numbers, F.col("doc_id").cast("bigint").eqNullSafe(F.col("_id")) & (F.sha2(text, 256) == F.col("_sha")), "left")
+    return found.withColumn("_row", F.coalesce(F.col("_number"), F.col("doc_id").cast("bigint"))).drop("_id", "_sha", "_number")
 
 
 def keep_one(docs: DataFrame, *, words: int = 5, percent: int = 80) -> DataFrame:
-    """The rows of ``docs``, all columns, that are alone or the least id of their component."""
-    gone = components(docs.select("doc_id", "text"), words=words, percent=percent).filter("component_id <> doc_id").select(F.col("doc_id").alias("_gone"))
-    return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
+    """The rows of ``docs``, all columns, that are alone or come first in their component: the least id, ids that
+    stand for several texts last."""
+    held = distinct_rows(docs.select("doc_id", "text", F.struct(*docs.columns).alias("_all")))
+    gone = components(held.select(F.col("_row").alias("doc_id"), "text"), words=words, percent=percent).filter("component_id <> doc_id").select(F.col("doc_id").alias("_gone")).distinct()
+    return held.join(gone, held["_row"] == gone["_gone"], "left_anti").select("_all.*")
 
 
 def op5_near_dedup(spark, sf_dir):

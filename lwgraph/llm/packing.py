@@ -36,7 +36,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_rows, load, materialize, shuffle_width
+from .common import arrow_batches, load, materialize, shuffle_width
 from .textbytes import releasing, slices
 
 LENGTH, END_ID = 2048, 1
@@ -256,7 +256,7 @@ def pack(docs: DataFrame, path: str, *, length: int = LENGTH, with_ids: bool = F
     """Pieces of documents: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, curve_key (and the ids on request).
 
     ``stretch`` names a column of whole numbers that the sequences follow before the curve."""
-    with arrow_rows(docs.sparkSession, 2000):
+    with arrow_batches(docs.sparkSession, 2000):
         tokens = materialize(tokenised(docs, path, stretch), "pack-tokens")
     starts, total = line_starts(tokens, stretch)
     joined = tokens.join(starts, "row_key").select("doc_id", "curve_key", "ids", "line_start")

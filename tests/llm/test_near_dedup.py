@@ -61,9 +61,9 @@ def planted(seed, copies=40):
     return rows
 
 
-def check(spark, rows, words, percent):
+def check(spark, rows, words, percent, **options):
     docs = spark.createDataFrame([(i, t, 0) for i, t in rows], "doc_id long, text string, n_shingles int").repartition(3)
-    got = sorted((tuple(r) for r in nd.components(docs, words=words, percent=percent).collect()), key=str)
+    got = sorted((tuple(r) for r in nd.components(docs, words=words, percent=percent, **options).collect()), key=str)
     assert got == brute(rows, words, percent)
 
 
@@ -75,6 +75,29 @@ def test_against_brute_force_other_limits(spark):
     check(spark, planted(2, copies=25), 5, 80)
 
 
+def test_oversized_buckets_give_the_same_answer(spark):
+    check(spark, planted(3, copies=30), 4, 85, bucket_tokens=200)
+
+
+def test_blocks_of_long_postings_on_both_sides(spark, monkeypatch):
+    import functools
+
+    monkeypatch.setattr(nd, "across", functools.partial(nd.across, block_rows=7))
+    monkeypatch.setattr(nd, "CHUNK", 5)
+    check(spark, planted(4, copies=25), 4, 85)
+
+
+def test_keep_one_tells_texts_of_one_id_apart(spark):
+    a, b, c = (" ".join(f"{x}{i}" for i in range(40)) for x in "abc")
+    rows = [(1, a, 9), (2, a + " more", 9), (2, b, 9), (None, c, 9), (None, c + " more", 9), (None, "short", 9), (5, None, 9), (6, None, 9)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, component_id int")
+    kept = nd.keep_one(docs)
+    assert kept.columns == docs.columns
+    got = sorted(((r.doc_id, r.text) for r in kept.collect()), key=str)
+    assert (1, a) in got and (2, a + " more") not in got and (2, b) in got and (None, "short") in got and (5, None) in got and (6, None) in got
+    assert len([t for _, t in got if t and t.startswith(c)]) == 1 and len(got) == 6
+
+
 def test_empty_table(spark):
     assert nd.components(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 
