@@ -1,33 +1,40 @@
 """Exact inner-product top-k by the threshold algorithm over sorted per-dimension lists.
 
-Vectors become integers, floor(scale * x).  Rows are dealt into blocks by a hash of the
-id, queries into blocks of their own, and every query block meets every row block once.
-Within a row block each dimension has a list of its rows sorted by value.  A query
-walks all lists from the end that its weight favours, a batch of entries at a time,
-scores what it has not seen yet, and stops when the sum of the current entries (the
-most an unseen row can reach) is below its k-th score.  The k-th score starts from the
-best of the blocks that a task has already walked.  A last step merges the blocks.
-
-Integer sums of float64 products are exact below 2**53, which the bound on the
-components checks.
-
-Defined results: vectors that are null, hold null or non-finite components, or have
-another length than the rest of their task's rows' majority are left out when malformed
-(null or non-finite); of different lengths only equal lengths meet; a query never meets
-its own row; repeated ids are ranked as separate rows; fewer than k rows give fewer results.
+Vectors become integers, floor(scale * x), and rows are dealt into blocks by a hash of the
+id.  A block has one sorted list a dimension.  A query walks all lists of a block side by
+side, each from the end that its weight favours, looks up every row that it meets for the
+first time, and stops when the sum of the current entries, which is the most that an unseen
+row can reach, is below the k-th best score so far.  The k-th score is carried over blocks:
+every query first walks the block of its own row, and enters all others with the score that
+it found there.  A last step merges the blocks.
+
+Rows are moved once and never copied; a block's rows come first, then the queries stream
+past its lists.  Sums are exact: float64 below 2**53, 64-bit integers below 2**63, whole
+numbers of any size beyond.
+
+Defined results: vectors that are null, empty, or hold null or non-finite components take no
+part; only vectors of equal length meet; a query never meets rows of its own id; repeated ids
+are ranked as separate rows, and a repeated query id is asked once, with the vector that sorts
+first; fewer than k rows give fewer results; a scaled component beyond 64 bits counts as the
+nearest 64-bit number, and a score beyond 64 bits is ranked exactly and reported as null;
+other columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import load, materialize
+from .common import arrow_batches, load, materialize
+from .textbytes import releasing
 
 K, SCALE = 10, 1024
-ROW_BLOCK, QUERY_BLOCK = 16384, 2048
+ROW_BLOCK = 16384
+WIDE = 1 << 140  # above every sum of products of 64-bit numbers
 
 
 def quantised(vectors: DataFrame, scale: int = SCALE) -> DataFrame:
@@ -37,82 +44,139 @@ def quantised(vectors: DataFrame, scale: int = SCALE) -> DataFrame:
     return wide.filter(finite).select("vec_id", F.transform("x", lambda v: F.floor(v * scale)).alias("v"))
 
 
-def threshold_scan(rows: np.ndarray, ids: np.ndarray, queries: np.ndarray, own: np.ndarray, k: int, step: int = 64) -> list[tuple[np.ndarray, np.ndarray]]:
-    """(ids, scores) of the k best rows for each query, ties to smaller ids; rows and queries hold whole numbers as float64."""
-    n, dims = rows.shape
-    by_id = np.argsort(ids, kind="stable")
-    rows, ids = rows[by_id], ids[by_id]
-    order = np.argsort(rows, axis=0, kind="stable")  # ascending lists, one a dimension
-    lists = np.take_along_axis(rows, order, 0)
-    out = []
-    for q, me in zip(queries, own, strict=True):
-        live = np.flatnonzero(q)
-        positive = q[live] > 0
+class SortedLists:
+    """The rows of one block (whole numbers as int64) and a list of them, ascending, for each dimension."""
+
+    def __init__(self, rows: np.ndarray, ids: np.ndarray):
+        by_id = np.argsort(ids, kind="stable")
+        self.rows, self.ids = rows[by_id], ids[by_id]
+        self.order = np.argsort(self.rows, axis=0, kind="stable").astype(np.int32)
+        self.most = max(abs(int(rows.min(initial=0))), abs(int(rows.max(initial=0))))
+        self._as: dict = {}
+
+    def typed(self, query: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(rows, lists, query) in the narrowest type whose sums of products are exact."""
+        bound = self.most * max(abs(int(query.min(initial=0))), abs(int(query.max(initial=0)))) * len(query)
+        kind = np.float64 if bound < 2**53 else np.int64 if bound < 2**63 else object
+        if kind not in self._as:
+            rows = self.rows.astype(kind)
+            self._as[kind] = rows, np.take_along_axis(rows, self.order, 0)
+        return *self._as[kind], query.astype(kind)
+
+    def best(self, query: np.ndarray, own: int, k: int, floor: int | None = None, step: int = 64) -> tuple[np.ndarray, np.ndarray, int, bool]:
+        """(ids, scores, depth, stopped by the bound) of the k best rows, ties to smaller ids.
+
+        ``floor`` is a score that k rows elsewhere reach: rows below it may be left out."""
+        rows, lists, q = self.typed(query)
+        n = len(rows)
+        live = np.flatnonzero(query)
+        positive = query[live] > 0
         seen = np.zeros(n, bool)
-        best_s, best_i = np.zeros(0), np.zeros(0, np.int64)
-        depth, batch = 0, step
-        while depth < n:
-            stop = min(n, depth + batch)
-            if not len(live) or stop - depth >= n // 4:
-                fresh = np.flatnonzero(~seen)  # the lists end here, or a pass over the rest costs less than walking on
-                stop = n
-            else:
-                span = np.arange(depth, stop)
+        best_s, best_i = np.zeros(0, rows.dtype), np.zeros(0, np.int64)
+        depth, stopped = 0, False
+        while depth < n and not stopped:
+            upto = min(n, depth + max(step, depth // 4)) if len(live) else n
+            if len(live):
+                span = np.arange(depth, upto)
                 at = np.where(positive[None, :], n - 1 - span[:, None], span[:, None])
                 mask = np.zeros(n, bool)
-                mask[order[at, live[None, :]].ravel()] = True
+                mask[self.order[at, live[None, :]].ravel()] = True
                 fresh = np.flatnonzero(mask & ~seen)
+            else:
+                fresh = np.arange(n)  # a query of zeros: every score is 0
             seen[fresh] = True
-            depth, batch = stop, batch * 2
+            depth = upto
             if len(fresh):
-                s = rows[fresh] @ q
-                ok = ids[fresh] != me
-                best_s, best_i = np.concatenate([best_s, s[ok]]), np.concatenate([best_i, ids[fresh][ok]])
+                ok = self.ids[fresh] != own
+                best_s, best_i = np.concatenate([best_s, rows[fresh][ok] @ q]), np.concatenate([best_i, self.ids[fresh][ok]])
                 top = np.lexsort((best_i, -best_s))[:k]
                 best_s, best_i = best_s[top], best_i[top]
-            if depth < n and len(best_s) == k:
-                edge = lists[np.where(positive, n - depth, depth - 1), live]
-                if edge @ q[live] < best_s[-1]:
-                    break
-        out.append((best_i, best_s))
-    return out
-
-
-def top_k(vectors: DataFrame, is_query, *, k: int = K, scale: int = SCALE, row_block: int = ROW_BLOCK, query_block: int = QUERY_BLOCK) -> DataFrame:
-    """query_id, rank, vec_id, score: the k best other rows of every row for which ``is_query`` holds."""
+            if depth < n:
+                edge = lists[np.where(positive, n - depth, depth - 1), live] @ q[live]
+                known = best_s[-1] if len(best_s) == k else None
+                stopped = bool((known is not None and edge < known) or (floor is not None and edge < floor))
+        return best_i, best_s, depth, stopped
+
+
+FOUND = "query_id long, vec_id long, band int, score long, wide string, row_part int, depth int, rows int, stopped boolean"
+
+
+def _walked(stream: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBatch]:
+    """For batches sorted by (row_part, role): the rows of a part become lists, its queries walk them."""
+    part, waiting, lists = None, [], None
+    for batch in stream:
+        parts, roles = batch.column("row_part").to_numpy(), batch.column("role").to_numpy()
+        edges = np.flatnonzero(np.concatenate([[True], (parts[1:] != parts[:-1]) | (roles[1:] != roles[:-1])])) if len(parts) else []
+        for a, z in zip(edges, [*edges[1:], len(parts)], strict=True):
+            if parts[a] != part:
+                part, waiting, lists = parts[a], [], None
+            piece = batch.slice(a, z - a)
+            if roles[a] == 0:
+                waiting.append(piece)
+                continue
+            if lists is None:
+                lists = {}
+                ids, flat, bounds = _vectors(waiting)
+                widths = np.diff(bounds)
+                for width in np.unique(widths):
+                    at = np.flatnonzero(widths == width)
+                    lists[int(width)] = SortedLists(flat[bounds[at][:, None] + np.arange(width)], ids[at])
+                waiting = []
+            out = {c.split()[0]: [] for c in FOUND.split(", ")}
+            ids, flat, bounds = _vectors([piece])
+            for me, i, j, floor in zip(ids.tolist(), bounds, bounds[1:], piece.column("floor").to_pylist(), strict=False):
+                if j - i in lists:
+                    found, scores, depth, stopped = lists[int(j - i)].best(flat[i:j], me, k, floor)
+                    scores = [int(x) for x in scores]
+                    bands = [0 if -(2**63) <= x < 2**63 else 1 if x > 0 else -1 for x in scores]
+                    out["vec_id"] += found.tolist()
+                    out["band"] += bands
+                    out["score"] += [x if b == 0 else None for x, b in zip(scores, bands, strict=True)]
+                    out["wide"] += [None if b == 0 else f"{WIDE + x:043d}" for x, b in zip(scores, bands, strict=True)]
+                    for name, value in (("query_id", me), ("row_part", int(part)), ("depth", depth), ("rows", len(lists[int(j - i)].ids)), ("stopped", stopped)):
+                        out[name] += [value] * len(scores)
+            kinds = {"band": pa.int32(), "wide": pa.string(), "row_part": pa.int32(), "depth": pa.int32(), "rows": pa.int32(), "stopped": pa.bool_()}
+            yield pa.RecordBatch.from_arrays([pa.array(v, kinds.get(c, pa.int64())) for c, v in out.items()], names=list(out))
+
+
+def _vectors(batches: list[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(ids, flat components, bounds) of the vectors of some batches."""
+    if not batches:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(1, np.int64)
+    columns = [b.column("v") for b in batches]
+    flat = np.concatenate([c.flatten().to_numpy(zero_copy_only=False) for c in columns])
+    sizes = np.concatenate([c.value_lengths().to_numpy(zero_copy_only=False) for c in columns])
+    return np.concatenate([b.column("vec_id").to_numpy() for b in batches]), flat, np.concatenate([[0], np.cumsum(sizes)]).astype(np.int64)
+
+
+def walks(vectors: DataFrame, is_query, *, k: int = K, scale: int = SCALE, row_block: int = ROW_BLOCK) -> DataFrame:
+    """What every walk found: query_id, vec_id, score and its band, with the depth, the rows of the block and whether the bound ended the walk.
+
+    A walk that finds nothing above its carried score leaves no rows."""
     ready = materialize(quantised(vectors, scale), "vectors")
-    n_rows, n_queries = ready.count(), ready.filter(is_query).count()
-    row_blocks, query_blocks = max(1, -(-n_rows // row_block)), max(1, -(-n_queries // query_block))
-    row_of = F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(row_blocks)).cast("int")
-    query_of = F.pmod(F.xxhash64("vec_id", F.lit(2)), F.lit(query_blocks)).cast("int")
-    rows = ready.select(row_of.alias("row_part"), "vec_id", "v").withColumn("query_part", F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1)))).withColumn("role", F.lit(0))
-    asked = ready.filter(is_query).select(query_of.alias("query_part"), "vec_id", "v").withColumn("row_part", F.explode(F.sequence(F.lit(0), F.lit(row_blocks - 1)))).withColumn("role", F.lit(1))
-
-    def scan(table: pa.Table) -> pa.Table:
-        role, ids = table.column("role").to_numpy(), table.column("vec_id").to_numpy()
-        col = table.column("v").combine_chunks()
-        col = col.combine_chunks() if isinstance(col, pa.ChunkedArray) else col
-        bounds, flat = col.offsets.to_numpy(), col.values.to_numpy().astype(np.float64)
-        widths = np.diff(bounds)
-        got_q, got_i, got_s = [], [], []
-        for width in np.unique(widths):
-            if (np.abs(flat).max(initial=0) ** 2) * width >= 2.0**53:
-                raise ValueError("components are too large for exact float64 sums")
-            at = np.flatnonzero(widths == width)
-            x = flat[bounds[at][:, None] + np.arange(width)]
-            data, query = role[at] == 0, role[at] == 1
-            if data.any() and query.any():
-                for me, (i, s) in zip(ids[at][query], threshold_scan(x[data], ids[at][data], x[query], ids[at][query], k), strict=True):
-                    got_q.append(np.full(len(i), me))
-                    got_i.append(i)
-                    got_s.append(s)
-        joined = [np.concatenate([np.zeros(0, np.int64), *g]).astype(np.int64) for g in (got_q, got_i, got_s)]
-        return pa.table({"query_id": joined[0], "vec_id": joined[1], "score": joined[2]})
-
-    part = rows.select("row_part", "query_part", "role", "vec_id", "v").unionByName(asked.select("row_part", "query_part", "role", "vec_id", "v")) \
-        .groupBy("row_part", "query_part").applyInArrow(scan, "query_id long, vec_id long, score long")
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return part.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    blocks = max(1, -(-ready.count() // row_block))
+    part = F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(blocks)).cast("int")
+    rows = ready.select(part.alias("row_part"), F.lit(0).alias("role"), "vec_id", "v", F.lit(None).cast("bigint").alias("floor"))
+    asked = ready.filter(is_query).groupBy("vec_id").agg(F.min("v").alias("v")).withColumn("home", part)
+
+    def run(queries: DataFrame) -> DataFrame:
+        dealt = rows.unionByName(queries.select("row_part", F.lit(1).alias("role"), "vec_id", "v", "floor")).repartition("row_part").sortWithinPartitions("row_part", "role")
+        return dealt.mapInArrow(releasing(lambda stream: _walked(stream, k)), FOUND)
+
+    with arrow_batches(vectors.sparkSession, 2048):
+        home = materialize(run(asked.select(F.col("home").alias("row_part"), "vec_id", "v", F.lit(None).cast("bigint").alias("floor"))), "walks-home")
+        if blocks == 1:
+            return home
+        # a score that k rows reach; scores beyond 64 bits carry nothing
+        floors = home.filter("band = 0").groupBy("query_id").agg(F.min("score").alias("floor"), F.count(F.lit(1)).alias("n")).filter(F.col("n") == k).select(F.col("query_id").alias("vec_id"), "floor")
+        away = asked.join(floors, "vec_id", "left").withColumn("row_part", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).filter("row_part <> home")
+        return home.unionByName(materialize(run(away), "walks-away"))
+
+
+def top_k(vectors: DataFrame, is_query, *, k: int = K, **options) -> DataFrame:
+    """query_id, rank, vec_id, score: the k best other rows of every row for which ``is_query`` holds."""
+    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("band"), F.desc("score"), F.desc("wide"), "vec_id"))
+    return walks(vectors, is_query, k=k, **options).withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
 def op3_topk(spark, sf_dir):
