@@ -7,11 +7,13 @@ regression of each language against the rest is solved in it, and since the kern
 linear in the presence vectors the whole model folds into one matrix, applied to
 batches of presence vectors.
 
-Learning uses at most ``per_language`` rows of each language, taken by hash of the id.
+Learning uses at most ``per_language`` rows of each of the ``max_languages`` most frequent
+languages, taken by hash of the id among texts of 1 to ``max_text_bytes`` bytes.
 
 Defined results: ``und`` with score 0 for null texts and texts without a letter, and for
 every text when there is nothing to learn from; a null doc_id is not held out and not
-learned from; other input columns are ignored.
+learned from; of texts that share an id and a language the one that sorts first is learned
+from; other input columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -29,6 +31,7 @@ DIMENSIONS = 1 << 13
 LENGTHS = (1, 2, 3)
 PER_LANGUAGE = 300
 LANDMARKS_PER_LANGUAGE = 40
+MAX_LANGUAGES, MAX_TEXT_BYTES = 100, 32 << 10
 _FOLD = np.arange(256, dtype=np.uint8)
 _FOLD[65:91] += 32
 _FOLD[[9, 10, 11, 12, 13]] = 32
@@ -74,15 +77,18 @@ def fit(texts: list[bytes], langs: list[str], *, landmarks_per_language: int = L
         return None
     offsets = np.concatenate([[0], np.cumsum([len(t) for t in texts])]).astype(np.int64)
     data = np.frombuffer(b"".join(texts), np.uint8)
-    blocks = [presence(data[offsets[i] : offsets[min(i + 64, len(texts))]], offsets[i : i + 65] - offsets[i]) for i in range(0, len(texts), 64)]
-    x = unit(np.concatenate(blocks))
+
+    def dense(rows: np.ndarray) -> np.ndarray:
+        return unit(np.concatenate([presence(data[offsets[i] : offsets[i + 1]], offsets[i : i + 2] - offsets[i]) for i in rows]))
+
     which = np.array([names.index(v) for v in langs])
     marks = np.concatenate([np.flatnonzero(which == k)[:landmarks_per_language] for k in range(len(names))])
-    lm = x[marks]
+    lm = dense(marks)
     values, vectors = np.linalg.eigh((lm @ lm.T).astype(np.float64))
     good = values > max(values.max(), 1e-12) * 1e-7
     root = vectors[:, good] / np.sqrt(values[good])  # kernel to landmarks -> Nyström features
-    z = (x @ lm.T) @ root
+    every = np.arange(len(texts))
+    z = np.concatenate([(dense(every[i : i + 256]) @ lm.T) @ root for i in range(0, len(texts), 256)])  # only landmarks stay as dense vectors
     mean = z.mean(0)
     targets = np.eye(len(names))[which]
     solved = np.linalg.solve((z - mean).T @ (z - mean) + ridge * len(z) * np.eye(z.shape[1]), (z - mean).T @ (targets - targets.mean(0)))
@@ -94,12 +100,13 @@ def held_out(doc_id="doc_id"):
     return F.coalesce(F.crc32(F.col(doc_id).cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
-def train(docs: DataFrame, *, per_language: int = PER_LANGUAGE) -> KernelModel | None:
-    mixed = F.xxhash64("_id")
-    known = docs.select(F.col("doc_id").alias("_id"), F.col("lang").alias("_lang")).filter("_id is not null and _lang is not null").filter(~held_out("_id"))
-    chosen = known.withColumn("_n", F.row_number().over(Window.partitionBy("_lang").orderBy(mixed, "_id"))).filter(F.col("_n") <= per_language).select("_id", "_lang", "_n")
-    rows = (docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("_id"))
-            .filter("text is not null").select("_id", "_lang", "_n", F.col("text").cast("binary").alias("text")).toArrow().sort_by([("_lang", "ascending"), ("_n", "ascending")]))
+def train(docs: DataFrame, *, per_language: int = PER_LANGUAGE, max_languages: int = MAX_LANGUAGES, max_text_bytes: int = MAX_TEXT_BYTES) -> KernelModel | None:
+    size = F.octet_length("text")
+    usable = docs.select(F.col("doc_id").alias("_id"), F.col("lang").alias("_lang"), "text").filter("_id is not null and _lang is not null").filter(~held_out("_id")).filter((size > 0) & (size <= max_text_bytes))
+    common = usable.groupBy("_lang").agg(F.count(F.lit(1)).alias("_rows")).orderBy(F.desc("_rows"), "_lang").limit(max_languages).select("_lang")
+    known = usable.select("_id", "_lang").join(F.broadcast(common), "_lang").distinct()
+    chosen = known.withColumn("_n", F.row_number().over(Window.partitionBy("_lang").orderBy(F.xxhash64("_id"), "_id"))).filter(F.col("_n") <= per_language)
+    rows = usable.join(F.broadcast(chosen), ["_id", "_lang"]).groupBy("_id", "_lang", "_n").agg(F.min(F.col("text")).cast("binary").alias("text")).toArrow().sort_by([("_lang", "ascending"), ("_n", "ascending")])
     return fit(rows.column("text").to_pylist(), rows.column("_lang").to_pylist())
 
 

@@ -8,16 +8,20 @@ atomic rename that fails if another writer was first; readers see one version or
 never a mixture, and old versions stay readable until ``expire``.
 
 A run's size is the number of its text bytes plus a fixed charge a row.  The manifest
-names runs, not rows or shards, so it stays small.
+names runs, not rows or shards, so it stays small.  Runs that no version came to name, after a
+lost commit or a lost driver, are deleted by their writer or by ``collect_orphans``.
 
 Defined results: null texts have no bytes; an empty arrival makes no run; repeated rows
-are kept as they are; the arrival column is not stored unless it is the table's own.
+are kept as they are; any value can name an arrival, null among them, and the arrival column is
+not stored; columns of the table keep their names and values, whatever they are called: names
+that are added here give way.
 """
 
 from __future__ import annotations
 
 import json
 import math
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -32,6 +36,13 @@ class CommitConflict(RuntimeError):
     """Another writer committed this version first."""
 
 
+def _free(name: str, taken: list[str]) -> str:
+    """``name`` with underscores in front until no column has it."""
+    while name.lower() in {t.lower() for t in taken}:
+        name = "_" + name
+    return name
+
+
 class ShardTable:
     def __init__(self, spark: SparkSession, root: str, *, target_bytes: int = TARGET_BYTES, fanout: int = FANOUT, base_bytes: int = BASE_BYTES, size_column: str = "text"):
         self.spark, self.root, self.size_column = spark, root.rstrip("/"), size_column
@@ -93,16 +104,43 @@ class ShardTable:
     def append(self, rows: DataFrame, arrival: str | None = None) -> dict:
         """Add the rows as one run, or as one run for each value of the column ``arrival``."""
         base = self.manifest()
-        schema = rows.drop(arrival).schema if arrival else rows.schema
         name = f"data/append-{uuid.uuid4().hex[:12]}"
-        tagged = rows.withColumn("_arrival", F.coalesce(F.col(arrival).cast("string"), F.lit("none")) if arrival else F.lit("all"))
-        tagged = tagged.drop(arrival) if arrival else tagged
-        tagged.write.option("compression", "zstd").partitionBy("_arrival").parquet(f"{self.root}/{name}")
-        found = self.spark.read.parquet(f"{self.root}/{name}") if self._written(name) else None
-        sizes = [] if found is None else found.groupBy("_arrival", F.col("_metadata.file_path")).agg(F.count(F.lit(1)).alias("n"), self._bytes().alias("b")) \
-            .groupBy("_arrival").agg(F.sum("n").alias("rows"), F.sum("b").alias("bytes"), F.count(F.lit(1)).alias("shards")).collect()
-        new = [{"path": f"{name}/_arrival={r['_arrival']}", "rows": r["rows"], "bytes": r["bytes"], "shards": r["shards"], "level": 0} for r in sorted(sizes, key=lambda r: str(r["_arrival"]))]
-        return self.commit(base, base["runs"] + new, schema)
+        run = _free("_run", rows.columns)
+        # a digest in hexadecimal names the folder: no value needs escaping and none is taken for a number
+        told = F.coalesce(F.concat(F.lit("v"), F.md5(F.col(arrival).cast("string"))), F.lit("null")) if arrival else F.lit("all")
+        tagged = rows.withColumn(run, told)
+        stored = rows.drop(arrival) if arrival else rows
+        tagged.select(*stored.columns, run).write.option("compression", "zstd").partitionBy(run).parquet(f"{self.root}/{name}")
+        new = [] if not self._written(name) else self._runs(name, stored.schema)
+        return self._commit_or_clean(base, base["runs"] + new, stored.schema, [name])
+
+    def _runs(self, name: str, schema) -> list[dict]:
+        files = self.spark.read.schema(schema).option("recursiveFileLookup", "true").parquet(f"{self.root}/{name}")
+        place = F.regexp_extract(F.col("_metadata.file_path"), r"([^/]+)/[^/]+$", 1)
+        sizes = files.groupBy(place.alias("place"), F.col("_metadata.file_path")).agg(F.count(F.lit(1)).alias("n"), self._bytes().alias("b")) \
+            .groupBy("place").agg(F.sum("n").alias("rows"), F.sum("b").alias("bytes"), F.count(F.lit(1)).alias("shards")).collect()
+        return [{"path": f"{name}/{r['place']}", "rows": r["rows"], "bytes": r["bytes"], "shards": r["shards"], "level": 0} for r in sorted(sizes, key=lambda r: r["place"])]
+
+    def _commit_or_clean(self, base: dict, runs: list[dict], schema, made: list[str]) -> dict:
+        """Commit; where another writer was first, delete what this one wrote."""
+        try:
+            return self.commit(base, runs, schema)
+        except CommitConflict:
+            for name in made:
+                self.fs.delete(self._path(f"{self.root}/{name}"), True)
+            raise
+
+    def collect_orphans(self, grace_seconds: float = 86_400) -> int:
+        """Delete data folders that no version names and nobody has written to for the grace period; their number."""
+        folder = self._path(f"{self.root}/data")
+        if not self.fs.exists(folder):
+            return 0
+        named = {r["path"].split("/")[1] for v in self.versions() for r in self.manifest(v)["runs"]}
+        before = (time.time() - grace_seconds) * 1000
+        lost = [s.getPath() for s in self.fs.listStatus(folder) if s.getPath().getName() not in named and s.getModificationTime() <= before]
+        for path in lost:
+            self.fs.delete(path, True)
+        return len(lost)
 
     def _written(self, name: str) -> bool:
         return any(s.isDirectory() for s in self.fs.listStatus(self._path(f"{self.root}/{name}")))
@@ -139,44 +177,49 @@ class ShardTable:
             schema = StructType.fromJson(now["schema"])
             gone = {r["path"] for g in groups for r in g}
             merged = [self._merge(g, schema) for g in groups]
-            now = self.commit(now, [r for r in now["runs"] if r["path"] not in gone] + merged, schema)
+            now = self._commit_or_clean(now, [r for r in now["runs"] if r["path"] not in gone] + merged, schema, [r["path"] for r in merged])
         return now
 
     def expire(self) -> int:
         """Delete the runs and manifests that only older versions name."""
         now = self.manifest()
         live, removed = {r["path"] for r in now["runs"]}, 0
+        folders = {p.split("/")[1] for p in live}
         for v in self.versions()[:-1]:
             for r in self.manifest(v)["runs"]:
                 if r["path"] not in live:
                     removed += bool(self.fs.delete(self._path(f"{self.root}/{r['path']}"), True))
+                    if r["path"].split("/")[1] not in folders:
+                        self.fs.delete(self._path(f"{self.root}/data/{r['path'].split('/')[1]}"), True)
             self.fs.delete(self._path(f"{self.root}/manifest/v{v:08d}.json"), False)
         return removed
 
     def read(self, version: int | None = None) -> DataFrame:
-        """All rows of a version with ``shard_id``, the file that holds each."""
+        """All rows of a version with ``shard_id``, the file that holds each, as the last column."""
         from pyspark.sql.types import StructType
 
         now = self.manifest(version)
         if now["schema"] is None:
             raise ValueError("the table has no version yet")
         schema = StructType.fromJson(now["schema"])
+        shard_id = _free("shard_id", schema.names)
         if not now["runs"]:
-            return self.spark.createDataFrame([], schema).withColumn("shard_id", F.lit(None).cast("string"))
+            return self.spark.createDataFrame([], schema).withColumn(shard_id, F.lit(None).cast("string"))
         rows = self.spark.read.schema(schema).parquet(*[f"{self.root}/{r['path']}" for r in now["runs"]])
         place = F.regexp_extract(F.col("_metadata.file_path"), r"(?:merge|append)-[^/]+/(?:[^/]+/)?[^/]+$", 0)
-        return rows.select("*", place.alias("shard_id"))
+        return rows.select("*", place.alias(shard_id))
 
 
 def shard_report(docs: DataFrame, root: str, *, arrivals: int = 24, **options) -> DataFrame:
     """Deal the rows into uneven arrivals, append, compact, and report where each row lies."""
     table = ShardTable(docs.sparkSession, root, **options)
     # arrival a takes every 2**(a % 4 + 1)-th hash: runs of several sizes, none of them bound to a source
-    dealt = F.pmod(F.xxhash64("doc_id"), F.lit(arrivals * 4))
-    table.append(docs.withColumn("_batch", F.when(dealt < arrivals, dealt).otherwise(F.pmod(dealt, F.lit(arrivals // 2)))), "_batch")
+    dealt, batch = F.pmod(F.xxhash64("doc_id"), F.lit(arrivals * 4)), _free("_batch", docs.columns)
+    table.append(docs.withColumn(batch, F.when(dealt < arrivals, dealt).otherwise(F.pmod(dealt, F.lit(arrivals // 2)))), batch)
     table.compact()
     table.expire()
-    at = table.read().select("doc_id", "shard_id", (F.coalesce(F.octet_length("text"), F.lit(0))).cast("bigint").alias("n_bytes"))
+    rows = table.read()
+    at = rows.select("doc_id", F.col(rows.columns[-1]).alias("shard_id"), (F.coalesce(F.octet_length("text"), F.lit(0))).cast("bigint").alias("n_bytes"))
     return at.withColumn("version", F.lit(table.versions()[-1]))
 
 

@@ -1,17 +1,18 @@
 """Toxicity from a weighted lexicon, matched by an Aho-Corasick automaton.
 
-Texts are folded first: compatibility forms, look-alike letters of other scripts,
-digits and signs that stand for letters, invisible characters; what is not a letter
-then separates words.  The lexicon holds whole words and word beginnings with
+Texts are folded first: compatibility forms, case, marks above and below letters, look-alike
+letters of other scripts, digits and signs that stand for letters, invisible characters; what
+is not a letter then separates words.  The lexicon holds whole words and word beginnings with
 log-odds weights; a hit inside an exception phrase does not count.  The weighted sum
 and the same sum per length feed a two-feature logistic curve.
 
-Learning uses at most ``max_rows`` labelled rows (a bounded sample by hash of the id)
-and never sees held-out rows.  Scoring reads every whole text.
+Learning uses at most ``max_rows`` labelled rows (a bounded sample by hash of the id) of at most
+``max_text_bytes`` bytes each and never sees held-out rows.  Scoring reads every whole text.
 
 Defined results: null and empty texts score like a text without hits; rows with null
-labels are not learned from; repeated labels of a document count once; without any
-toxic label the lexicon is empty and every score is 0; other input columns are ignored.
+labels are not learned from; repeated labels of a document count once, and of texts that share
+an id the one that sorts first is learned from; without any toxic label the lexicon is empty and
+every score is 0; other input columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -30,16 +31,21 @@ from pyspark.sql import functions as F
 from .textbytes import releasing, slices
 
 THRESHOLD = 0.3
-MAX_ROWS = 8000
+MAX_ROWS, MAX_TEXT_BYTES = 8000, 32 << 10
 
 # Letters of other scripts that look like Latin ones, and signs used for letters.
 LOOKALIKES = {
     "а": "a", "е": "e", "о": "o", "р": "p", "с": "c", "у": "y", "х": "x", "і": "i", "ј": "j", "ѕ": "s", "к": "k", "м": "m", "т": "t", "в": "b", "н": "h",
-    "α": "a", "ε": "e", "ο": "o", "ρ": "p", "τ": "t", "υ": "u", "ν": "v", "ι": "i", "κ": "k", "ı": "i", "ɡ": "g", "ⅼ": "l",
+    "ԁ": "d", "һ": "h", "ԛ": "q", "ԝ": "w", "ѵ": "v", "ь": "b", "г": "r", "п": "n", "ӏ": "l", "ԍ": "g", "є": "e", "ү": "y",
+    "α": "a", "β": "b", "γ": "y", "ε": "e", "η": "n", "ο": "o", "ρ": "p", "τ": "t", "υ": "u", "ν": "v", "ι": "i", "κ": "k", "χ": "x", "ω": "w", "σ": "o",
+    "օ": "o", "ս": "u", "ո": "n", "հ": "h", "ց": "g", "զ": "q", "յ": "j", "ք": "p",
+    "ı": "i", "ɡ": "g", "ɑ": "a", "ʏ": "y", "ɪ": "i", "ʟ": "l", "ɴ": "n", "ʀ": "r", "ʙ": "b", "ɢ": "g", "ʜ": "h", "ø": "o", "đ": "d", "ħ": "h", "ł": "l", "ŧ": "t",
+    "ᴀ": "a", "ᴄ": "c", "ᴅ": "d", "ᴇ": "e", "ᴊ": "j", "ᴋ": "k", "ᴍ": "m", "ᴏ": "o", "ᴘ": "p", "ᴛ": "t", "ᴜ": "u", "ᴠ": "v", "ᴡ": "w", "ᴢ": "z",
     "0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "@": "a", "$": "s", "!": "i", "|": "l",
 }
 INVISIBLE = "​‌‍⁠﻿­"
 _TABLE = str.maketrans({**LOOKALIKES, **dict.fromkeys(INVISIBLE)})
+_MARKS = re.compile("[\u0300-\u036f\u0483-\u0489\u1ab0-\u1aff\u1dc0-\u1dff\u20d0-\u20ff\ufe00-\ufe0f\ufe20-\ufe2f]+")
 _SIGN_IN_WORD = re.compile(r"(?<=[^\W\d_])[!|](?=[^\W\d_])")
 _NOT_LETTER = re.compile(r"[\W\d_]+")
 _SIGNS_ALONE = str.maketrans({"!": " ", "|": " "})
@@ -49,9 +55,10 @@ def fold(text: str | None) -> str:
     """Words of letters only, separated and surrounded by single spaces."""
     if not text:
         return " "
-    text = text.lower()
-    if not text.isascii():
-        text = unicodedata.normalize("NFKC", text)
+    if text.isascii():
+        text = text.lower()
+    else:  # compatibility forms hide capitals, and small letters can decompose again
+        text = _MARKS.sub("", unicodedata.normalize("NFKD", unicodedata.normalize("NFKD", text).lower()))
     if "!" in text or "|" in text:
         text = _SIGN_IN_WORD.sub(lambda m: "i" if m[0] == "!" else "l", text).translate(_SIGNS_ALONE)
     return f" {_NOT_LETTER.sub(' ', text.translate(_TABLE)).strip()} "
@@ -72,9 +79,7 @@ class ToxicLexicon:
         for p, w in self.weights.items():
             made.add_word(p, (len(p), w))
         for p in self.exceptions:
-            key = f" {p} "
-            held = made.get(key, None)
-            made.add_word(key, (len(key), None) if held is None else (len(key), None))
+            made.add_word(f" {p} ", (len(p) + 2, None))  # a phrase that is a pattern too is spared
         made.make_automaton()
         return made
 
@@ -155,13 +160,15 @@ def held_out(doc_id="doc_id"):
     return F.coalesce(F.crc32(F.col(doc_id).cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
-def train(docs: DataFrame, labels: DataFrame, *, max_rows: int = MAX_ROWS) -> ToxicLexicon:
-    """Learn from at most ``max_rows`` labelled, not held-out rows, taken by hash of the id."""
+def train(docs: DataFrame, labels: DataFrame, *, max_rows: int = MAX_ROWS, max_text_bytes: int = MAX_TEXT_BYTES) -> ToxicLexicon:
+    """Learn from at most ``max_rows`` labelled, not held-out rows, taken by hash of the id, without texts above ``max_text_bytes``."""
     marks = (labels.select(F.col("doc_id").alias("_id"), F.col("toxic").alias("_y")).filter("_id is not null and _y is not null")
              .filter(~held_out("_id")).groupBy("_id").agg(F.max("_y").alias("_y"))
              .orderBy(F.xxhash64("_id"), "_id").limit(max_rows))
-    rows = docs.select("doc_id", "text").join(F.broadcast(marks), F.col("doc_id") == F.col("_id")).select("_id", "_y", "text").toArrow().sort_by("_id")
-    return learn([t or "" for t in rows.column("text").to_pylist()], [int(v > 0) for v in rows.column("_y").to_pylist()])
+    text = F.coalesce(F.col("text"), F.lit(""))
+    found = docs.select("doc_id", text.alias("text")).filter(F.octet_length("text") <= max_text_bytes).join(F.broadcast(marks), F.col("doc_id") == F.col("_id"))
+    rows = found.groupBy("_id", "_y").agg(F.min("text").alias("text")).toArrow().sort_by("_id")
+    return learn(rows.column("text").to_pylist(), [int(v > 0) for v in rows.column("_y").to_pylist()])
 
 
 def score(docs: DataFrame, model: ToxicLexicon, threshold: float = THRESHOLD) -> DataFrame:

@@ -58,34 +58,70 @@ def test_chunks_rebuild_the_text(spark):
     assert "".join(got) == "".join(texts)
 
 
-def test_threshold_scan_equals_brute_force():
+def test_threshold_walk_equals_brute_force():
     rng = np.random.default_rng(1)
-    rows = np.floor(rng.standard_normal((3000, 8)) * 40)
+    rows = np.floor(rng.standard_normal((3000, 8)) * 40).astype(np.int64)
     rows[500:1500] = rows[500]  # a large group of equal vectors
-    ids, queries = rng.permutation(3000), rows[::300]
-    own = ids[::300]
-    for (i, s), q, me in zip(topk.threshold_scan(rows, ids, queries, own, 10, step=8), queries, own, strict=True):
+    ids, stops = rng.permutation(3000), []
+    lists = topk.SortedLists(rows, ids)
+    for q, me in zip(rows[::300], ids[::300], strict=True):
         score = rows @ q
         order = [k for k in np.lexsort((ids, -score)) if ids[k] != me][:10]
-        assert i.tolist() == ids[order].tolist() and s.tolist() == score[order].tolist()
+        for floor in (None, int(score[order[-1]]), int(score[order[-1]]) - 50):  # a carried score that k rows reach changes nothing
+            i, s, depth, stopped = lists.best(q, me, 10, floor, step=8)
+            assert i.tolist() == ids[order].tolist() and s.tolist() == score[order].tolist()
+        high, _, early, _ = lists.best(q, me, 10, int(score[order[0]]) + 1, step=8)
+        assert early <= depth
+        stops.append((stopped, depth))
+    assert all(s for s, _ in stops) and max(d for _, d in stops) < 3000  # the bound ends every walk
+
+
+@pytest.mark.parametrize("size", [1, 2**27, 2**40, 2**61])
+def test_walk_is_exact_at_any_size(size):
+    rng = np.random.default_rng(5)
+    rows = rng.integers(-size, size + 1, (200, 6))
+    lists = topk.SortedLists(rows, np.arange(200))
+    for me in (0, 7):
+        want = sorted(((-sum(int(a) * int(b) for a, b in zip(rows[me], r, strict=True)), i) for i, r in enumerate(rows) if i != me))[:10]
+        i, s, _, _ = lists.best(rows[me], me, 10, step=4)
+        assert [(-int(x), int(k)) for x, k in zip(s, i, strict=True)] == want
 
 
 def test_topk_in_blocks_and_malformed(spark):
     rng = np.random.default_rng(2)
-    rows = [(i, [float(x) for x in rng.standard_normal(4)]) for i in range(250)]
-    rows += [(300, None), (400, [1.0, None, 2.0, 3.0]), (500, [float("nan"), 1.0, 1.0, 1.0]), (600, [float("inf"), 1.0, 1.0, 1.0])]
-    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
-    got = {}
-    for r in topk.top_k(df, "vec_id % 100 = 0", row_block=40, query_block=2).orderBy("query_id", "rank").collect():
-        got.setdefault(r.query_id, []).append((r.vec_id, r.score))
-    q = {i: np.floor(1024 * np.array(v)) for i, v in rows[:250]}
-    for me in (0, 100, 200):
-        best = sorted(((-int(q[i] @ q[me]), i) for i in q if i != me))[:10]
-        assert got[me] == [(i, -s) for s, i in best]
-    assert sorted(got) == [0, 100, 200]
+    rows = [(i, [float(x) for x in rng.standard_normal(4)], 0) for i in range(250)]
+    rows += [(i, rows[7][1], 0) for i in range(1001, 1040)]  # ties across row blocks
+    rows += [(17, rows[3][1], 0), (17, rows[3][1], 0)]  # repeated ids
+    rows += [(700, [0.0] * 4, 0), (800, [1.0, 2.0], 0), (801, [2.0, 2.0], 0)]  # zeros; another length
+    odd = [(300, None, 0), (400, [1.0, None, 2.0, 3.0], 0), (500, [float("nan"), 1.0, 1.0, 1.0], 0), (600, [float("inf"), 1.0, 1.0, 1.0], 0), (None, [1.0] * 4, 0), (900, [], 0)]
+    df = spark.createDataFrame(rows + odd, "vec_id long, embedding array<double>, score int")
+    q = [(i, [int(np.floor(1024 * x)) for x in v]) for i, v, _ in rows]
+    for block in (40, 100000):
+        got = {}
+        for r in topk.top_k(df, "vec_id % 100 = 0", row_block=block).orderBy("query_id", "rank").collect():
+            got.setdefault(r.query_id, []).append((r.vec_id, r.score))
+        for me in (0, 100, 200, 700, 800):
+            mine = dict(q)[me]
+            best = sorted((-sum(a * b for a, b in zip(v, mine, strict=True)), i) for i, v in q if i != me and len(v) == len(mine))[:10]
+            assert got[me] == [(i, -s) for s, i in best]
+        assert sorted(got) == [0, 100, 200, 700, 800]
     assert topk.top_k(df.limit(0), "vec_id % 100 = 0").count() == 0
 
 
+def test_topk_beyond_64_bits(spark):
+    rows = [(0, [2.0**49, 1.0]), (1, [2.0**50, 0.0]), (2, [2.0**51, 0.0]), (3, [-(2.0**51), 0.0]), (4, [0.0, 3.0]), (5, [1e300, 0.0])]
+    out = topk.top_k(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), "vec_id = 0").orderBy("rank").collect()
+    assert [(r.vec_id, r.score) for r in out] == [(5, None), (2, None), (1, None), (4, 3 << 20), (3, None)]
+
+
+def test_walks_stop_by_the_bound(spark):
+    rng = np.random.default_rng(3)
+    scale = np.array([8, 4, 2, 1, 0.5, 0.2])
+    df = spark.createDataFrame([(i, (rng.standard_normal(6) * scale).tolist()) for i in range(2000)], "vec_id long, embedding array<double>")
+    told = topk.walks(df, "vec_id % 100 = 0", row_block=500).select("query_id", "row_part", "depth", "rows", "stopped").distinct().collect()
+    assert sum(r.stopped for r in told) > 0.9 * len(told) and np.median([r.depth / r.rows for r in told]) < 0.5
+
+
 def test_url_parsing_and_policy(spark):
     cases = {
         "HTTP://WWW.Example.COM/en/A?b": ("www.example.com", "/en/A", "www.example.com/en/", "allow"),
@@ -143,8 +179,36 @@ def test_sharding_round_trip(spark, tmp_path):
     assert sharding.shard_report(docs.select("doc_id", "text"), f"file://{tmp_path}/u").count() == len(rows)
 
 
+@pytest.mark.parametrize("values", [["01", "02", "1"], ["2024-01-01 00:00", "a/b=c", "%41"], [None, "null", "__HIVE_DEFAULT_PARTITION__"]])
+def test_any_value_names_an_arrival(spark, tmp_path, values):
+    rows = [(i, f"text {i}", "user", values[i % 3]) for i in range(30)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, _run string, at string")
+    t = sharding.ShardTable(spark, f"file://{tmp_path}/t")
+    assert len(t.append(docs, "at")["runs"]) == 3
+    assert sorted((r.doc_id, r.text, r["_run"]) for r in t.read().collect()) == [r[:3] for r in rows]
+
+
+def test_clashing_names_and_lost_runs(spark, tmp_path):
+    rows = [(i, "x" * i, "mine", "own", "kept") for i in range(50)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, shard_id string, _batch string, _arrival string")
+    report = sharding.shard_report(docs, f"file://{tmp_path}/u", target_bytes=2000, base_bytes=200)
+    assert sorted((r.doc_id, r.n_bytes) for r in report.collect()) == [(i, i) for i in range(50)] and report.filter("shard_id = 'mine'").count() == 0
+    t = sharding.ShardTable(spark, f"file://{tmp_path}/u")
+    assert sorted(tuple(r)[:5] for r in t.read().collect()) == rows
+    base = t.manifest()
+    t.append(docs)
+    with pytest.raises(sharding.CommitConflict):  # a writer that was late leaves nothing behind
+        t.manifest = lambda version=None: base
+        t.append(docs)
+    t = sharding.ShardTable(spark, f"file://{tmp_path}/u")
+    docs.write.parquet(f"file://{tmp_path}/u/data/append-dead")  # of a writer that died before its commit
+    assert t.collect_orphans() == 0 and t.collect_orphans(grace_seconds=-1) == 1
+    assert t.read().count() == 100
+
+
 def test_fold_and_lexicon():
     assert toxicity.fold("Tr@sh 1d10t іdiоt!! s​cum") == " trash idiot idiot scum "
+    assert toxicity.fold("𝐂𝐔𝐑𝐒𝐄 𝕮𝖚𝖗𝖘𝖊 ＣＵＲＳＥ Ⓒⓤⓡⓢⓔ ｃúṙʂe cu\u0336r\u0336se ᴄᴜʀse") == " curse curse curse curse curʂe curse curse "
     rnd = random.Random(0)
     words = ["w%s" % "".join(rnd.choice("abcdefg") for _ in range(4)) for _ in range(60)]
     texts, marks = [], []
@@ -163,6 +227,28 @@ def test_fold_and_lexicon():
     assert score("") == score("   ") and toxicity.learn([], []).score(0, 0) < 0.01
 
 
+def test_automaton_equals_a_plain_scan():
+    rnd = random.Random(4)
+    words = ["".join(rnd.choice("ab") for _ in range(rnd.randint(1, 4))) for _ in range(30)]
+    m = toxicity.ToxicLexicon({f" {w}" + (" " if n % 2 else ""): 1.0 + n for n, w in enumerate(sorted(set(words))[:12])}, ("ab a", "b bb", "aa"))
+    machine = m.automaton()
+    for _ in range(300):
+        t = toxicity.fold(" ".join(rnd.choice(words) for _ in range(rnd.randint(0, 12))))
+        spared = [(i, i + len(p) + 1) for p in m.exceptions for i in range(len(t)) if t.startswith(f" {p} ", i)]
+        found = [(i, i + len(p) - 1, w) for p, w in m.weights.items() if p.strip() not in m.exceptions or not p.endswith(" ") for i in range(len(t)) if t.startswith(p, i)]
+        assert m.hits(t, machine) == sum(w for a, z, w in found if not any(x <= a and z <= y for x, y in spared))
+
+
+def test_toxicity_edge_cases(spark):
+    docs = spark.createDataFrame([(1, "rude vile words", 0.5), (1, "rude vile words", 0.5), (2, None, 0.1), (3, "fine " * 60000, 0.1), (None, "vile", 0.1)], "doc_id long, text string, score double")
+    labels = spark.createDataFrame([(1, 1), (1, 0), (2, 0), (3, None), (None, 1)], "doc_id long, toxic int")
+    out = toxicity.score(docs, toxicity.train(docs, labels)).collect()
+    assert len(out) == 5 and all(0 <= r.score <= 1 for r in out)
+    kept = toxicity.flag(docs, toxicity.train(docs, labels))
+    assert kept.columns == docs.columns
+    assert toxicity.score(docs.limit(0), toxicity.train(docs.limit(0), labels.limit(0))).count() == 0
+
+
 def test_toxicity_held_out(spark):
     d = "/root/testdata/sf0.1"
     docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
@@ -186,12 +272,72 @@ def test_language_held_out(spark):
     assert langid.predict(odd, None).filter("lang_pred <> 'und'").count() == 0
 
 
+def test_language_edge_cases(spark):
+    rows = [(i, "un deux trois quatre", "fr") for i in (1, 1, 2, 3, 4)] + [(i, "one two three four", "en") for i in (6, 7, 8, 9)] + [(11, "x" * 50000, "junk"), (12, None, "nothing"), (13, "five", None), (None, "six", "en")]
+    docs = spark.createDataFrame([(*r, "clash") for r in rows], "doc_id long, text string, lang string, lang_pred string")
+    model = langid.train(docs, per_language=2, max_languages=2, max_text_bytes=1000)
+    assert model.languages == ["en", "fr"]
+    out = [(r.doc_id, r.lang_pred) for r in langid.predict(docs, model).collect()]
+    assert len(out) == len(rows) and (1, "fr") in out and (6, "en") in out and (12, "und") in out
+    assert langid.train(docs.limit(0)) is None and langid.predict(docs.limit(0), None).count() == 0
+
+
+def grams(text):
+    t = text.lower()
+    return {t[i : i + n] for n in langid.LENGTHS for i in range(len(t) - n + 1)}
+
+
 def test_kernel_matrix_equals_the_kernel():
-    texts, langs = [b"abcabc", b"abcd", b"xyz", b"xyzz"], ["a", "a", "b", "b"]
-    m = langid.fit(texts, langs)
+    """Kernel values, and the folded matrix against kernel ridge regression written out."""
+    rnd = random.Random(2)
+    texts = [bytes(rnd.choice(a) for _ in range(rnd.randint(3, 12))) for a in (b"abc", b"cde", b"efa") for _ in range(6)]
+    langs = [c for c in "pqr" for _ in range(6)]
     off = np.cumsum([0, *map(len, texts)])
-    out = m.outputs(langid.presence(np.frombuffer(b"".join(texts), np.uint8), off))
-    assert [m.languages[k] for k in out.argmax(1)] == langs
+    seen = langid.presence(np.frombuffer(b"".join(texts), np.uint8), off)
+    sets = [grams(t) for t in texts]
+    kernel = np.array([[len(a & b) / np.sqrt(len(a) * len(b)) for b in sets] for a in sets])
+    x = langid.unit(seen)
+    assert np.allclose(x @ x.T, kernel, atol=1e-5)
+    m = langid.fit(texts, langs, landmarks_per_language=6, ridge=1e-2)
+    # with every text a landmark the Nyström map is exact: centred kernel ridge regression in the dual
+    n, y = len(texts), np.eye(3)[[0] * 6 + [1] * 6 + [2] * 6]
+    centre = np.eye(n) - 1 / n
+    dual = np.linalg.solve(centre @ kernel @ centre + 1e-2 * n * np.eye(n), centre @ y)
+    assert np.allclose(m.outputs(seen), kernel @ centre @ dual - (kernel @ centre @ dual).mean(0) + y.mean(0), atol=1e-3)
+
+
+def test_rules_and_matching_equal_brute_force(spark):
+    """Every frequent, sure antecedent of at most three tokens, and the surest fitting rule, by listing all subsets."""
+    from collections import Counter
+    from itertools import combinations
+
+    rnd = random.Random(7)
+    sets = [(sorted(rnd.sample(["a", "b", "c", "d", "e", "f"], rnd.randint(1, 5))),) for _ in range(200)]
+    rows = [(s, "block" if ("a" in s and "b" in s) or "f" in s and rnd.random() < 0.9 else "allow") for (s,) in sets]
+    count, hit = Counter(), Counter()
+    for s, label in rows:
+        for k in (1, 2, 3):
+            for c in combinations(s, k):
+                count[c] += 1
+                hit[c, label] += 1
+    sure = {(c, v): n / count[c] for (c, v), n in hit.items() if n >= 0.05 * 200 and n / count[c] >= 0.7}
+    kept = {(c, v): conf for (c, v), conf in sure.items() if not any(v == w and len(d) < len(c) and set(d) <= set(c) and conf2 >= conf for (d, w), conf2 in sure.items())}
+    mined = url_filter.mine(spark.createDataFrame(rows, "tokens array<string>, label string"), support=0.05, confidence=0.7)
+    got = {(tuple(r.antecedent), r.label): r.confidence for r in mined.collect()}
+    assert got.keys() == kept.keys() and all(abs(got[k] - kept[k]) < 1e-9 for k in kept)
+    asked = spark.createDataFrame([(n, list(s)) for n, s in enumerate({tuple(s) for s, _ in rows})], "page_id long, tokens array<string>")
+    counts = spark.createDataFrame([(x, rnd.randint(1, 9)) for x in "abcdef"], "item string, n long")
+    found = {r.page_id: r.method_verdict for r in url_filter.judge(asked, mined, counts).collect()}
+    for r in asked.collect():
+        fit = [(conf, hit[c, v] / 200, v) for (c, v), conf in kept.items() if set(c) <= set(r.tokens)]
+        assert found.get(r.page_id) == (max(fit)[2] if fit else None)
+
+
+def test_url_edge_cases(spark):
+    long = "https://a.net/es/" + "x/" * 30000
+    rows = [(1, long, "r"), (1, long, "r"), (2, "https://B.net/es/casino", "r"), (None, None, "r"), (3, "://", "r"), (4, "https://q.org/" + "y" * 40000, "r")]
+    out = url_filter.filter_urls(spark.createDataFrame(rows, "page_id long, url string, verdict string")).collect()
+    assert len(out) == len(rows) and {r.verdict for r in out if r.page_id == 1} == {"block"}
 
 
 def test_pipeline_stages(spark):
