@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import functions as F
 
 from .functions import python_functions as pf
@@ -14,7 +16,7 @@ from .sources import oracle
 from .sources.edge_source import generated
 from .sources.views import graph_view, hash_threshold, load
 from .streaming import streams
-from .workloads import all_pairs, kept
+from .workloads import ALL_PAIRS, RANGE, SAME, all_pairs, grouped_components, grouped_sql, kept
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -77,6 +79,15 @@ def d4q_implicit_lookup(spark, d):
     return wrong.agg(F.count(F.lit(1)).alias("violations"))
 
 
+@query(f"select * from (with answers as ({oracle.components('event_mesh')}) select count(distinct comp) as components from answers)")
+def d12_quotient_components(spark, d):
+    """The quotient hangs together as the graph does: as many components, clusters for vertices."""
+    dec = mesh_decomposition(spark, d)
+    where = dec.lookup()
+    q = decompose.quotient(dec.graph, where).select(F.col("ca").alias("a"), F.col("cb").alias("b"))
+    return connect.components_star(Graph(where.select(F.col("center").alias("vid")).distinct(), q)).agg(F.countDistinct("comp").alias("components"))
+
+
 @query(None)
 def d12_quotient(spark, d):
     dec = mesh_decomposition(spark, d)
@@ -85,8 +96,16 @@ def d12_quotient(spark, d):
 
 @query(None)
 def d13_quotient_neighbors(spark, d):
+    return decompose.quotient_neighbors(mesh_decomposition(spark, d))
+
+
+@query(NONE)
+def d13_implicit_neighbors(spark, d):
+    """Neighbours of all clusters by outward searches and look-ups of the far ends are those of the batch."""
     dec = mesh_decomposition(spark, d)
-    return decompose.quotient_neighbors(dec, dec.centers.select(F.col("vid").alias("center")))
+    want = decompose.quotient_neighbors(dec)
+    found = materialize(decompose.quotient_neighbors(dec, dec.lookup().select("center").distinct()), "neighbors")
+    return found.exceptAll(want).unionByName(want.exceptAll(found)).agg(F.count(F.lit(1)).alias("violations"))
 
 
 @query(None)
@@ -173,32 +192,25 @@ def o12_block_count(spark, d):
     return slice_oracle(spark, d).block_count()
 
 
-SAME = f"""select * from (with answers as materialized ({oracle.blocks('order_chain')}), inc as materialized (select a as vid, block_a, block_b from answers union select b, block_a, block_b from answers),
-pairs as (select a as u, b as v, row_number() over (order by a, b) as qid from answers where a % 20 = 0 union all select o_orderkey, o_orderkey + 1, 1000000 + o_orderkey from orders where o_orderkey % 40 = 0)
-select p.qid, bool_or(y.vid is not null) as same_block from pairs p left join inc x on x.vid = p.u left join inc y on y.vid = p.v and y.block_a = x.block_a and y.block_b = x.block_b where p.v in (select o_orderkey from orders) group by p.qid)"""
-
-
-@query(None)
+@query(SAME)
 def o10_same_block(spark, d):
     """Every order with its successor and with a key dealt over the whole range."""
-    return slice_oracle(spark, d).same_block(all_pairs(spark, d))
+    return slice_oracle(spark, d).same_block(all_pairs(spark, d), batch=True)
 
 
-@query(None)
+@query(f"select * from (with answers as materialized ({oracle.two_edge('order_chain')}) select qid, x.comp = y.comp as same_edge_block from ({ALL_PAIRS}) join answers x on x.vid = u join answers y on y.vid = v)")
 def o11_same_edge_block(spark, d):
-    return slice_oracle(spark, d).same_edge_block(all_pairs(spark, d))
+    return slice_oracle(spark, d).same_edge_block(all_pairs(spark, d), batch=True)
 
 
 @query(NONE)
-def o10_agrees_with_labels(spark, d):
-    """Pair answers of the oracle equal those of the block labelling."""
-    from .workloads import PROFILED, RANGE, profile
-
-    pairs = all_pairs(spark, d)
-    n = PROFILED.index("order_chain")
-    want = blocks.same_block(profile(spark, d)["labelling"], pairs.select("qid", (F.col("u") + n * RANGE).alias("u"), (F.col("v") + n * RANGE).alias("v")))
-    got = slice_oracle(spark, d).same_block(pairs).withColumnRenamed("same_block", "got")
-    return want.join(got, "qid").filter("same_block <> got").agg(F.count(F.lit(1)).alias("violations"))
+def o10_few_pairs(spark, d):
+    """Pairs asked a few at a time, each opening its own clusters only, get the answers of the batch."""
+    o = slice_oracle(spark, d)
+    pairs = materialize(all_pairs(spark, d).orderBy(F.md5(F.col("qid").cast("string"))).limit(40), "few-pairs")
+    want = o.same_block(pairs, batch=True).withColumnRenamed("same_block", "want").join(o.same_edge_block(pairs, batch=True).withColumnRenamed("same_edge_block", "want_edge"), "qid")
+    got = o.same_block(pairs).join(o.same_edge_block(pairs), "qid")
+    return want.join(got, "qid", "full").filter("not (want <=> same_block) or not (want_edge <=> same_edge_block)").agg(F.count(F.lit(1)).alias("violations"))
 
 
 @query(oracle.components("geo_tree"))
@@ -235,7 +247,10 @@ def w9_store_costs(spark, d):
 # --- functions and streams ----------------------------------------------------------------------
 
 
-@query(None)
+_COS = "round(list_cosine_similarity(cast(x.embedding as double[]), cast(y.embedding as double[])), 4)"
+
+
+@query(f"select x.vec_id as a, y.vec_id as b, {_COS} as by_function, {_COS} as by_expression from embeddings x join embeddings y on y.vec_id = x.vec_id + 1")
 def q_udf_cosine(spark, d):
     """The Arrow function and the expression side by side."""
     e = load(spark, d, "embeddings", "vec_id", "embedding")
@@ -250,10 +265,16 @@ def q_udtf_expand(spark, d):
     return spark.sql("select d.vid, count(*) as nodes from v_degrees d, lateral lw_expand_vertex(cast(d.vid as bigint), d.degree, 8) t group by d.vid")
 
 
-@query("select user_id, count(distinct event_type) * 0 + 1 as components from events group by user_id")
+_USERS = "select user_id as key, ascii(event_type) * 1000 + ascii(substr(event_type, 2)) as x, 1000000 + cast(props->>'$.k' as integer) % 5 as y from events where value > 100"
+
+
+@query(f"select key as user_id, count(distinct comp) as components from ({grouped_sql(_USERS)}) group by key")
 def q_udaf_components(spark, d):
-    e = load(spark, d, "events", "user_id", "event_type").select("user_id", F.lit(0).cast("bigint").alias("a"), F.crc32(F.col("event_type").cast("binary")).alias("b"))
-    return e.groupBy("user_id").agg(pf.component_count("a", "b").alias("components"))
+    """Components of every user's own graph of event types and what costly events name, by a grouped aggregate."""
+    e = load(spark, d, "events", "user_id", "event_type", "props", "value").filter("value > 100")
+    a = F.ascii("event_type") * 1000 + F.ascii(F.substring("event_type", 2, 10))
+    rows = e.select("user_id", a.cast("bigint").alias("a"), (F.pmod(F.get_json_object("props", "$.k").cast("int"), F.lit(5)) + 1_000_000).cast("bigint").alias("b"))
+    return rows.groupBy("user_id").agg(pf.component_count("a", "b").alias("components"))
 
 
 def _event_files(spark, d) -> str:
@@ -271,9 +292,13 @@ def q_stream_window(spark, d):
     return out.select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "n")
 
 
-@query(None)
+@query("""with e as (select user_id, ts, case when ts < lag(ts) over (partition by user_id order by ts) + interval 12 hours then 0 else 1 end as fresh from events),
+s as (select user_id, ts, sum(fresh) over (partition by user_id order by ts rows unbounded preceding) as number from e)
+select user_id, epoch_us(min(ts)) as start_us, count(*) as n from s group by user_id, number having max(ts) + interval 12 hours <= (select date_trunc('milliseconds', max(ts)) from events) - interval 2 days""")
 def q_stream_session(spark, d):
-    return streams.run_to_table(streams.sessions(streams.event_stream(spark, _event_files(spark, d))), "session", "append")
+    """Sessions that the watermark has closed, in append mode."""
+    out = streams.run_to_table(streams.sessions(streams.event_stream(spark, _event_files(spark, d))), "session", "append")
+    return out.select("user_id", F.unix_micros("start").alias("start_us"), "n")
 
 
 @query("select distinct user_id, event_type from events")
@@ -281,21 +306,74 @@ def q_stream_dedupe(spark, d):
     return streams.run_to_table(streams.distinct_edges(streams.event_stream(spark, _event_files(spark, d))), "dedupe", "append")
 
 
-@query("select cast(0 as bigint) as key, user_id % 50 as vid, user_id % 50 % 7 as comp from events where false union all select 0, v, min(v) over (partition by v % 7) from (select distinct user_id % 50 as v from events)")
+_DAYS = "select cast(epoch(date_trunc('day', ts)) as bigint) // 86400 as key, user_id as x, 1000000 + cast(props->>'$.k' as bigint) as y from events"
+
+
+@query(grouped_sql(_DAYS))
 def q_stream_state(spark, d):
-    """Final labels of components kept in state: vertices that agree modulo 7 are joined to the least."""
-    edges = streams.event_stream(spark, _event_files(spark, d)).select(F.lit(0).cast("bigint").alias("key"), (F.col("user_id") % 50).alias("a"), (F.col("user_id") % 50 % 7).alias("b"))
-    out = streams.run_to_table(streams.incremental_components(edges), "state", "append")
-    return out.groupBy("key", "vid").agg(F.min("comp").alias("comp"))
+    """Components of every day's graph of users and what their events name, kept as state of the day: the last change of each label."""
+    edges = streams.window_edges(streams.event_stream(spark, _event_files(spark, d)))
+    rows, _, _ = streams.run_to_batches(streams.incremental_components(edges), "state", mode="append")
+    return rows.groupBy("key", "vid").agg(F.min("comp").alias("comp"))
 
 
-@query(None)
+@query(grouped_sql(_DAYS))
+def q_stream_window_graphs(spark, d):
+    """The same graphs, each batch's edges reduced to a forest in a foreachBatch sink, all days solved at once in the end."""
+    def forest(batch):
+        pairs = batch.select((F.col("a") + F.col("key") * RANGE).alias("x"), (F.col("b") + F.col("key") * RANGE).alias("y"))
+        kept_ = connect.partition_forest(Graph.of(pairs))
+        key = F.floor(F.col("a") / RANGE).cast("bigint")
+        return kept_.select(key.alias("key"), (F.col("a") - key * RANGE).alias("a"), (F.col("b") - key * RANGE).alias("b"))
+
+    rows, _, _ = streams.run_to_batches(streams.window_edges(streams.event_stream(spark, _event_files(spark, d))), "graphs", mode="append", change=forest)
+    return grouped_components(rows.select("key", F.col("a").alias("x"), F.col("b").alias("y")))
+
+
+def _late_files(spark, d) -> str:
+    """Purchases, then clicks, then everything else, a file each: rows are held against the watermark of the batch before."""
+    def build():
+        path, e = new_scratch_path(spark, "late-files"), load(spark, d, "events")
+        for wanted in ("event_type = 'purchase'", "event_type = 'click'", "event_type not in ('purchase', 'click')"):
+            e.filter(wanted).coalesce(1).write.mode("append").parquet(path)
+            time.sleep(1.2)  # files are taken in the order of their times
+        return path
+
+    return kept(spark, ("late-files", d), build)
+
+
+_KEPT_ROWS = """select * from events where event_type in ('purchase', 'click') or date_trunc('day', ts) + interval 1 day > (select date_trunc('milliseconds', max(ts)) from events where event_type = 'purchase') - interval 10 days"""
+
+
+@query(f"select strftime(date_trunc('day', ts), '%Y-%m-%d') as day, event_type, count(*) as n from ({_KEPT_ROWS}) group by all")
+def q_stream_late(spark, d):
+    """Rows of windows that the watermark has passed are left out; update mode, the last update of each window."""
+    rows, _, _ = streams.run_to_batches(streams.window_counts(streams.event_stream(spark, _late_files(spark, d)), delay="10 days"), "late")
+    return streams.latest(rows, ["start", "event_type"]).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "n")
+
+
+@query("select strftime(date_trunc('day', ts), '%Y-%m-%d') as day, event_type, count(*) as n from events group by all")
+def q_stream_restart(spark, d):
+    """A stream that stops after half of the files and starts again from its checkpoint counts every row once."""
+    path, e = new_scratch_path(spark, "restart-files"), load(spark, d, "events")
+    half = F.pmod(F.xxhash64("event_id"), F.lit(2)) == 0
+    counts = lambda: streams.window_counts(streams.event_stream(spark, path), delay="60 days")
+    e.filter(half).coalesce(2).write.parquet(path)
+    _, _, place = streams.run_to_batches(counts(), "restart")
+    e.filter(~half).coalesce(2).write.mode("append").parquet(path)
+    rows, _, _ = streams.run_to_batches(counts(), "restart", place)
+    return streams.latest(rows, ["start", "event_type"]).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "n")
+
+
+@query(f"select * from (with answers as ({oracle.components('event_mesh')}) select x.vid as qid, x.comp = y.comp as connected from answers x join answers y on y.vid = x.vid + 1)")
 def q_stream_static(spark, d):
-    comp = mesh_oracle(spark, d).component()
+    """Streamed pairs of neighbouring events answered by the stored oracle."""
+    comp = materialize(mesh_oracle(spark, d).component(), "static-components")
     pairs = streams.event_stream(spark, _event_files(spark, d)).select(F.col("event_id").alias("qid"), F.col("event_id").alias("u"), (F.col("event_id") + 1).alias("v"))
     return streams.run_to_table(streams.with_oracle(pairs, comp), "static", "append")
 
 
-@query(None)
+@query("""select c.event_id as click_id, p.event_id as purchase_id from events c join events p on c.user_id = p.user_id and c.event_type = 'click' and p.event_type = 'purchase'
+          and p.ts >= c.ts and p.ts <= c.ts + interval 1 hour""")
 def q_stream_interval(spark, d):
     return streams.run_to_table(streams.click_to_purchase(streams.event_stream(spark, _event_files(spark, d))), "interval", "append")

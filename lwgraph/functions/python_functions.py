@@ -52,7 +52,37 @@ class ExpandVertex:
             yield vid, i, i // 2 if i > 1 else None
 
 
+@F.udtf(returnType=T.StructType([T.StructField(c, T.LongType()) for c in ("qid", "vid", "hop")]))
+class BoundedSearch:
+    """Vertices within some hops of a start, for one question's edges: a table argument partitioned by the question.
+
+    Rows are (qid, start, a, b); an edge without an end only names a vertex.  A partition holds one neighbourhood."""
+
+    def __init__(self):
+        self.near: dict[int, set[int]] = {}
+        self.start = self.qid = None
+        self.hops = 3
+
+    def eval(self, row):
+        self.qid, self.start = row["qid"], row["start"]
+        self.near.setdefault(self.start, set())
+        if row["a"] is not None and row["b"] is not None:
+            self.near.setdefault(row["a"], set()).add(row["b"])
+            self.near.setdefault(row["b"], set()).add(row["a"])
+
+    def terminate(self):
+        if self.start is None:
+            return
+        seen, front = {self.start: 0}, [self.start]
+        for hop in range(1, self.hops + 1):
+            front = sorted({w for v in front for w in self.near.get(v, ()) if w not in seen})
+            seen.update(dict.fromkeys(front, hop))
+        for v, hop in seen.items():
+            yield self.qid, v, hop
+
+
 def register(spark: SparkSession) -> None:
+    spark.udtf.register("lw_bounded_search", BoundedSearch)
     spark.udf.register("lw_cosine", cosine)
     spark.udf.register("lw_component_count", component_count)
     spark.udtf.register("lw_expand_vertex", ExpandVertex)

@@ -223,8 +223,8 @@ def check_decomposition(dec: CenterDecomposition) -> DataFrame:
 # --- implicit look-ups ----------------------------------------------------------------------------
 
 
-def lookup_center(dec: CenterDecomposition, asked: DataFrame, max_hops: int = 10_000, meter: CostMeter | None = None) -> DataFrame:
-    """(vid, center) of the asked vertices only: each searches outward until its level holds a primary, then walks to the first center.
+def lookup_center(dec: CenterDecomposition, asked: DataFrame, max_hops: int = 10_000, meter: CostMeter | None = None, costs: bool = False) -> DataFrame:
+    """(vid, center; with ``costs`` the vertices visited) of the asked vertices only: each searches outward until its level holds a primary, then walks to the first center.
 
     A vertex of level i that leads on to a primary of level h is h - i hops from its nearest primary,
     and its neighbours one hop nearer are exactly those of level i + 1 that lead on too: the least
@@ -267,7 +267,10 @@ def lookup_center(dec: CenterDecomposition, asked: DataFrame, max_hops: int = 10
     alone = seen.join(done, "qid", "left_anti").groupBy("qid").agg(F.min("at").alias("center"))
     if meter:
         meter.add("look-up", ops=ops, writes=ops)
-    return asked.join(found.unionByName(alone), "qid", "left").select(F.col("qid").alias("vid"), "center")
+    out = asked.join(found.unionByName(alone), "qid", "left")
+    if costs:
+        out = out.join(seen.groupBy("qid").agg(F.count(F.lit(1)).alias("visited")), "qid")
+    return out.select(F.col("qid").alias("vid"), "center", *(["visited"] if costs else []))
 
 
 def members_of(dec: CenterDecomposition, centers: DataFrame, meter: CostMeter | None = None) -> DataFrame:

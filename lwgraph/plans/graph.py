@@ -70,6 +70,10 @@ class CostMeter:
     def total(self) -> tuple[int, int, int]:
         return sum(r[2] for r in self.rows), sum(r[3] for r in self.rows), sum(r[4] for r in self.rows)
 
+    def peak(self) -> int:
+        """The most rows that one round held beside what is kept."""
+        return max((r[5] for r in self.rows), default=0)
+
     def report(self, spark, omegas=(1,)) -> DataFrame:
         """(method, stage, ops, writes, rounds, scratch_peak, omega, work)."""
         made = spark.createDataFrame(self.rows, "method string, stage string, ops long, writes long, rounds long, scratch_peak long")
@@ -81,7 +85,7 @@ def choose_method(n: int, m: int, omega: float, max_degree: int | None = None, b
     root = math.sqrt(omega)
     dense = m >= root * n
     wide = max_degree is not None and max_degree > bound
-    return {"family": "dense" if dense else "sparse", "k": max(1, round(root)), "beta": 1 / omega if dense else 1 / max(1.0, root),
+    return {"family": "dense" if dense else "sparse", "k": max(1, round(root)), "beta": 1 / max(1.0, omega) if dense else 1 / max(1.0, root),
             "degree": "as is" if not wide or dense else "expand; blocks and articulation points by the dense method"}
 
 
@@ -93,7 +97,7 @@ def predicted(n: int, m: int, omega: float, k: int | None = None) -> list[tuple[
         ("biconnectivity, edge array", m, m), ("biconnectivity, block labelling", m + n, n + m / omega),
         ("decomposition", k * n, n / k), ("connectivity oracle", k * n + k * m / k, n / k), ("biconnectivity oracle", k * n, n / k),
     ]
-    return [(name, float(ops), float(writes), ops + omega * writes) for name, ops, writes in table]
+    return [(name, float(ops), float(writes), float(ops + omega * writes)) for name, ops, writes in table]
 
 
 def calibrate_omega(spark, rows: int = 200_000) -> float:

@@ -57,6 +57,20 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
+def barrier(df: DataFrame, mode: str = "parquet", name: str = "barrier") -> DataFrame:
+    """The same rows with their lineage cut: ``parquet`` writes a table and reads it back, ``reliable`` uses Spark's checkpoint.
+
+    Both write to the shared folder; nothing is kept on an executor alone."""
+    if mode == "parquet":
+        return materialize(df, name)
+    if mode != "reliable":
+        raise ValueError(f"unknown barrier: {mode}")
+    scratch_dir(df.sparkSession)
+    if df.sparkSession.sparkContext.getCheckpointDir() is None:
+        df.sparkSession.sparkContext.setCheckpointDir(scratch_dir(df.sparkSession))
+    return df.checkpoint(eager=True)
+
+
 def discard(*tables: DataFrame | None) -> None:
     """Remove tables that ``materialize`` wrote and nothing reads any more."""
     for table in tables:

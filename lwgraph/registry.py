@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import extras, relational, workloads
+from . import extras, measures, relational, workloads
 
-MODULES = (workloads, extras, relational)
+MODULES = (workloads, extras, relational, measures)
 
 
 def queries() -> dict:

@@ -163,6 +163,13 @@ def q_distinct_approx(spark, d):
     return load(spark, d, "lineitem", "l_partkey", "l_suppkey").groupBy("l_partkey").agg(F.approx_count_distinct("l_suppkey", 0.02).alias("suppliers"))
 
 
+@query("select count(distinct l_partkey) as parts, cast(0 as bigint) as far_off from lineitem")
+def q_distinct_error(spark, d):
+    """Parts whose approximate number of suppliers is more than a tenth from the exact one: none."""
+    both = q_distinct(spark, d).withColumnRenamed("suppliers", "exact").join(q_distinct_approx(spark, d), "l_partkey")
+    return both.agg(F.count(F.lit(1)).alias("parts"), F.sum((F.abs(F.col("suppliers") - F.col("exact")) > 0.1 * F.col("exact")).cast("bigint")).alias("far_off"))
+
+
 @query("""select o_orderstatus, count(*) filter (c_mktsegment = 'AUTOMOBILE') as "AUTOMOBILE", count(*) filter (c_mktsegment = 'BUILDING') as "BUILDING", count(*) filter (c_mktsegment = 'MACHINERY') as "MACHINERY"
           from orders join customer on c_custkey = o_custkey group by 1""")
 def q_pivot(spark, d):
@@ -256,9 +263,9 @@ def q_json(spark, d):
     return load(spark, d, "events", "props").select(F.from_json("props", "k int")["k"].alias("k")).groupBy("k").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("select user_id, string_agg(event_type, '>' order by ts, event_id) as path from events where event_id < 5000 group by user_id")
+@query("select user_id, string_agg(event_type, '>' order by ts, event_id) as path from events group by user_id")
 def q_array(spark, d):
-    e = load(spark, d, "events", "user_id", "event_id", "event_type", "ts").filter("event_id < 5000")
+    e = load(spark, d, "events", "user_id", "event_id", "event_type", "ts")
     path = F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("ts", "event_id", "event_type"))), lambda x: x["event_type"]), ">")
     return e.groupBy("user_id").agg(path.alias("path"))
 
@@ -305,17 +312,19 @@ def q_decimal(spark, d):
 
 
 HOPS = f"""with recursive s as (select a as u, b as v from {CHAIN} union all select b, a from {CHAIN}),
-walk as (select o_orderkey as start, o_orderkey as vid, 0 as hop from orders where o_orderkey <= 50 union all select walk.start, s.v, walk.hop + 1 from walk join s on s.u = walk.vid where walk.hop < 3)
+walk as (select o_orderkey as start, o_orderkey as vid, 0 as hop from orders union all select walk.start, s.v, walk.hop + 1 from walk join s on s.u = walk.vid where walk.hop < 2)
 select start, vid, min(hop) as hop from walk group by start, vid"""
 
 
 @query(HOPS)
 def q_sql_recursive(spark, d):
-    """Three hops from fifty orders by a bounded recursion."""
-    chain(spark, d).createOrReplaceTempView("v_order_chain_edges")
+    """Two hops from every order by a bounded recursion over registered views."""
+    from .sources.files import register
+
+    register("order_chain", graph_view(spark, d, "order_chain"))
     load(spark, d, "orders", "o_orderkey").createOrReplaceTempView("v_orders")
     return spark.sql("""with recursive s as (select a as u, b as v from v_order_chain_edges union all select b, a from v_order_chain_edges),
-        walk as (select o_orderkey as start, o_orderkey as vid, 0 as hop from v_orders where o_orderkey <= 50 union all select walk.start, s.v, walk.hop + 1 from walk join s on s.u = walk.vid where walk.hop < 3)
+        walk as (select o_orderkey as start, o_orderkey as vid, 0 as hop from v_orders union all select walk.start, s.v, walk.hop + 1 from walk join s on s.u = walk.vid where walk.hop < 2)
         select start, vid, min(hop) as hop from walk group by start, vid""")
 
 
@@ -355,7 +364,134 @@ def q_math(spark, d):
     return load(spark, d, "embeddings", "vec_id").select("vec_id", F.bit_count("vec_id").alias("ones"), F.pmod("vec_id", F.lit(7)).alias("rest"), F.floor(F.sqrt("vec_id")).alias("root"), F.shiftleft("vec_id", 3).alias("shifted"))
 
 
-@query("select p_partkey, p_name from part where p_name like '%1%' and p_size between 5 and 15 and p_brand in ('Brand#11', 'Brand#12', 'Brand#23') or not p_type <> p_type and p_retailprice is null")
+@query("select p_partkey, p_name from part where p_name like '%i%' and p_size between 5 and 15 and p_brand in ('Brand#2', 'Brand#3', 'Brand#17') or not p_type <> 'SMALL' and p_retailprice > 950 or p_name ~ '^hot g' and p_size is not null")
 def q_predicates(spark, d):
     p = load(spark, d, "part", "p_partkey", "p_name", "p_size", "p_brand", "p_type", "p_retailprice")
-    return p.filter((F.col("p_name").like("%1%") & F.col("p_size").between(5, 15) & F.col("p_brand").isin("Brand#11", "Brand#12", "Brand#23")) | (F.col("p_type").eqNullSafe(F.col("p_type")) & F.col("p_retailprice").isNull())).select("p_partkey", "p_name")
+    liked = F.col("p_name").like("%i%") & F.col("p_size").between(5, 15) & F.col("p_brand").isin("Brand#2", "Brand#3", "Brand#17")
+    small = F.col("p_type").eqNullSafe(F.lit("SMALL")) & (F.col("p_retailprice") > 950)
+    return p.filter(liked | small | (F.col("p_name").rlike("^hot g") & F.col("p_size").isNotNull())).select("p_partkey", "p_name")
+
+
+@query("select s_suppkey, c_custkey from supplier join customer on c_nationkey = s_nationkey and c_acctbal between s_acctbal - 250 and s_acctbal + 250")
+def q_range_join(spark, d):
+    """Customers whose balance lies near that of a supplier of their nation: bins turn the range into an equality."""
+    from .operators.joins import range_join
+
+    s = load(spark, d, "supplier", "s_suppkey", "s_nationkey", "s_acctbal").select("s_suppkey", F.col("s_nationkey").alias("nation"), (F.col("s_acctbal") - 250).alias("low"), (F.col("s_acctbal") + 250).alias("high"))
+    c = load(spark, d, "customer", "c_custkey", "c_nationkey", "c_acctbal").select("c_custkey", F.col("c_nationkey").alias("nation"), F.col("c_acctbal").alias("at"))
+    return range_join(c, s, "at", "low", "high", 500, ("nation",)).select("s_suppkey", "c_custkey")
+
+
+@query("select n_name, count(*) as orders from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey group by 1")
+def q_guarded_broadcast(spark, d):
+    """Dimension tables are broadcast where their estimated size allows it."""
+    from .operators.joins import broadcast_under
+
+    c = load(spark, d, "customer", "c_custkey", "c_nationkey").join(broadcast_under(load(spark, d, "nation", "n_nationkey", "n_name"), 1 << 20), F.col("c_nationkey") == F.col("n_nationkey"))
+    return load(spark, d, "orders", "o_custkey").join(broadcast_under(c, 16 << 20), F.col("o_custkey") == F.col("c_custkey")).groupBy("n_name").agg(F.count(F.lit(1)).alias("orders"))
+
+
+@query("select count(*) as lines, cast(sum(l_linenumber) as bigint) as numbers, count(distinct l_partkey) as parts from lineitem where l_quantity >= 45")
+def q_observe(spark, d):
+    """Figures taken from the rows while another query reads them: no second pass."""
+    from .plans.scratch import Watch
+
+    watch = Watch(numbers=F.col("l_linenumber"))
+    lines = watch.over(load(spark, d, "lineitem", "l_partkey", "l_linenumber", "l_quantity").filter("l_quantity >= 45"))
+    parts = lines.select("l_partkey").distinct().count()
+    seen = watch.figures()
+    return spark.createDataFrame([(seen["rows"], seen["numbers"], parts)], "lines long, numbers long, parts long")
+
+
+TRADE = """(select c_nationkey as u, s_nationkey as v, count(*) as n from lineitem join orders on o_orderkey = l_orderkey join customer on c_custkey = o_custkey join supplier on s_suppkey = l_suppkey where c_nationkey <> s_nationkey group by all)"""
+PARTNERS = f"(select distinct least(u, v) as a, greatest(u, v) as b from (select u, v, row_number() over (partition by u order by n desc, v) as rn from {TRADE}) where rn <= 1)"
+
+
+@query(f"""with recursive e as materialized (select * from {PARTNERS}), nodes as materialized (select a as vid from e union select b from e), s as materialized (select a as u, b as v from e union select b, a from e),
+comp(gone, vid, c) using key (gone, vid) as (
+  select r.vid, n.vid, n.vid from nodes r join nodes n on n.vid <> r.vid
+  union
+  select comp.gone, s.v, min(comp.c) from comp join s on s.u = comp.vid join recurring.comp r on r.gone = comp.gone and r.vid = s.v where comp.c < r.c group by comp.gone, s.v)
+select x.gone as vid from comp x join s on s.u = x.gone and s.v = x.vid group by x.gone having count(distinct x.c) > 1""")
+def q_cross_brute(spark, d):
+    """Articulation points of the nations' trade by removing each nation in turn: a guarded cross join, 25 graphs of 25 vertices."""
+    from .operators.connect import components_star
+    from .operators.joins import guarded_cross
+    from .plans.graph import Graph
+
+    c = load(spark, d, "customer", "c_custkey", "c_nationkey").join(load(spark, d, "orders", "o_orderkey", "o_custkey"), F.col("c_custkey") == F.col("o_custkey"))
+    lines = load(spark, d, "lineitem", "l_orderkey", "l_suppkey").join(c, F.col("l_orderkey") == F.col("o_orderkey")).join(load(spark, d, "supplier", "s_suppkey", "s_nationkey"), F.col("l_suppkey") == F.col("s_suppkey"))
+    trade = lines.filter("c_nationkey <> s_nationkey").groupBy(F.col("c_nationkey").alias("u"), F.col("s_nationkey").alias("v")).agg(F.count(F.lit(1)).alias("n"))
+    most = trade.withColumn("rn", F.row_number().over(Window.partitionBy("u").orderBy(F.desc("n"), "v"))).filter("rn = 1")
+    g = Graph.of(most.select("u", "v")).fixed("trade")
+    key = lambda gone, v: (F.col(gone) * 1000 + F.col(v))
+    left = guarded_cross(g.vertices.withColumnRenamed("vid", "gone"), g.vertices).filter("gone <> vid").select(key("gone", "vid").alias("vid"))
+    edges = guarded_cross(g.vertices.withColumnRenamed("vid", "gone"), g.edges.select("a", "b")).filter("gone <> a and gone <> b").select(key("gone", "a").alias("a"), key("gone", "b").alias("b"))
+    comp = components_star(Graph(left, edges)).select(F.floor(F.col("vid") / 1000).cast("bigint").alias("gone"), F.pmod("vid", F.lit(1000)).alias("vid"), "comp")
+    near = g.arcs().select(F.col("src").alias("gone"), F.col("dst").alias("vid"))
+    return near.join(comp, ["gone", "vid"]).groupBy("gone").agg(F.countDistinct("comp").alias("n")).filter("n > 1").select(F.col("gone").alias("vid"))
+
+
+@query("select cast(conv_id as bigint) as qid, cast(conv_id * 100 + turn as bigint) as vid, cast(turn - least_turn as bigint) as hop from (select conv_id, turn, row_number() over (partition by conv_id order by turn) - 1 as place, min(turn) over (partition by conv_id) as least_turn from conversations) where place <= 3")
+def q_udtf_search(spark, d):
+    """Turns within three hops of each conversation's first one: a table function over each conversation's own edges."""
+    from .functions import python_functions as pf
+
+    pf.register(spark)
+    c = load(spark, d, "conversations", "conv_id", "turn")
+    w = Window.partitionBy("conv_id").orderBy("turn")
+    vid = F.col("conv_id") * 100 + F.col("turn")
+    edges = c.select(F.col("conv_id").cast("bigint").alias("qid"), F.first(vid).over(w).cast("bigint").alias("start"), vid.cast("bigint").alias("a"), F.lead(vid).over(w).cast("bigint").alias("b"))
+    edges.createOrReplaceTempView("v_conversation_edges")
+    return spark.sql("select * from lw_bounded_search(table(v_conversation_edges) partition by qid)")
+
+
+@query(f"select 'csv' as fmt, count(*) as edges, 2 as lost from {CHAIN} union all select 'json', count(*), 2 from {CHAIN} union all select 'orc', count(*), 0 from {CHAIN} union all select 'text', count(*), 2 from {CHAIN} union all select 'parquet', count(*), 0 from {CHAIN}")
+def s2_read_edges(spark, d):
+    """The chain's edges written and read in every format; two broken lines in each text format are set aside."""
+    from .plans.scratch import new_scratch_path
+    from .sources.files import FORMATS, read_edges, write_edges
+
+    base, rows = chain(spark, d).select(F.col("a").alias("x"), F.col("b").alias("y")), []
+    for fmt in FORMATS:
+        path = new_scratch_path(spark, f"edges-{fmt}")
+        write_edges(base, path, fmt)
+        if fmt not in ("orc", "parquet"):
+            spark.createDataFrame([("broken",), ("1 two 3" if fmt != "json" else '{"x": 1}',)], "value string").coalesce(1).write.mode("append").text(path)
+        edges, lost = read_edges(spark, path, fmt)
+        rows.append((fmt, edges.intersect(base).count(), lost.count()))
+    return spark.createDataFrame(rows, "fmt string, edges long, lost int")
+
+
+@query(f"select vid, degree from {DEGREES}")
+def s3_bucketed_adjacency(spark, d):
+    """Degrees from adjacency lists bucketed by vertex: neither the lists nor their counts are exchanged."""
+    from .plans.adjacency import adjacency
+    from .plans.scratch import materialize
+
+    with adjacency(graph_view(spark, d, "order_chain")) as lists:
+        return materialize(lists.groupBy(F.col("src").alias("vid")).agg(F.count(F.lit(1)).alias("degree")), "degrees")
+
+
+@query(f"select vid, degree from {DEGREES}")
+def s5_barriers(spark, d):
+    """The same rows behind both barriers."""
+    from .plans.scratch import barrier
+
+    deg = q_degree(spark, d)
+    x, y = barrier(deg, "parquet"), barrier(deg, "reliable").withColumnRenamed("degree", "again")
+    return x.join(y, "vid").filter("degree = again").select("vid", "degree")
+
+
+@query("""select b.vid, b.comp, b.size from (select comp, count(*) as size from (select s_suppkey as vid, min(s_suppkey) over (partition by s_nationkey) as comp from supplier) group by comp) c
+          join (select s_suppkey as vid, min(s_suppkey) over (partition by s_nationkey) as comp, count(*) over (partition by s_nationkey) as size from supplier) b on b.comp = c.comp""")
+def q_sql_surface(spark, d):
+    """A graph and its components under SQL names: suppliers of a nation, linked to the first of them."""
+    from .operators.connect import components_star
+    from .plans.graph import Graph
+    from .sources.files import register
+
+    s = load(spark, d, "supplier", "s_suppkey", "s_nationkey")
+    g = Graph.of(s.select(F.min("s_suppkey").over(Window.partitionBy("s_nationkey")).alias("x"), F.col("s_suppkey").alias("y")))
+    register("suppliers", g, components=components_star(g))
+    return spark.sql("select vid, comp, count(*) over (partition by comp) as size from v_suppliers_components")

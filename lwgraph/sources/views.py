@@ -82,7 +82,10 @@ SQL_ONLY = {
     "doc_lines": """select min(doc_id) over (partition by md5(line)) as x, doc_id as y
                     from (select distinct doc_id, line from (select doc_id, unnest(string_split(text, chr(10))) as line from documents) where length(line) >= 60)""",
 }
-VERTEX_SQL_ONLY = {"page_links": f"select {7 * K} + page_id as vid from pages", "doc_lines": "select doc_id as vid from documents"}
+SQL_ONLY["embedding_nn"] = """with v as (select vec_id, list_transform(embedding, lambda x: cast(round(x * cast(1000 as float)) as bigint)) as q from embeddings),
+                    s as (select a.vec_id as x, b.vec_id as y, list_sum(list_transform(list_zip(a.q, b.q), lambda p: p[1] * p[2])) as score from v a join v b on a.vec_id <> b.vec_id)
+                    select x, y from (select x, y, row_number() over (partition by x order by score desc, y) as n from s) where n <= 2"""
+VERTEX_SQL_ONLY = {"embedding_nn": "select vec_id as vid from embeddings", "page_links": f"select {7 * K} + page_id as vid from pages", "doc_lines": "select doc_id as vid from documents"}
 
 
 def _sql(spark: SparkSession, sf_dir: str, query: str) -> DataFrame:
@@ -116,10 +119,42 @@ def graph_view(spark: SparkSession, sf_dir: str, name: str, *, p: float | None =
         lines = load(spark, sf_dir, "documents", "doc_id", "text").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).filter(F.length("line") >= 60).select("doc_id", F.md5("line").alias("line")).distinct()
         firsts = lines.groupBy("line").agg(F.min("doc_id").alias("x"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("line", "x")
         return Graph.of(lines.join(firsts, "line").select("x", F.col("doc_id").alias("y")), load(spark, sf_dir, "documents", "doc_id"))
+    if name == "embedding_nn":
+        return Graph.of(nearest_vectors(load(spark, sf_dir, "embeddings", "vec_id", "embedding")).select(F.col("vec_id").alias("x"), F.col("near").alias("y")), load(spark, sf_dir, "embeddings", "vec_id"))
     edges, vertices = VIEWS[name]
     return Graph.of(_sql(spark, sf_dir, edges), _sql(spark, sf_dir, vertices) if vertices else None)
 
 
+def nearest_vectors(vectors: DataFrame, k: int = 2, scale: int = 1000, block: int = 2048) -> DataFrame:
+    """(vec_id, near): the k others of largest whole-number inner product, ties to smaller ids; every vector against all, block by block."""
+    import numpy as np
+    import pyarrow as pa
+    from pyspark.sql import Window
+
+    whole = vectors.select("vec_id", F.transform("embedding", lambda x: F.round(x.cast("float") * F.lit(scale).cast("float")).cast("bigint")).alias("v"))
+    blocks = max(1, -(-whole.count() // block))
+    part = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    asked = whole.select(part.alias("mine"), every.alias("theirs"), "vec_id", "v")
+    rows = whole.select(every.alias("mine"), part.alias("theirs"), "vec_id", "v")
+
+    def meet(left: pa.Table, right: pa.Table) -> pa.Table:
+        dense = lambda t: np.stack([np.asarray(v, np.float64) for v in t.column("v").to_pylist()]) if t.num_rows else np.zeros((0, 1))
+        mine, ids = left.column("vec_id").to_numpy(), right.column("vec_id").to_numpy()
+        out = [np.zeros((0, 3), np.int64)]
+        if len(mine) and len(ids):
+            scores = (dense(left) @ dense(right).T).astype(np.int64)
+            for me, row in zip(mine, scores, strict=True):
+                best = [j for j in np.lexsort((ids, -row))[: k + 1] if ids[j] != me][:k]
+                out.append(np.stack([np.full(len(best), me), ids[best], row[best]], 1))
+        a = np.concatenate(out)
+        return pa.table({"vec_id": pa.array(a[:, 0]), "near": pa.array(a[:, 1]), "score": pa.array(a[:, 2])})
+
+    met = asked.groupBy("mine", "theirs").cogroup(rows.groupBy("mine", "theirs")).applyInArrow(meet, "vec_id long, near long, score long")
+    rank = F.row_number().over(Window.partitionBy("vec_id").orderBy(F.desc("score"), "near"))
+    return met.withColumn("rank", rank).filter(F.col("rank") <= k).select("vec_id", "near")
+
+
 def hash_text(*parts):
     """First eight hex digits of md5('p1:p2:...'), the same in every engine."""
     return F.substring(F.md5(F.concat_ws(":", *[p.cast("string") for p in parts])), 1, 8)

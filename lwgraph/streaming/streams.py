@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import json
+
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -28,6 +30,37 @@ def run_to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFram
     return spark.table(table)
 
 
+def run_to_batches(stream: DataFrame, name: str, place: str | None = None, mode: str = "update", change=None) -> tuple[DataFrame, list[dict], str]:
+    """(every row with the number of its batch as ``batch``, the progress of each batch, the folder), through a foreachBatch sink.
+
+    A batch that runs again after a failure overwrites its own folder, so that every row is there once.  Given the folder
+    of an earlier run, the stream goes on where that one stopped.  ``change`` works on each batch before it is written."""
+    spark = stream.sparkSession
+    place = place or new_scratch_path(spark, f"stream-{name}")
+
+    def keep(batch: DataFrame, number: int) -> None:
+        rows = batch if change is None else change(batch)
+        rows.withColumn("batch", F.lit(number).cast("long")).write.mode("overwrite").parquet(f"{place}/out/part={number}")
+
+    query = stream.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", f"{place}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    progress = [{"batch": p["batchId"], "rows": p["numInputRows"], "dropped": sum(o.get("numRowsDroppedByWatermark", 0) for o in p["stateOperators"])} for p in (json.loads(q.json) if hasattr(q, "json") else q for q in query.recentProgress)]
+    return spark.read.option("recursiveFileLookup", "true").parquet(f"{place}/out"), progress, place
+
+
+def latest(rows: DataFrame, keys: list[str]) -> DataFrame:
+    """The last update of every key, from rows with their batch."""
+    rest = [c for c in rows.columns if c not in (*keys, "batch")]
+    return rows.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch").alias("last")).select(*keys, *[F.col(f"last.{c}").alias(c) for c in rest])
+
+
+def window_edges(events: DataFrame, size: str = "1 day", delay: str = "40 days") -> DataFrame:
+    """(key, a, b): one graph a window, its number as the key; users linked to what their events name, each edge once."""
+    start = F.unix_micros(F.window("ts", size)["start"])
+    edges = events.withWatermark("ts", delay).select("ts", F.floor(start / 86_400_000_000).cast("bigint").alias("key"), F.col("user_id").alias("a"), (F.get_json_object("props", "$.k").cast("bigint") + 1_000_000).alias("b"))
+    return edges.dropDuplicatesWithinWatermark(["key", "a", "b"]).select("key", "a", "b")
+
+
 def window_counts(events: DataFrame, size: str = "1 day", delay: str = "2 days") -> DataFrame:
     """(start, event_type, n) of tumbling windows; complete mode keeps every window."""
     w = F.window("ts", size)
