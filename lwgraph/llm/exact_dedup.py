@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, materialize
+from .common import ascii_lower, discard, materialize
 
 MIN_CHUNK, MAX_CHUNK = 512, 2048
 
@@ -84,7 +84,10 @@ def recipes(docs: DataFrame, *, min_chunk: int = MIN_CHUNK, max_chunk: int = MAX
 
 def exact_groups(docs: DataFrame, **options) -> DataFrame:
     """One row per document: doc_id, keep_id, group_size, kept, text_sha256."""
-    rows = materialize(recipes(docs, **options), "recipes")
+    return _grouped(materialize(recipes(docs, **options), "recipes"))
+
+
+def _grouped(rows: DataFrame) -> DataFrame:
     groups = (rows.groupBy("recipe", "n_chars")
               .agg(F.max("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"), F.first("text_sha256").alias("sha")))
     # Joined on the digest as a second key, so that both sides are exchanged and a hot
@@ -95,7 +98,9 @@ def exact_groups(docs: DataFrame, **options) -> DataFrame:
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
     """The rows of ``docs`` that stay, all columns; of rows that share an id and a text one stays."""
-    kept = exact_groups(docs, **options).filter("kept").select(F.col("doc_id").alias("_kept_id"), F.col("text_sha256").alias("_kept_sha"))
+    rows = materialize(recipes(docs, **options), "recipes")
+    kept = materialize(_grouped(rows).filter("kept").select(F.col("doc_id").alias("_kept_id"), F.col("text_sha256").alias("_kept_sha")), "kept")
+    discard(rows)
     # the input's own columns travel in a struct, so that clashing names do no harm
     held = docs.select("doc_id", F.sha2(_normal(F.col("text")), 256).alias("_sha"), F.struct(*docs.columns).alias("_row"))
     found = held.join(kept, held["doc_id"].eqNullSafe(kept["_kept_id"]) & (held["_sha"] == kept["_kept_sha"]), "left_semi")

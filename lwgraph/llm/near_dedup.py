@@ -455,6 +455,16 @@ def across(members: DataFrame, sketches: DataFrame, comp: DataFrame, percent: in
 
 def components(docs: DataFrame, *, words: int = 4, percent: int = 85, part_bytes: int = PART_BYTES, bucket_tokens: int = BUCKET_TOKENS) -> DataFrame:
     """doc_id, n_shingles, component_id of every row."""
+    return _named(*_classes_and_components(docs, words, percent, part_bytes, bucket_tokens))
+
+
+def _named(told: DataFrame, comp: DataFrame) -> DataFrame:
+    named = told.join(comp.select(F.col("vid").alias("class_id"), "comp"), "class_id", "left")
+    return named.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "class_id", "doc_id")).alias("component_id"))
+
+
+def _classes_and_components(docs: DataFrame, words: int, percent: int, part_bytes: int, bucket_tokens: int) -> tuple[DataFrame, DataFrame]:
+    """((doc_id, n_shingles, class_id) of every row, (vid, comp) of classes that link)."""
     spark = docs.sparkSession
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
     with arrow_batches(spark, 2000):
@@ -514,8 +524,7 @@ def components(docs: DataFrame, *, words: int = 4, percent: int = 85, part_bytes
             elif found is None:
                 break  # no pair is left that could link
     discard(members, indexed)
-    named = told.join(comp.select(F.col("vid").alias("class_id"), "comp"), "class_id", "left")
-    return named.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "class_id", "doc_id")).alias("component_id"))
+    return told, comp
 
 
 def _links(pairs: DataFrame, sketches: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
@@ -544,7 +553,9 @@ def keep_one(docs: DataFrame, *, words: int = 5, percent: int = 80) -> DataFrame
     """The rows of ``docs``, all columns, that are alone or come first in their component: the least id, ids that
     stand for several texts last."""
     held = distinct_rows(docs.select("doc_id", "text", F.struct(*docs.columns).alias("_all")))
-    gone = components(held.select(F.col("_row").alias("doc_id"), "text"), words=words, percent=percent).filter("component_id <> doc_id").select(F.col("doc_id").alias("_gone")).distinct()
+    tables = _classes_and_components(held.select(F.col("_row").alias("doc_id"), "text"), words, percent, PART_BYTES, BUCKET_TOKENS)
+    gone = materialize(_named(*tables).filter("component_id <> doc_id").select(F.col("doc_id").alias("_gone")).distinct(), "near-gone")
+    discard(*tables)
     return held.join(gone, held["_row"] == gone["_gone"], "left_anti").select("_all.*")
 
 
@@ -552,5 +563,22 @@ def op5_near_dedup(spark, sf_dir):
     return components(load(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+SQL = r"""
+with recursive w as materialized (
+  select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') as w from documents),
+sh as materialized (
+  select distinct doc_id, case when len(w) >= 4 then array_to_string(list_slice(w, i, i + 3), ' ') else array_to_string(w, ' ') end as s
+  from (select doc_id, w, unnest(range(1, greatest(len(w) - 3, 1) + 1)) as i from w where len(w) > 0)),
+n as materialized (select doc_id, count(*) as n from sh group by doc_id),
+met as materialized (select a.doc_id as x, b.doc_id as y, count(*) as k from sh a join sh b on a.s = b.s and a.doc_id < b.doc_id group by all),
+link as materialized (select x, y from met join n p on p.doc_id = x join n q on q.doc_id = y where 100 * k >= 85 * (p.n + q.n - k)),
+both_ways as materialized (select x as u, y as v from link union all select y, x from link),
+comp(vid, c) using key (vid) as (
+  select distinct doc_id, doc_id from documents
+  union
+  select l.v, min(comp.c) from comp join both_ways l on l.u = comp.vid join recurring.comp r on r.vid = l.v where comp.c < r.c group by l.v)
+select d.doc_id, coalesce(n.n, 0) as n_shingles, comp.c as component_id from documents d left join n on n.doc_id = d.doc_id left join comp on comp.vid = d.doc_id
+"""
+
 QUERIES = {"op5_near_dedup": op5_near_dedup}
-ORACLES: dict[str, str] = {}
+ORACLES = {"op5_near_dedup": SQL}

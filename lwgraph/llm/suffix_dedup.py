@@ -352,7 +352,9 @@ def _occurrences(table: pa.Table, answers: pa.Table, length: int) -> pa.Table:
 
 
 def _marked(moved: DataFrame, length: int, parts: int, with_groups: bool = False):
-    """(texts by part, answers by part) for rows (part, doc_id, text)."""
+    """(texts by part, answers by part) for rows (part, doc_id, text).
+
+    Keys and answers are written, so that the texts' exchange is gone before they are dealt once more."""
     grouped = moved.groupBy("part")
 
     def keys_of(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
@@ -364,7 +366,7 @@ def _marked(moved: DataFrame, length: int, parts: int, with_groups: bool = False
         release()
         return count_rows(key[0].as_py(), found, parts)
 
-    repeated = frequent_keys(grouped.applyInArrow(keys_of, COUNT_SCHEMA), 2)
+    repeated = materialize(frequent_keys(grouped.applyInArrow(keys_of, COUNT_SCHEMA), 2), "repeated-keys")
 
     def send(key: tuple[pa.Scalar, ...], left: pa.Table, right: pa.Table) -> pa.Table:
         out = _stretches(key[0].as_py(), left, merged_keys(right), length, parts)
@@ -377,7 +379,7 @@ def _marked(moved: DataFrame, length: int, parts: int, with_groups: bool = False
         return out
 
     stretches = grouped.cogroup(repeated.groupBy("part")).applyInArrow(send, STRETCH_SCHEMA)
-    judged = stretches.groupBy("bucket").applyInArrow(judge, ANSWER_SCHEMA)
+    judged = materialize(stretches.groupBy("bucket").applyInArrow(judge, ANSWER_SCHEMA), "judged")
     none = F.lit(None).cast("binary")
     answers = judged.unionByName(repeated.select("part", F.lit(0).alias("bucket"), "keys", none.alias("masks"), none.alias("groups")))
     return grouped, answers.groupBy("part")
@@ -445,5 +447,23 @@ def op8_suffix_dedup(spark, sf_dir):
     return remove_repeats(load(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+SQL = """
+with b as materialized (select doc_id, encode(coalesce(text, '')) as t from documents),
+k as materialized (select doc_id, i, array_slice(t, i + 1, i + 50) as s from (select doc_id, t, unnest(range(0, greatest(octet_length(t) - 49, 0))) as i from b)),
+g as materialized (select k.doc_id, k.i from k join (select s, min(doc_id) as least from k group by s having min(doc_id) < max(doc_id)) f on f.s = k.s where f.least < k.doc_id),
+runs as materialized (
+  select doc_id, min(i) as a, max(i) + 50 as z
+  from (select doc_id, i, sum(fresh) over (partition by doc_id order by i rows unbounded preceding) as run
+        from (select doc_id, i, case when i <= lag(i) over (partition by doc_id order by i) + 50 then 0 else 1 end as fresh from g))
+  group by doc_id, run),
+kept as materialized (
+  select doc_id, coalesce(lag(z) over (partition by doc_id order by a), 0) as a, a as z from runs
+  union all
+  select b.doc_id, coalesce(r.z, 0), octet_length(b.t) from b left join (select doc_id, max(z) as z from runs group by doc_id) r on r.doc_id = b.doc_id),
+texts as (select b.doc_id, string_agg(hex(array_slice(b.t, k.a + 1, k.z)), '' order by k.a) as h from b join kept k on k.doc_id = b.doc_id where k.z > k.a group by b.doc_id)
+select b.doc_id, octet_length(b.t) as n_bytes, cast(coalesce(r.n, 0) as bigint) as n_removed, coalesce(r.spans, 0) as n_spans, sha256(unhex(coalesce(x.h, ''))) as kept_sha256
+from b left join (select doc_id, sum(z - a) as n, count(*) as spans from runs group by doc_id) r on r.doc_id = b.doc_id left join texts x on x.doc_id = b.doc_id
+"""
+
 QUERIES = {"op8_suffix_dedup": op8_suffix_dedup}
-ORACLES: dict[str, str] = {}
+ORACLES = {"op8_suffix_dedup": SQL}
