@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from lwgraph.llm import exact_dedup, mixing, near_dedup, packing, toxicity
-from lwgraph.llm.common import load, materialize
+from lwgraph.llm.common import discard, load, materialize
 
 # Documents of the mixed order that packing may reorder among themselves: two blocks of mixing.
 STRETCH = 2 * mixing.BLOCK
@@ -54,7 +54,9 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        docs = materialize(stage(spark, docs, sf_dir), f"stage-{name}")
+        kept = materialize(stage(spark, docs, sf_dir), f"stage-{name}")
+        discard(docs)
+        docs = kept
     return docs
 
 
