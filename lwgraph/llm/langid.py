@@ -31,7 +31,7 @@ DIMENSIONS = 1 << 13
 LENGTHS = (1, 2, 3)
 PER_LANGUAGE = 300
 LANDMARKS_PER_LANGUAGE = 40
-MAX_LANGUAGES, MAX_TEXT_BYTES = 100, 32 << 10
+MAX_LANGUAGES, MAX_TEXT_BYTES, CELLS = 100, 32 << 10, 8
 _FOLD = np.arange(256, dtype=np.uint8)
 _FOLD[65:91] += 32
 _FOLD[[9, 10, 11, 12, 13]] = 32
@@ -105,7 +105,10 @@ def train(docs: DataFrame, *, per_language: int = PER_LANGUAGE, max_languages: i
     usable = docs.select(F.col("doc_id").alias("_id"), F.col("lang").alias("_lang"), "text").filter("_id is not null and _lang is not null").filter(~held_out("_id")).filter((size > 0) & (size <= max_text_bytes))
     common = usable.groupBy("_lang").agg(F.count(F.lit(1)).alias("_rows")).orderBy(F.desc("_rows"), "_lang").limit(max_languages).select("_lang")
     known = usable.select("_id", "_lang").join(F.broadcast(common), "_lang").distinct()
-    chosen = known.withColumn("_n", F.row_number().over(Window.partitionBy("_lang").orderBy(F.xxhash64("_id"), "_id"))).filter(F.col("_n") <= per_language)
+    # the first by hash in each of some cells of a language, then the first of these: no task sees a language whole
+    first = lambda *parts: F.row_number().over(Window.partitionBy(*parts).orderBy(F.xxhash64("_id"), "_id"))
+    few = known.withColumn("_cell", F.pmod(F.xxhash64("_id", F.lit(1)), F.lit(CELLS))).withColumn("_n", first("_lang", "_cell")).filter(F.col("_n") <= per_language)
+    chosen = few.drop("_cell", "_n").withColumn("_n", first("_lang")).filter(F.col("_n") <= per_language)
     rows = usable.join(F.broadcast(chosen), ["_id", "_lang"]).groupBy("_id", "_lang", "_n").agg(F.min(F.col("text")).cast("binary").alias("text")).toArrow().sort_by([("_lang", "ascending"), ("_n", "ascending")])
     return fit(rows.column("text").to_pylist(), rows.column("_lang").to_pylist())
 

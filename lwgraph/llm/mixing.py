@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from .common import load, materialize, shuffle_width
 
-BLOCK, PERIOD, CELL_ROWS, MAX_SOURCES = 64, 1000, 20000, 2000
+BLOCK, PERIOD, CELL_ROWS, MAX_SOURCES = 64, 1000, 8192, 2000
 
 
 def whole_weights(weights: dict, period: int) -> dict:
