@@ -60,10 +60,16 @@ def articulation(name: str, **parts) -> str:
 
 
 def two_edge(name: str, **parts) -> str:
-    return _blocks(name, **parts) + """,
-t as materialized (select a as u, b as v from named where not (n = 1 and mult = 1) union all select b, a from named where not (n = 1 and mult = 1)),
+    """Bridges in a query of their own: a recursion that follows others in one list is much slower."""
+    e, v = parts.get("edges") or edge_sql(name), parts.get("vertices") or (vertex_sql(name) if not parts.get("edges") else None)
+    every = "select a as vid from e union select b from e" + (f" union select vid from ({v})" if v else "")
+    return f"""with recursive cut as materialized (select * from ({bridges(name, **parts)})),
+e as materialized (select distinct least(x, y) as a, greatest(x, y) as b from ({e}) where x is not null and y is not null and x <> y),
+kept as materialized (select e.a, e.b from e left join cut on cut.a = e.a and cut.b = e.b where cut.a is null),
+nodes as materialized ({every}),
+t as materialized (select a as u, b as v from kept union all select b, a from kept),
 te(vid, c) using key (vid) as (
   select vid, vid from nodes
   union
   select t.v, min(te.c) from te join t on t.u = te.vid join recurring.te r on r.vid = t.v where te.c < r.c group by t.v)
-select vid, c as comp from te"""
+select cast(vid as bigint) as vid, cast(c as bigint) as comp from te"""
