@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from ..plans.adjacency import adjacency
 from ..plans.graph import CostMeter, Graph
-from ..plans.scratch import discard, materialize, measured
+from ..plans.scratch import discard, materialize, measured, watched
 from ..sources.views import hash_below
 from .balls import ball_partition
 from .bfs import levels
@@ -229,48 +229,70 @@ def lookup_center(dec: CenterDecomposition, asked: DataFrame, max_hops: int = 10
     A vertex of level i that leads on to a primary of level h is h - i hops from its nearest primary,
     and its neighbours one hop nearer are exactly those of level i + 1 that lead on too: the least
     of them is the next hop.  A search that ends without a primary has seen a whole component,
-    whose least vertex is its center.  Only centers and arcs are read; a query's levels are its own
-    and nothing of them is kept afterwards."""
-    arcs, primary = dec.graph.arcs().select("src", "dst"), dec.centers.filter("is_primary").select(F.col("vid").alias("at"), F.lit(True).alias("hit"))
-    asked = materialize(asked.select(F.col("vid").alias("qid")).distinct(), "asked")
-    front = materialize(asked.select("qid", F.col("qid").alias("at")).join(primary, "at", "left").select("qid", "at", F.coalesce("hit", F.lit(False)).alias("hit")), "look")
-    levels_, seen, done, ops = [front], front.select("qid", "at"), front.filter("hit").select("qid"), front.count()
-    for _ in range(1, max_hops):
-        going = front.join(done, "qid", "left_anti")
-        step = going.select("qid", F.col("at").alias("src")).join(arcs, "src").select("qid", F.col("dst").alias("at")).distinct().join(seen, ["qid", "at"], "left_anti")
-        front = materialize(step.join(primary, "at", "left").select("qid", "at", F.coalesce("hit", F.lit(False)).alias("hit")), "look")
-        n = front.count()
-        ops += n
-        if n == 0:
-            break
-        levels_.append(front)
-        seen = seen.unionByName(front.select("qid", "at"))
-        done = done.unionByName(front.filter("hit").select("qid").distinct())
-    # back from the last level: the vertices that lead on to a primary, with their next hops
-    ways: list[DataFrame] = []
-    for front in reversed(levels_):
-        here = front.filter("hit").select("qid", "at", F.lit(None).cast("bigint").alias("next"))
-        if ways:
-            nearer = ways[-1].select("qid", F.col("at").alias("dst"))
-            first = F.min("dst") if dec.order == "vid" else F.min_by("dst", F.xxhash64("dst"))
-            led = front.withColumnRenamed("at", "src").join(arcs, "src").join(nearer, ["qid", "dst"]).groupBy("qid", F.col("src").alias("at")).agg(first.alias("next"))
-            here = here.unionByName(led.select("qid", "at", "next"))
-        ways.append(_counted(materialize(here, "ways"), "look-up", meter))
-    # forth again, level by level, until the first center
-    center, spot, found = dec.centers.select(F.col("vid").alias("at"), F.lit(True).alias("stop")), asked.select("qid", F.col("qid").alias("at")), None
-    for way in reversed(ways):
-        on = materialize(spot.join(way, ["qid", "at"]).join(center, "at", "left").select("qid", "at", "next", F.coalesce("stop", F.lit(False)).alias("stop")), "walk")
-        _counted(on, "look-up", meter)
-        ended = on.filter("stop").select("qid", F.col("at").alias("center"))
-        found = ended if found is None else found.unionByName(ended)
-        spot = on.filter("not stop").select("qid", F.col("next").alias("at"))
-    alone = seen.join(done, "qid", "left_anti").groupBy("qid").agg(F.min("at").alias("center"))
-    if meter:
-        meter.add("look-up", ops=ops, writes=ops)
-    out = asked.join(found.unionByName(alone), "qid", "left")
-    if costs:
-        out = out.join(seen.groupBy("qid").agg(F.count(F.lit(1)).alias("visited")), "qid")
-    return out.select(F.col("qid").alias("vid"), "center", *(["visited"] if costs else []))
+    whose least vertex is its center.  Only centers and arcs are read; a question's levels are its own,
+    O(k log n) vertices of which its walk is settled in one task, and nothing of them is kept."""
+    primary = dec.centers.filter("is_primary").select(F.col("vid").alias("at"), F.lit(True).alias("hit"))
+    marked = lambda df, level: df.join(primary, "at", "left").select("qid", "at", F.coalesce("hit", F.lit(False)).alias("hit"), F.lit(level).alias("level"))
+    with adjacency(dec.graph) as arcs:
+        front, seen = measured(marked(asked.select(F.col("vid").alias("qid")).distinct().withColumn("at", F.col("qid")), 0), "look")
+        levels_, ops = [front], seen["rows"]
+        for level in range(1, max_hops):
+            # neighbours of a level lie in it, in the one before or in the next one
+            known = front.select("qid", "at") if level == 1 else front.select("qid", "at").unionByName(levels_[-2].select("qid", "at"))
+            going = front.join(front.filter("hit").select("qid").distinct(), "qid", "left_anti")
+            sent, looked = watched(going.select("qid", F.col("at").alias("src")).join(arcs.select("src", "dst"), "src"))
+            step = sent.select("qid", F.col("dst").alias("at")).distinct().join(known, ["qid", "at"], "left_anti")
+            front, seen = measured(marked(step, level), "look")
+            ops += looked.rows
+            if seen["rows"] == 0:
+                break
+            levels_.append(front)
+        visited = levels_[0]
+        for more in levels_[1:]:
+            visited = visited.unionByName(more)
+        rank = F.col("dst") if dec.order == "vid" else F.xxhash64("dst")
+        onward = visited.select("qid", F.col("at").alias("src"), "level").join(arcs.select("src", "dst"), "src") \
+            .join(visited.select("qid", F.col("at").alias("dst"), (F.col("level") - 1).alias("level")), ["qid", "dst", "level"]).select("qid", "src", "dst", "level", rank.alias("rank"))
+        onward = materialize(onward, "look-onward")
+        stops = visited.join(dec.centers.select(F.col("vid").alias("at"), F.lit(True).alias("stop")), "at", "left").select("qid", "at", "level", "hit", F.coalesce("stop", F.lit(False)).alias("stop"))
+        blocks = max(1, sum(x.count() for x in levels_) // LOOK_ROWS + 1)
+        dealt = lambda df: df.withColumn("block", F.pmod(F.xxhash64("qid"), F.lit(blocks)).cast("int")).groupBy("block")
+        found, told = measured(dealt(stops).cogroup(dealt(onward)).applyInArrow(_settled, "vid long, center long, visited long"), "looked-up")
+        if meter:
+            meter.add("look-up", ops=ops, scratch_peak=ops)
+            meter.add("look-up", writes=told["rows"])
+        discard(onward, *levels_)
+    return found if costs else found.select("vid", "center")
+
+
+LOOK_ROWS = 200_000
+
+
+def _settled(visited: pa.Table, onward: pa.Table) -> pa.Table:
+    """(vid, center, visited) of the questions of one block, from what their searches met and the arcs that lead outward."""
+    met: dict[int, dict[int, tuple]] = {}
+    for q, at, level, hit, stop in zip(*(visited.column(c).to_pylist() for c in ("qid", "at", "level", "hit", "stop")), strict=True):
+        met.setdefault(q, {})[at] = (level, hit, stop)
+    ways: dict[int, list[tuple]] = {}
+    for q, src, dst, level, rank in zip(*(onward.column(c).to_pylist() for c in ("qid", "src", "dst", "level", "rank")), strict=True):
+        ways.setdefault(q, []).append((level, src, rank, dst))
+    out = []
+    for q, seen in met.items():
+        leads = {at for at, (_, hit, _) in seen.items() if hit}
+        if not leads:
+            out.append((q, min(seen), len(seen)))
+            continue
+        after: dict[int, tuple] = {}
+        for _, src, rank, dst in sorted(ways.get(q, ()), key=lambda w: -w[0]):  # from the primaries' level back
+            if dst in leads and (src not in after or (rank, dst) < after[src]):
+                after[src] = (rank, dst)
+                leads.add(src)
+        at = q
+        while not seen[at][2]:
+            at = after[at][1]
+        out.append((q, at, len(seen)))
+    columns = list(zip(*out, strict=True)) or [(), (), ()]
+    return pa.table([pa.array(c, pa.int64()) for c in columns], names=["vid", "center", "visited"])
 
 
 def members_of(dec: CenterDecomposition, centers: DataFrame, meter: CostMeter | None = None) -> DataFrame:
