@@ -56,7 +56,10 @@ def built(spark: SparkSession, d: str, view: str) -> dict[str, CostMeter]:
 
     def run():
         g, out = graph_view(spark, d, view).fixed(), {}
+        bounded = g.max_degree() <= 16  # the decomposition is for bounded degrees: a star has no balanced split
         for name, build in BUILDERS.items():
+            if name.startswith("oracle") and not bounded:
+                continue
             out[name] = CostMeter(name)
             build(g, out[name]).count()
         return out
