@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .plans.scratch import materialize, session_setting
 from .sources.views import edge_sql, graph_view, load
 
 CHAIN = f"(select least(x, y) as a, greatest(x, y) as b, cast(count(*) as integer) as mult from ({edge_sql('order_chain')}) where x is not null and y is not null and x <> y group by 1, 2)"
@@ -324,9 +325,11 @@ def q_sql_recursive(spark, d):
 
     register("order_chain", graph_view(spark, d, "order_chain"))
     load(spark, d, "orders", "o_orderkey").createOrReplaceTempView("v_orders")
-    return spark.sql("""with recursive s as (select a as u, b as v from v_order_chain_edges union all select b, a from v_order_chain_edges),
+    # the bound is the hops: the session's limit on rows, read while the recursion runs, is for ones without
+    with session_setting(spark, "spark.sql.cteRecursionRowLimit", "-1"):
+        return materialize(spark.sql("""with recursive s as (select a as u, b as v from v_order_chain_edges union all select b, a from v_order_chain_edges),
         walk as (select o_orderkey as start, o_orderkey as vid, 0 as hop from v_orders union all select walk.start, s.v, walk.hop + 1 from walk join s on s.u = walk.vid where walk.hop < 2)
-        select start, vid, min(hop) as hop from walk group by start, vid""")
+        select start, vid, min(hop) as hop from walk group by start, vid"""), "two-hops")
 
 
 @query("select n_name, t.c_custkey, t.cents from nation, lateral (select c_custkey, cast(round(c_acctbal * 100) as bigint) as cents from customer where c_nationkey = n_nationkey order by c_acctbal desc, c_custkey limit 2) t")
