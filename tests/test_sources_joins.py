@@ -14,7 +14,7 @@ NAMES = ("d16_ball_clusters", "s7_generated_grid", "s7_grid_components", "j10_sa
 @pytest.mark.parametrize("name", NAMES)
 def test_query_equals_sql(spark, name):
     con = duckdb.connect()
-    for table in ("lineitem", "supplier"):
+    for table in ("lineitem", "supplier", "orders"):
         con.execute(f"create view {table} as select * from '{FOLDER}/{table}.parquet'")
     want = con.execute(extras.ORACLES[name])
     columns = [c[0] for c in want.description]
