@@ -35,7 +35,7 @@ def test_decomposition_in_trees_and_in_rounds(spark, monkeypatch, mode):
 
     def make():
         dec = decompose.decompose(g, 4, 1, mode=mode, order="hash" if mode == "recursive_children" else "vid")
-        return ROWS(dec.hops), ROWS(dec.centers), ROWS(dec.lookup())
+        return ROWS(dec.hops), ROWS(dec.centers), ROWS(dec.lookup()), ROWS(decompose.lookup_center(dec, dec.graph.vertices, costs=True))
 
     near, far = both(monkeypatch, make)
     assert near == far
