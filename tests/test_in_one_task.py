@@ -5,10 +5,11 @@ import random
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 from lwgraph.operators import decompose, local
 from lwgraph.operators.bfs import levels
-from lwgraph.operators.blocks import block_labelling, canonical_blocks, root_forest
+from lwgraph.operators.blocks import block_labelling, bridges, canonical_blocks, root_forest, whole_labelling
 from lwgraph.operators.connect import forest_boruvka
 from lwgraph.operators.oracles import BiconnectivityOracle, _facts, lowpoint_blocks
 from lwgraph.operators.trees import rootfix
@@ -135,3 +136,25 @@ def test_the_facts_of_all_clusters_are_written_once(spark, written):
     o = BiconnectivityOracle.build(graph_of(spark, *random_edges(2, n=40, extra=30)), k=4, seed=1)
     o.is_bridge().count(), o.edge_block().count(), o.cut_block_tree().count(), o.two_edge_components().count()
     assert written.count("facts") == 1
+
+
+def test_bridges_of_many_graphs(spark):
+    """Two samples in ranges of their own get the bridges of their union's labelling."""
+    graphs = [random_edges(s, n=30, extra=8) for s in (3, 4)]
+    g = graph_of(spark, [(a + 1000 * i, b + 1000 * i) for i, (e, _) in enumerate(graphs) for a, b in e], [v + 1000 * i for i, (_, vs) in enumerate(graphs) for v in vs])
+    found = ROWS(local.local_bridges(g.edges, F.floor(F.col("a") / 1000)))
+    assert sorted((a, b) for _, a, b in found) == ROWS(bridges(whole_labelling(g))) and {k for k, _, _ in found} == {0, 1} and all(a // 1000 == k for k, a, _ in found)
+
+
+def test_the_walk_by_steps_is_one_write(spark, monkeypatch, written):
+    """It wrote the pairs once a step."""
+    edges, vertices = random_edges(6, n=40, extra=25)
+    o = BiconnectivityOracle.build(graph_of(spark, edges, vertices), k=4, seed=1)
+    pairs = spark.createDataFrame([(i, u, v) for i, (u, v) in enumerate((u, v) for u in vertices[:12] for v in vertices)], "qid long, u long, v long")
+
+    def make():
+        written.clear()
+        return ROWS(o.same_block_step_by_step(pairs)), written.count("step")
+
+    near, far = both(monkeypatch, make)
+    assert near[0] == far[0] and near[1] == 2 < far[1]
