@@ -7,9 +7,10 @@ import pytest
 from pyspark.sql import functions as F
 
 from lwgraph.operators import decompose, local, searches
+from lwgraph.operators.oracles import BiconnectivityOracle
 from lwgraph.plans import scratch
 
-from .test_oracles import graph_of, random_edges
+from .test_oracles import brute, graph_of, random_edges
 
 ROWS = lambda df: sorted(map(tuple, df.collect()))
 
@@ -75,3 +76,18 @@ def test_clusters_are_searched_for_once(spark, monkeypatch, written):
     assert members == [r for r in ROWS(decompose.members_of_all(dec)) if r[0] in keys]
     monkeypatch.setattr(local, "ROWS", 3)
     assert near == ROWS(decompose.quotient_neighbors(dec, asked)) and members == ROWS(decompose.members_of(dec, asked))
+
+
+def test_clusters_of_pairs_are_opened_once(spark, written):
+    """Both answers of a few pairs come from one look-up and one set of cluster views, whose far ends need no look-up of their own."""
+    edges, vertices = random_edges(22, n=60, extra=15)
+    o = BiconnectivityOracle.build(graph_of(spark, edges, vertices), k=4, seed=1)
+    pairs = spark.createDataFrame([(i, vertices[i], vertices[(7 * i + 3) % len(vertices)]) for i in range(0, len(vertices), 4)], "qid long, u long, v long")
+    written.clear()
+    got = ROWS(o.same_blocks(pairs))
+    assert written.count("pair-facts") == written.count("looked-up") == written.count("met") == 1
+    want = brute(edges, vertices)
+    for q, same, same_edge in got:
+        u, v = vertices[q], vertices[(7 * q + 3) % len(vertices)]
+        assert same == (u == v or bool(want["inc"][u] & want["inc"][v])) and same_edge == (want["two"][u] == want["two"][v])
+    assert len(got) == pairs.count() and got == ROWS(o.same_blocks(pairs, batch=True))
