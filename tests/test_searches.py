@@ -91,3 +91,9 @@ def test_clusters_of_pairs_are_opened_once(spark, written):
         u, v = vertices[q], vertices[(7 * q + 3) % len(vertices)]
         assert same == (u == v or bool(want["inc"][u] & want["inc"][v])) and same_edge == (want["two"][u] == want["two"][v])
     assert len(got) == pairs.count() and got == ROWS(o.same_blocks(pairs, batch=True))
+
+
+def test_both_saved_oracles_stand_on_one_decomposition(spark, written):
+    from lwgraph import measures
+
+    assert measures.s4_saved_oracles(spark, "/root/testdata/sf0.001").head()[0] == 0 and written.count("secondaries") == 1
