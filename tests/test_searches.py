@@ -97,3 +97,24 @@ def test_both_saved_oracles_stand_on_one_decomposition(spark, written):
     from lwgraph import measures
 
     assert measures.s4_saved_oracles(spark, "/root/testdata/sf0.001").head()[0] == 0 and written.count("secondaries") == 1
+
+
+def test_small_tables_leave_other_views_alone(spark, monkeypatch):
+    """A query of one view makes no pass over all of them, whatever the size of the tables."""
+    from lwgraph import workloads
+
+    union = workloads.union_of_views
+    asked = []
+    monkeypatch.setattr(workloads, "union_of_views", lambda s, d, names=workloads.PROFILED: asked.append(names) or union(s, d, names))
+    monkeypatch.setattr(workloads, "_KEPT", {})
+    workloads.QUERIES["w_articulation_conversation_chain"](spark, "/root/testdata/sf0.001").collect()
+    assert asked == [("conversation_chain",)]
+
+
+def test_the_mesh_is_written_once(spark, monkeypatch, written):
+    from lwgraph import extras, workloads
+
+    monkeypatch.setattr(workloads, "_KEPT", {})
+    for k in (4, 8):
+        extras.mesh_decomposition(spark, "/root/testdata/sf0.001", k=k)
+    assert written.count("graph-edges") == 1
